@@ -6,14 +6,30 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import decontam, minhash, sharding
+from . import decontam, minhash, secrets, sharding, token_store, wordpiece
 from .common import table
 
 
+def tokenizer_file(name: str = "byte_bpe_50k.json") -> str:
+    """A vocabulary file of the installed public tokenizers."""
+    import public_tokenizers
+
+    return str(public_tokenizers.path(name))
+
+
 def op2_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontam.decontamination_report(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
 
+def op6_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    starting, continuing = wordpiece.pieces_of_byte_vocabulary(tokenizer_file())
+    return wordpiece.count_tokens(table(spark, sf_dir, "documents"), starting, continuing)
+
+
+def op7_token_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return token_store.tokenize_to_shards(table(spark, sf_dir, "documents"), tokenizer_file())
+
+
 def op8_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
     return minhash.near_duplicates(table(spark, sf_dir, "documents"))
 
@@ -23,8 +39,12 @@ def op9_shard(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", "size", "text_crc32", "law", "shard", "slot", "grown_shard", "region", "rack")
 
 
+def op10_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return secrets.secret_report(table(spark, sf_dir, "documents"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op2_decontaminate, op8_near_duplicates, op9_shard)}
+    return {f.__name__: f for f in (op2_decontaminate, op6_token_counts, op7_token_shards, op8_near_duplicates, op9_shard, op10_secrets)}
 
 
 def oracle_sql() -> dict[str, str]:
