@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import decontam, minhash, secrets, sharding, token_store, wordpiece
+from . import decontam, embeddings, minhash, secrets, sharding, token_store, warc, wordpiece
 from .common import table
 
 
@@ -21,6 +21,15 @@ def op2_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontam.decontamination_report(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
 
+def op3_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
+    out = warc.archive_round_trip(table(spark, sf_dir, "pages"))
+    return out.select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
+
+
+def op4_near_vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return embeddings.near_duplicate_vectors(table(spark, sf_dir, "embeddings"))
+
+
 def op6_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     starting, continuing = wordpiece.pieces_of_byte_vocabulary(tokenizer_file())
     return wordpiece.count_tokens(table(spark, sf_dir, "documents"), starting, continuing)
@@ -44,8 +53,8 @@ def op10_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op2_decontaminate, op6_token_counts, op7_token_shards, op8_near_duplicates, op9_shard, op10_secrets)}
+    return {f.__name__: f for f in (op2_decontaminate, op3_warc, op4_near_vectors, op6_token_counts, op7_token_shards, op8_near_duplicates, op9_shard, op10_secrets)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op2_decontaminate": decontam.ORACLE}
+    return {"op2_decontaminate": decontam.ORACLE, "op3_warc": warc.ORACLE}

@@ -35,7 +35,7 @@ from pyspark.sql import functions as F
 from .common import fresh_path
 
 MAGIC = b"QSST0001"
-FOOTER = struct.Struct("<QQQQQQI4x8s")
+FOOTER = "<QQQQQQI4x8s"
 BLOCK_BYTES = 1 << 18
 BLOOM_BITS_PER_KEY, BLOOM_HASHES = 10, 7
 END_ID = 2
@@ -211,7 +211,7 @@ class ShardWriter:
                 bloom[p >> 3] |= 1 << (p & 7)
         self.out.write(index)
         self.out.write(bytes(bloom))
-        self.out.write(FOOTER.pack(self.at, len(index), self.at + len(index), len(bloom), self.entries, self.ids, self.width, MAGIC))
+        self.out.write(struct.pack(FOOTER, self.at, len(index), self.at + len(index), len(bloom), self.entries, self.ids, self.width, MAGIC))
 
 
 class ShardReader:
@@ -221,10 +221,10 @@ class ShardReader:
         self.file = file
         file.seek(0, io.SEEK_END)
         size = file.tell()
-        if size < FOOTER.size:
+        if size < struct.calcsize(FOOTER):
             raise ValueError("not a shard: too short")
-        index_at, index_size, bloom_at, bloom_size, self.entries, self.ids, self.width, magic = FOOTER.unpack(self._read(size - FOOTER.size, FOOTER.size))
-        if magic != MAGIC or bloom_at + bloom_size + FOOTER.size != size or index_at + index_size != bloom_at:
+        index_at, index_size, bloom_at, bloom_size, self.entries, self.ids, self.width, magic = struct.unpack(FOOTER, self._read(size - struct.calcsize(FOOTER), struct.calcsize(FOOTER)))
+        if magic != MAGIC or bloom_at + bloom_size + struct.calcsize(FOOTER) != size or index_at + index_size != bloom_at:
             raise ValueError("not a shard: the footer doesn't fit the file")
         self.bloom, self.index = self._read(bloom_at, bloom_size), []
         data, at = self._read(index_at, index_size), 0
