@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import decontam, embeddings, minhash, secrets, sharding, token_store, warc, wordpiece
+from . import decontam, embeddings, minhash, mixing, quality, secrets, sharding, token_store, warc, wordpiece
 from .common import table
 
 
@@ -17,6 +17,10 @@ def tokenizer_file(name: str = "byte_bpe_50k.json") -> str:
     return str(public_tokenizers.path(name))
 
 
+def op1_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality.classify(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def op2_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontam.decontamination_report(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
@@ -30,6 +34,10 @@ def op4_near_vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
     return embeddings.near_duplicate_vectors(table(spark, sf_dir, "embeddings"))
 
 
+def op5_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mixing.mixing_report(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def op6_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     starting, continuing = wordpiece.pieces_of_byte_vocabulary(tokenizer_file())
     return wordpiece.count_tokens(table(spark, sf_dir, "documents"), starting, continuing)
@@ -53,7 +61,7 @@ def op10_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op2_decontaminate, op3_warc, op4_near_vectors, op6_token_counts, op7_token_shards, op8_near_duplicates, op9_shard, op10_secrets)}
+    return {f.__name__: f for f in (op1_quality, op2_decontaminate, op3_warc, op4_near_vectors, op5_mix, op6_token_counts, op7_token_shards, op8_near_duplicates, op9_shard, op10_secrets)}
 
 
 def oracle_sql() -> dict[str, str]:
