@@ -110,8 +110,8 @@ def decontamination_report(docs: DataFrame, benchmark: DataFrame, window: int =
 
 def drop_contaminated(docs: DataFrame, benchmark: DataFrame, window: int = 13, key: str = "doc_id", text: str = "text") -> DataFrame:
     """The documents without the contaminated ones, all columns kept."""
-    bad = judge(find_windows(docs, benchmark, window, key, text)).where("contaminated").select(F.col("doc_id").alias("_bad"), "_text")
-    return docs.withColumn("_text", F.xxhash64(F.col(text))).join(bad, F.col(key).eqNullSafe(F.col("_bad")) & (F.col("_text") == bad["_text"]), "left_anti").drop("_text")
+    bad = judge(find_windows(docs, benchmark, window, key, text)).where("contaminated").select(F.col("doc_id").alias("_bad"), F.col("_text").alias("_t"))
+    return docs.withColumn("_text", F.xxhash64(F.col(text))).join(bad, F.col(key).eqNullSafe(F.col("_bad")) & F.col("_text").eqNullSafe(F.col("_t")), "left_anti").drop("_text")
 
 
 def remove_spans(docs: DataFrame, benchmark: DataFrame, window: int = 13, key: str = "doc_id", text: str = "text") -> DataFrame:
