@@ -10,9 +10,10 @@ the empty set and links with nothing. Two documents are linked if 100 |A & B| >=
   The number of bits in which two sketches differ estimates the similarity; a pair goes on only
   if it could be at 0.75 within five standard deviations.
 * Buckets never expand into all their pairs. First each bucket compares its members with one pivot, the
-  member that shares most with others; members linked to it are merged, the pivot is done with. After
-  two such rounds, buckets that still hold several components are searched in tiles of bounded size for
-  unlinked pairs across components, until nothing is left to test. Every proposed pair is confirmed on full sets.
+  member that shares most with others; members linked to it are merged, and the pivot is done with. Buckets
+  that still hold several components are searched in tiles of bounded size: a tile screens by sketch, fetches the
+  full sets of the rows that have candidates, and gives a spanning forest of the confirmed links across components.
+  Every link is confirmed on full sets, and a tile emits no more rows than it holds.
 
 Repeated rows, and rows that share an id and text, fall in one class; each input row has its result row.
 """
@@ -36,7 +37,6 @@ SIGMAS = 5.0
 TILE = 2048
 #: Rows of candidates up to which their ids are broadcast to fetch texts; beyond, the join shuffles.
 BROADCAST_ROWS = 2_000_000
-PIVOT_ROUNDS = 2
 
 SIGNED = "doc_id bigint, n_shingles bigint, node binary, bands array<bigint>, sketch array<bigint>"
 
@@ -154,42 +154,6 @@ def _differing(x: Column, y: Column) -> Column:
     return F.aggregate(F.zip_with(x, y, lambda a, b: F.bit_count(a.bitwiseXOR(b))), F.lit(0), lambda s, v: s + v)
 
 
-class _Links:
-    """Confirms proposed pairs of classes on their full sets and remembers what was tested."""
-
-    def __init__(self, docs: DataFrame, classes: DataFrame, shared: DataFrame, key: str, text: str, percent: int):
-        self.classes, self.percent = classes, percent
-        reps = classes.join(shared.select("node").distinct(), "node", "left_semi").select(F.col("rep").alias("_rep"))
-        reps = written(reps, "reps")
-        few = reps.count() <= BROADCAST_ROWS
-        wanted = docs.join(F.broadcast(reps) if few else reps, F.col(key).cast("bigint") == F.col("_rep"), "left_semi")
-        sets = wanted.select(F.col(text).cast("binary").alias("body")).mapInArrow(_sets, "node binary, members array<bigint>")
-        self.sets = written(sets.dropDuplicates(["node"]), "sets")
-        drop_written(reps)
-        self.edges: DataFrame | None = None
-        self.tested: DataFrame | None = None
-
-    def test(self, pairs: DataFrame) -> None:
-        """pairs: (a, b) with a < b, of comparable sizes, any number of times."""
-        pairs = pairs.distinct()
-        if self.tested is not None:
-            pairs = pairs.join(self.tested, ["a", "b"], "left_anti")
-        pairs = written(pairs, "pairs")
-        sketch = lambda c: self.classes.select(F.col("node").alias(c), F.col("sketch").alias(f"sketch_{c}"))
-        near = pairs.join(sketch("a"), "a").join(sketch("b"), "b").where(_differing(F.col("sketch_a"), F.col("sketch_b")) <= sketch_limit(self.percent)).select("a", "b")
-        members = lambda c: self.sets.select(F.col("node").alias(c), F.col("members").alias(f"of_{c}"))
-        both = near.join(members("a"), "a").join(members("b"), "b")
-        inter = F.size(F.array_intersect("of_a", "of_b"))
-        union = F.size("of_a") + F.size("of_b") - F.col("_i")
-        linked = both.select("a", "b", "of_a", "of_b", inter.alias("_i")).where(100 * F.col("_i") >= self.percent * union).select("a", "b")
-        linked = written(linked, "links")
-        self.edges = linked if self.edges is None else self.edges.unionByName(linked)
-        self.tested = pairs if self.tested is None else self.tested.unionByName(pairs)
-
-    def merge(self) -> DataFrame:
-        return written(components(self.edges), "merged")
-
-
 def _with_component(members: DataFrame, merged: DataFrame) -> DataFrame:
     return members.join(merged, "node", "left").withColumn("root", F.coalesce("root", "node"))
 
@@ -209,56 +173,144 @@ def _ordered(x: str, y: str) -> list[Column]:
 
 
 def _tiles(members: DataFrame) -> DataFrame:
-    """Deal the members of a bucket to tiles (i, j), i <= j, of at most TILE rows a side."""
+    """Deal the members of a bucket to tiles (i, j), i <= j, of at most about TILE rows a side."""
     parts = F.ceil(F.col("size") / TILE).cast("int")
     part = F.pmod(F.xxhash64(F.lit("tile"), "node"), parts.cast("bigint")).cast("int")
     dealt = members.withColumn("part", part).withColumn("other", F.explode(F.sequence(F.lit(0), parts - 1)))
     return dealt.select("bucket", F.least("part", "other").alias("i"), F.greatest("part", "other").alias("j"), "part", "node", "root", "n", "sketch")
 
 
-def _search(batches: Iterator, limit: int, percent: int, most: int) -> Iterator:
-    """Pairs of a tile across components that pass size and sketch, at most ``most`` for each row; a row without pair tells that more remain."""
-    import numpy as np
-    import pyarrow as pa
-
-    def flush(rows: list[dict]) -> pa.RecordBatch | None:
-        if len(rows) < 2:
-            return None
-        sketch = np.array([r["sketch"] for r in rows], np.int64).view(np.uint64)
-        n = np.array([r["n"] for r in rows], np.int64)
-        root = np.unique([r["root"].hex() for r in rows], return_inverse=True)[1]
-        part = np.array([r["part"] for r in rows])
-        left, right, more = [], [], False
-        cross = rows[0]["i"] != rows[0]["j"]
-        for k in range(len(rows)):
-            others = np.flatnonzero((root != root[k]) & (part != part[k]) if cross else root != root[k])
-            others = others[others > k]
-            others = others[100 * np.minimum(n[others], n[k]) >= percent * np.maximum(n[others], n[k])]
-            if len(others):
-                others = others[np.bitwise_count(sketch[others] ^ sketch[k]).sum(axis=1) <= limit]
-            more |= len(others) > most
-            for o in others[:most]:
-                x, y = sorted((rows[k]["node"], rows[o]["node"]))
-                left.append(x)
-                right.append(y)
-        if more:
-            left.append(None)
-            right.append(None)
-        return pa.RecordBatch.from_arrays([pa.array(left, pa.binary()), pa.array(right, pa.binary())], names=["a", "b"]) if left else None
-
+def _by_tile(batches: Iterator, work) -> Iterator:
+    """Run ``work`` on the rows of each tile; rows come sorted by (bucket, i, j)."""
     rows, at = [], None
     for batch in batches:
         for r in batch.to_pylist():
             here = (r["bucket"], r["i"], r["j"])
             if here != at:
-                if (out := flush(rows)) is not None:
+                if len(rows) > 1 and (out := work(rows)) is not None:
                     yield out
                 rows, at = [], here
             rows.append(r)
-    if (out := flush(rows)) is not None:
+    if len(rows) > 1 and (out := work(rows)) is not None:
         yield out
 
 
+class _Tile:
+    """The rows of a tile, and which later rows a row may link with across components."""
+
+    def __init__(self, rows: list[dict], limit: int, percent: int):
+        import numpy as np
+
+        self.np, self.limit, self.percent = np, limit, percent
+        self.sketch = np.array([r["sketch"] for r in rows], np.int64).view(np.uint64)
+        self.n = np.array([r["n"] for r in rows], np.int64)
+        self.root = np.unique([r["root"].hex() for r in rows], return_inverse=True)[1]
+        self.part = np.array([r["part"] for r in rows])
+        self.cross = rows[0]["i"] != rows[0]["j"]
+
+    def candidates(self, k: int):
+        np = self.np
+        o = np.arange(k + 1, len(self.n))
+        o = o[self.root[o] != self.root[k]]
+        if self.cross:
+            o = o[self.part[o] != self.part[k]]
+        o = o[100 * np.minimum(self.n[o], self.n[k]) >= self.percent * np.maximum(self.n[o], self.n[k])]
+        return o[np.bitwise_count(self.sketch[o] ^ self.sketch[k]).sum(axis=1) <= self.limit] if len(o) else o
+
+
+def _active(rows: list[dict], limit: int, percent: int):
+    """The rows of a tile that have some candidate by size and sketch."""
+    import numpy as np
+    import pyarrow as pa
+
+    tile, marked = _Tile(rows, limit, percent), np.zeros(len(rows), bool)
+    for k in range(len(rows) - 1):
+        if len(o := tile.candidates(k)):
+            marked[o] = marked[k] = True
+    kept = [rows[k] for k in np.flatnonzero(marked)]
+    kinds = (("bucket", pa.int64()), ("i", pa.int32()), ("j", pa.int32()), ("part", pa.int32()), ("node", pa.binary()), ("root", pa.binary()), ("n", pa.int64()), ("sketch", pa.list_(pa.int64())))
+    return pa.RecordBatch.from_arrays([pa.array([r[c] for r in kept], t) for c, t in kinds], names=[c for c, _ in kinds]) if kept else None
+
+
+ACTIVE = "bucket bigint, i int, j int, part int, node binary, root binary, n bigint, sketch array<bigint>"
+
+
+def _confirm(rows: list[dict], limit: int, percent: int):
+    """Links of a tile confirmed on full sets, as a spanning forest over components: a pair already connected isn't tested again."""
+    import numpy as np
+    import pyarrow as pa
+
+    tile = _Tile(rows, limit, percent)
+    members = [np.array(r["members"], np.int64) for r in rows]
+    every = np.concatenate(members)
+    owner = np.repeat(np.arange(len(rows)), tile.n)
+    order = np.argsort(every, kind="stable")
+    every, owner = every[order], owner[order]
+    up = list(range(int(tile.root.max()) + 1))
+
+    def top(x: int) -> int:
+        while up[x] != x:
+            up[x] = up[up[x]]
+            x = up[x]
+        return x
+
+    left, right = [], []
+    for k in range(len(rows) - 1):
+        o = tile.candidates(k)
+        mine = top(tile.root[k])
+        o = [x for x in o.tolist() if top(tile.root[x]) != mine]
+        if not o:
+            continue
+        first, last = np.searchsorted(every, members[k], "left"), np.searchsorted(every, members[k], "right")
+        size = last - first
+        at = np.repeat(first - np.concatenate([[0], size[:-1].cumsum()]), size) + np.arange(size.sum())
+        common = np.bincount(owner[at], minlength=len(rows))  # of row k with every row of the tile
+        for x in o:
+            if 100 * common[x] >= percent * (tile.n[k] + tile.n[x] - common[x]) and (there := top(tile.root[x])) != (mine := top(tile.root[k])):
+                up[there] = mine
+                left.append(rows[k]["node"])
+                right.append(rows[x]["node"])
+    return pa.RecordBatch.from_arrays([pa.array(left, pa.binary()), pa.array(right, pa.binary())], names=["a", "b"]) if left else None
+
+
+def _full_sets(docs: DataFrame, classes: DataFrame, shared: DataFrame, key: str, text: str) -> DataFrame:
+    """(node, members) of the classes that share a bucket, from the texts of their representatives."""
+    reps = written(classes.join(shared.select("node").distinct(), "node", "left_semi").select(F.col("rep").alias("_rep")), "reps")
+    few = reps.count() <= BROADCAST_ROWS
+    wanted = docs.join(F.broadcast(reps) if few else reps, F.col(key).cast("bigint") == F.col("_rep"), "left_semi")
+    sets = wanted.select(F.col(text).cast("binary").alias("body")).mapInArrow(_sets, "node binary, members array<bigint>")
+    sets = written(sets.dropDuplicates(["node"]), "sets")
+    drop_written(reps)
+    return sets
+
+
+def _links(classes: DataFrame, shared: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """Confirmed links whose components are those of all links; not every link is listed."""
+    limit = sketch_limit(percent)
+    weight = shared.groupBy("node").agg(F.sum("size").alias("weight"))
+    weighed = written(shared.join(weight, "node").select("bucket", "node", "n", "weight"), "weighed")
+    pivot = weighed.groupBy("bucket").agg(F.max(F.struct("weight", "node", "n")).alias("p")).select("bucket", F.col("p.node").alias("pivot"), F.col("p.n").alias("m"))
+    tried = written(weighed.join(pivot, "bucket").where(F.col("node") != F.col("pivot")).select("bucket", "node", "n", "pivot", "m"), "tried")
+    pairs = tried.where(_comparable(percent)).select(*_ordered("node", "pivot")).distinct()
+    sketch = lambda c: classes.select(F.col("node").alias(c), F.col("sketch").alias(f"sketch_{c}"))
+    near = pairs.join(sketch("a"), "a").join(sketch("b"), "b").where(_differing(F.col("sketch_a"), F.col("sketch_b")) <= limit).select("a", "b")
+    members = lambda c: sets.select(F.col("node").alias(c), F.col("members").alias(f"of_{c}"))
+    both = near.join(members("a"), "a").join(members("b"), "b").withColumn("_i", F.size(F.array_intersect("of_a", "of_b")))
+    union = F.size("of_a") + F.size("of_b") - F.col("_i")
+    links = written(both.where(100 * F.col("_i") >= percent * union).select("a", "b"), "links")
+    drop_written(weighed)
+    # The pivots are done with. What is left to find are links between other members of different components.
+    rest = _several(_with_component(tried.select("bucket", "node", "n"), components(links))).join(classes.select("node", "sketch"), "node")
+    order = ["bucket", "i", "j"]
+    tiles = _tiles(rest).repartition(*order).sortWithinPartitions(*order)
+    active = written(tiles.mapInArrow(lambda it: _by_tile(it, lambda rows: _active(rows, limit, percent)), ACTIVE), "active")
+    if active.isEmpty():
+        return links
+    full = active.join(sets, "node").repartition(*order).sortWithinPartitions(*order)
+    more = full.mapInArrow(lambda it: _by_tile(it, lambda rows: _confirm(rows, limit, percent)), "a binary, b binary")
+    return links.unionByName(written(more, "more-links"))
+
+
 def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", percent: int = 75) -> DataFrame:
     """doc_id, n_shingles, component_id (smallest doc_id reachable by links), kept (doc_id = component_id)."""
     signed = written(sign(docs, key, text), "signed")
@@ -268,39 +320,12 @@ def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", pe
     )
     classes = written(classes, "classes")
     members = classes.select("node", "n", F.explode("bands").alias("bucket"))
-    crowded = members.groupBy("bucket").agg(F.min("node").alias("_x"), F.max("node").alias("_y"), F.count("*").alias("size")).where("_x != _y")
-    shared = written(members.join(crowded.select("bucket", "size"), "bucket").select("bucket", "node", "n", "size"), "shared")
-    final: DataFrame | None = None
+    crowded = members.groupBy("bucket").agg(F.count("*").alias("size")).where("size > 1")
+    shared = written(members.join(crowded, "bucket").select("bucket", "node", "n", "size"), "shared")
+    small = classes.select("node", F.col("rep").alias("component_id"))
     if not shared.isEmpty():
-        links = _Links(docs, classes, shared, key, text, percent)
-        weight = shared.groupBy("node").agg(F.sum("size").alias("weight"))
-        open_ = written(shared.join(weight, "node").select("bucket", "node", "n", "weight"), "open")
-        for _ in range(PIVOT_ROUNDS):
-            pivot = open_.groupBy("bucket").agg(F.max(F.struct("weight", "node", "n")).alias("p")).select("bucket", F.col("p.node").alias("pivot"), F.col("p.n").alias("m"))
-            tried = open_.join(pivot, "bucket").where(F.col("node") != F.col("pivot"))
-            links.test(tried.where(_comparable(percent)).select(*_ordered("node", "pivot")))
-            final = links.merge()
-            rest = _several(_with_component(tried.select("bucket", "node", "n", "weight"), final)).select("bucket", "node", "n", "weight")
-            open_ = written(rest, "open")
-            if open_.isEmpty():
-                break
-        most = 16
-        while not open_.isEmpty():
-            left = _several(_with_component(open_.select("bucket", "node", "n"), final)).join(classes.select("node", "sketch"), "node")
-            tiles = _tiles(left).repartition("bucket", "i", "j").sortWithinPartitions("bucket", "i", "j")
-            limit, cap = sketch_limit(percent), most
-            found = written(tiles.mapInArrow(lambda it: _search(it, limit, percent, cap), "a binary, b binary"), "found")
-            links.test(found.where(F.col("a").isNotNull()))
-            final = links.merge()
-            if found.where(F.col("a").isNull()).isEmpty():
-                break
-            most *= 8
-    small = classes.select("node", "rep")
-    if final is not None:
-        both = _with_component(small, final)
-        least = both.groupBy("root").agg(F.min("rep").alias("component_id"))
-        small = both.join(least, "root").select("node", "component_id")
-    else:
-        small = small.select("node", F.col("rep").alias("component_id"))
+        merged = components(_links(classes, shared, _full_sets(docs, classes, shared, key, text), percent))
+        both = _with_component(classes.select("node", "rep"), merged)
+        small = both.join(both.groupBy("root").agg(F.min("rep").alias("component_id")), "root").select("node", "component_id")
     out = signed.select("doc_id", "n_shingles", "node").join(small, "node", "left").withColumn("component_id", F.coalesce("component_id", "doc_id"))
     return out.select("doc_id", "n_shingles", "component_id", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)).alias("kept"))
