@@ -16,6 +16,8 @@ from quorumlab.llm.common import table, written
 from quorumlab.llm.queries import tokenizer_file
 
 COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
+#: Target token shares. Low quality isn't among them, as the first stage has removed it.
+TARGETS = {"clean": 0.97, "toxic": 0.03}
 
 
 def _only(docs: DataFrame, ids: DataFrame) -> DataFrame:
@@ -41,7 +43,7 @@ def keep_clean(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def mix_domains(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Repeat or thin documents so that expected domain totals match the target weights."""
-    return mixing.mix(docs.select(*COLUMNS), table(spark, sf_dir, "labels"))
+    return mixing.mix(docs.select(*COLUMNS), table(spark, sf_dir, "labels"), TARGETS)
 
 
 def write_tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
