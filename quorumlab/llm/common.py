@@ -65,3 +65,14 @@ def ascii_lower_bytes(text: Column) -> Column:
 def unit_hash(*parts: Column) -> Column:
     """A double in (0, 1) that depends on the parts alone, never on the partitioning."""
     return (F.shiftrightunsigned(F.xxhash64(*parts), 11).cast("double") + 0.5) / F.lit(float(1 << 53))
+
+
+def spare(df: DataFrame, *names: str) -> list[str]:
+    """Column names like the given ones that the table doesn't have yet, whatever the case."""
+    taken, out = {c.lower() for c in df.columns}, []
+    for name in names:
+        while name.lower() in taken:
+            name += "_"
+        taken.add(name.lower())
+        out.append(name)
+    return out

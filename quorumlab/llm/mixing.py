@@ -12,7 +12,7 @@
 Only DataFrame operations run on the data. The driver sees K-vectors and the classifier's table
 (at most ``features`` rows).
 
-Defined cases: null and empty texts have no words and no tokens, the prior as posterior, and never change a total; a null id has a
+Defined cases: null and empty texts, and those of marks alone, have no words and no tokens, the prior as posterior, and never change a total; a null id has a
 rate, and is hashed as one key; labels that name no domain are not used; a domain without labelled rows gets no posterior
 mass and its target cannot be met; without any labels all domains are equally likely; repeated rows are separate documents.
 """
@@ -25,17 +25,21 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import unit_hash, written
+from .common import spare, unit_hash, written
 
 #: Most labelled rows that the classifier is fitted to, and most features it keeps.
 SAMPLE_ROWS, FEATURES = 20_000, 128
 #: Least labelled documents that have a feature.
 LEAST_DOCS = 5
+#: How many times likelier a feature must be in some domain than in the others together.
+LEAST_LIFT = 3.0
 ITERATIONS, TOLERANCE, MAX_RATE = 25, 1e-4, 8.0
 #: Cut points of the shape tags.
 CUTS = {"marked": (0.0, 0.05, 0.2, 0.5), "capital": (0.05, 0.2, 0.5), "distinct": (0.2, 0.4, 0.55, 0.7, 0.85)}
-#: Last characters that make a word "marked".
-MARKS = list("#$%&*!|")
+#: What parts words, marks at the end of a run of characters, and runs of capitals.
+SEPARATORS = r"[\x20\x09-\x0D.,;:?!#$%&*|]+"
+MARKED = r"[#$%&*!|](?=[\x20\x09-\x0D]|$)"
+CAPITALS = r"(?<![^\x20\x09-\x0D])[A-Z]{2,}"
 
 #: The default domains of the labels table, and their target shares of all tokens.
 TARGETS = {"clean": 0.90, "junk": 0.06, "toxic": 0.04}
@@ -46,26 +50,29 @@ def label_domain() -> Column:
 
 
 def word_array(text: Column) -> Column:
-    trimmed = F.regexp_replace(F.coalesce(text, F.lit("")), r"^[\x20\x09-\x0D]+|[\x20\x09-\x0D]+$", "")
-    return F.when(trimmed == "", F.array().cast("array<string>")).otherwise(F.split(trimmed, r"[\x20\x09-\x0D]+"))
-
-
-def feature_array(words: Column) -> Column:
-    """Distinct lowered words without marks at their ends, and one tag for each shape."""
-    n = F.greatest(F.size(words), F.lit(1))
-    shares = {
-        "marked": F.size(F.filter(words, lambda w: F.substring(w, -1, 1).isin(MARKS))) / n,
-        "capital": F.size(F.filter(words, lambda w: (F.length(w) > 1) & (w == F.upper(w)) & (w != F.lower(w)))) / n,
-        "distinct": F.size(F.array_distinct(words)) / n,
-    }
-    tags = []
-    for name, cuts in CUTS.items():
-        tag = F.lit(f" {name} {len(cuts)}")  # words hold no space, so a tag is never a word
-        for k, cut in reversed(list(enumerate(cuts))):
-            tag = F.when(shares[name] <= cut, f" {name} {k}").otherwise(tag)
-        tags.append(tag)
-    bare = F.transform(F.array_distinct(words), lambda w: F.rtrim(F.lower(w), F.lit(".,;:?!#$%&*|")))
-    return F.concat(F.array_distinct(bare), F.array(*tags))
+    """The words of a text, lowered: runs of characters other than white space and marks."""
+    return F.array_remove(F.split(F.lower(F.coalesce(text, F.lit(""))), SEPARATORS), "")
+
+
+def _tag(share: Column, name: str) -> Column:
+    """array(" name k"), k counting the cuts below the share. Words hold no space, so a tag is never a word."""
+
+    def of(v: Column) -> Column:
+        out = F.lit(f" {name} {len(CUTS[name])}")
+        for k, cut in reversed(list(enumerate(CUTS[name]))):
+            out = F.when(v <= cut, f" {name} {k}").otherwise(out)
+        return out
+
+    return F.transform(F.array(share), of)
+
+
+def feature_array(text: Column, words: Column) -> Column:
+    """Distinct words, and one tag for each shape. Shapes are counted in the text, which is cheaper than looking at each word."""
+    n, distinct = F.greatest(F.size(words), F.lit(1)), F.array_distinct(words)
+    shares = {"marked": F.regexp_count(text, F.lit(MARKED)) / n, "capital": F.regexp_count(text, F.lit(CAPITALS)) / n, "distinct": F.size(distinct) / n}
+    # Each share is computed once, as a lambda's argument.
+    tags = [_tag(shares[name], name) for name in CUTS]
+    return F.concat(distinct, *tags)
 
 
 @dataclass(frozen=True)
@@ -75,14 +82,14 @@ class DomainModel:
     gain: dict[str, tuple[float, ...]]  # feature -> what its presence adds, for each domain
     prior: tuple[float, ...]
 
-    def posterior(self, words: Column) -> Column:
-        """array<double> over the domains."""
+    def posterior(self, text: Column, words: Column) -> Column:
+        """array<double> over the domains, from a text and its words."""
         total = F.array(*[F.lit(b) for b in self.base])
         if self.gain:
             names = sorted(self.gain)
             keys = F.array(*[F.lit(x) for x in names])
             values = F.array(*[F.array(*[F.lit(v) for v in self.gain[x]]) for x in names])
-            present = F.array_intersect(feature_array(words), keys)
+            present = F.array_intersect(feature_array(text, words), keys)
             gains = F.map_from_arrays(keys, values)
             total = F.aggregate(present, total, lambda acc, f: F.zip_with(acc, F.element_at(gains, f), lambda x, y: x + y))
         most = F.array_max
@@ -96,8 +103,9 @@ def learn_domains(docs: DataFrame, labelled: DataFrame, domains: list[str], samp
     k = len(domains)
     ids = labelled.where(F.col("domain").isin(domains) & F.col("doc_id").isNotNull()).groupBy(F.col("doc_id").alias("_id")).agg(F.min("domain").alias("_domain"))
     ids = ids.orderBy(F.xxhash64(F.col("_id")), "_id").limit(sample_rows)
-    sample = docs.select(F.col(key).alias("_doc"), word_array(F.col(text)).alias("words")).join(F.broadcast(ids), F.col("_doc") == F.col("_id"))
-    sample = sample.where(F.size("words") > 0).select("_domain", F.explode(feature_array(F.col("words"))).alias("feature"))
+    sample = docs.select(F.col(key).alias("_doc"), F.col(text).alias("text")).join(F.broadcast(ids), F.col("_doc") == F.col("_id"))
+    sample = sample.select("_domain", "text", word_array(F.col("text")).alias("words")).where(F.size("words") > 0)
+    sample = sample.select("_domain", F.explode(feature_array(F.col("text"), F.col("words"))).alias("feature"))
     each = [F.count_if(F.col("_domain") == d).alias(f"n{j}") for j, d in enumerate(domains)]
     counts = written(sample.groupBy("feature").agg(*each), "features")
     # Every document has exactly one tag of a kind, so these rows sum to the documents.
@@ -107,9 +115,15 @@ def learn_domains(docs: DataFrame, labelled: DataFrame, domains: list[str], samp
     if not everything:
         even = tuple([1.0 / k] * k)
         return DomainModel(tuple(domains), tuple(math.log(p) for p in even), {}, even)
-    share = sum((F.col(f"n{j}") for j in range(k)), F.lit(0)) / everything
-    z = [F.abs(F.col(f"n{j}") / max(1, size[j]) - share) * math.sqrt(size[j]) / F.sqrt(share * (1 - share) + 1e-9) for j in range(k)]
-    kept = counts.where(sum((F.col(f"n{j}") for j in range(k)), F.lit(0)) >= LEAST_DOCS).orderBy(F.greatest(*z).desc() if k > 1 else z[0].desc(), "feature").limit(features).collect()
+    all_n = sum((F.col(f"n{j}") for j in range(k)), F.lit(0))
+    share = all_n / everything
+    inside = [F.col(f"n{j}") / max(1, size[j]) for j in range(k)]
+    outside = [(all_n - F.col(f"n{j}") + 0.5) / (everything - size[j] + 1) for j in range(k)]
+    # Only what points to a domain counts: common words differ with language and length, and not with the domain.
+    points = F.greatest(*[i / o for i, o in zip(inside, outside, strict=True)]) if k > 1 else inside[0] / outside[0]
+    z = [F.abs(i - share) * math.sqrt(n) / F.sqrt(share * (1 - share) + 1e-9) for i, n in zip(inside, size, strict=True)]
+    best = F.greatest(*z) if k > 1 else z[0]
+    kept = counts.where((all_n >= LEAST_DOCS) & (points >= LEAST_LIFT)).orderBy(best.desc(), "feature").limit(features).collect()
     prior = tuple((s + 1e-9) / (everything + k * 1e-9) for s in size)
     base, gain = [math.log(p) for p in prior], {}
     for row in kept:
@@ -188,8 +202,8 @@ def copies_of(rate: Column, key: Column) -> Column:
 
 def memberships(docs: DataFrame, model: DomainModel, key: str = "doc_id", text: str = "text") -> DataFrame:
     k = len(model.domains)
-    rows = docs.select(F.col(key).alias("doc_id"), word_array(F.col(text)).alias("words"))
-    rows = rows.select("doc_id", F.size("words").cast("bigint").alias("tokens"), model.posterior(F.col("words")).alias("p"))
+    rows = docs.select(F.col(key).alias("doc_id"), F.col(text).alias("text"), word_array(F.col(text)).alias("words"))
+    rows = rows.select("doc_id", F.size("words").cast("bigint").alias("tokens"), model.posterior(F.col("text"), F.col("words")).alias("p"))
     return rows.select("doc_id", "tokens", *[F.col("p")[j].alias(f"p{j}") for j in range(k)])
 
 
@@ -214,6 +228,8 @@ def mix(docs: DataFrame, labels: DataFrame, targets: dict[str, float] | None = N
     """The documents, each as often as its rate decides; all columns kept, nothing shuffled."""
     mixture, _ = fit_mixture(docs, labels.select("doc_id", label_domain().alias("domain")), targets or TARGETS, key, text)
     names = docs.columns
-    rated = docs.withColumn("_p", mixture.model.posterior(word_array(F.col(text))))
-    rated = rated.withColumn("_n", copies_of(mixture.rate(F.col("_p")), F.col(key))).where("_n > 0")
-    return rated.withColumn("_copy", F.explode(F.sequence(F.lit(1).cast("bigint"), F.col("_n")))).select(*names)
+    p, n, copy, words = spare(docs, "_p", "_n", "_copy", "_words")
+    rated = docs.withColumn(words, word_array(F.col(text)))
+    rated = rated.withColumn(p, mixture.model.posterior(F.col(text), F.col(words)))
+    rated = rated.withColumn(n, copies_of(mixture.rate(F.col(p)), F.col(key))).where(F.col(n) > 0)
+    return rated.withColumn(copy, F.explode(F.sequence(F.lit(1).cast("bigint"), F.col(n)))).select(*names)
