@@ -15,7 +15,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import ascii_lower_bytes
+from .common import ascii_lower_bytes, spare
 
 #: The pattern of a word after lowering, and its complement with capitals kept.
 WORD = r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+"
@@ -110,19 +110,23 @@ def decontamination_report(docs: DataFrame, benchmark: DataFrame, window: int =
 
 def drop_contaminated(docs: DataFrame, benchmark: DataFrame, window: int = 13, key: str = "doc_id", text: str = "text") -> DataFrame:
     """The documents without the contaminated ones, all columns kept."""
-    bad = judge(find_windows(docs, benchmark, window, key, text)).where("contaminated").select(F.col("doc_id").alias("_bad"), F.col("_text").alias("_t"))
-    return docs.withColumn("_text", F.xxhash64(F.col(text))).join(bad, F.col(key).eqNullSafe(F.col("_bad")) & F.col("_text").eqNullSafe(F.col("_t")), "left_anti").drop("_text")
+    h, bad_id, bad_text = spare(docs, "_text", "_bad", "_bad_text")
+    bad = judge(find_windows(docs, benchmark, window, key, text)).where("contaminated").select(F.col("doc_id").alias(bad_id), F.col("_text").alias(bad_text))
+    marked = docs.withColumn(h, F.xxhash64(F.col(text)))
+    return marked.join(bad, F.col(key).eqNullSafe(F.col(bad_id)) & F.col(h).eqNullSafe(F.col(bad_text)), "left_anti").drop(h)
 
 
 def remove_spans(docs: DataFrame, benchmark: DataFrame, window: int = 13, key: str = "doc_id", text: str = "text") -> DataFrame:
     """The documents with every hit word cut from the text; separators stay. Untouched texts come back unchanged."""
-    hits = find_windows(docs, benchmark, window, key, text).where(F.size("spans") > 0).select(F.col("doc_id").alias("_id"), F.col("_text").alias("_t"), "spans")
-    body = docs.withColumn("_text", F.xxhash64(F.col(text)))
-    both = body.join(hits, F.col(key).eqNullSafe(F.col("_id")) & (F.col("_text") == F.col("_t")), "left")
+    h, hit_id, hit_text, spans = spare(docs, "_text", "_hit", "_hit_text", "_spans")
+    found = find_windows(docs, benchmark, window, key, text).where(F.size("spans") > 0)
+    hits = found.select(F.col("doc_id").alias(hit_id), F.col("_text").alias(hit_text), F.col("spans").alias(spans))
+    body = docs.withColumn(h, F.xxhash64(F.col(text)))
+    both = body.join(hits, F.col(key).eqNullSafe(F.col(hit_id)) & F.col(h).eqNullSafe(F.col(hit_text)), "left")
     words, gaps = F.regexp_extract_all(F.col(text), F.lit(WORD_ANY_CASE), F.lit(0)), F.split(F.col(text), WORD_ANY_CASE)
-    kept = F.transform(words, lambda w, i: F.when(F.exists("spans", lambda s: (s["at"] <= i) & (i < s["at"] + s["len"])), F.lit("")).otherwise(w))
+    kept = F.transform(words, lambda w, i: F.when(F.exists(spans, lambda s: (s["at"] <= i) & (i < s["at"] + s["len"])), F.lit("")).otherwise(w))
     rebuilt = F.array_join(F.zip_with(gaps, kept, lambda g, w: F.concat(g, F.coalesce(w, F.lit("")))), "")
-    return both.withColumn(text, F.when(F.col("spans").isNotNull(), rebuilt).otherwise(F.col(text))).drop("_text", "_id", "_t", "spans")
+    return both.withColumn(text, F.when(F.col(spans).isNotNull(), rebuilt).otherwise(F.col(text))).drop(h, hit_id, hit_text, spans)
 
 
 #: DuckDB: every window, every position, joined by its words.

@@ -63,7 +63,11 @@ def _place(batches: Iterator, cosine: float) -> Iterator:
         for node, label, vector in zip(nodes, labels, vectors, strict=True):
             v = np.array(vector, np.float64)
             d = len(v)
-            unit = v / math.sqrt(float((v * v).sum()))
+            length = float((v * v).sum())
+            if not 0 < length < math.inf:  # squares beyond the range of a double
+                v = v / np.abs(v).max()
+                length = float((v * v).sum())
+            unit = v / math.sqrt(length)
             if d not in turn:
                 turn[d] = rotation(d)
             turned = (turn[d] * unit).sum(axis=1)  # not a matrix product: the same bits whatever the batch
@@ -202,4 +206,4 @@ def near_duplicate_vectors(vectors: DataFrame, cosine: float = COSINE, key: str
     known = known.join(least, "root").select("digest", (F.coalesce("n", F.lit(0)) + F.col("copies") - 1).alias("n_links"), "component_id")
     out = rows.where(F.col("v").isNull()).select("vec_id", F.lit(0).cast("bigint").alias("n_links"), F.col("vec_id").alias("component_id"))
     out = out.unionByName(keyed.select("vec_id", "digest").join(known, "digest").select("vec_id", "n_links", "component_id"))
-    return out.withColumn("kept", F.coalesce(F.col("vec_id") == F.col("component_id"), F.lit(True)))
+    return out.withColumn("kept", F.col("vec_id").eqNullSafe(F.col("component_id")))

@@ -15,7 +15,8 @@ the empty set and links with nothing. Two documents are linked if 100 |A & B| >=
   full sets of the rows that have candidates, and gives a spanning forest of the confirmed links across components.
   Every link is confirmed on full sets, and a tile emits no more rows than it holds.
 
-Repeated rows, and rows that share an id and text, fall in one class; each input row has its result row.
+Defined cases: repeated rows fall in one class, and each input row has its result row; rows with a null id share
+a class with rows of equal sets, and are not compared otherwise; an empty table gives no rows; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -277,8 +278,9 @@ def _full_sets(docs: DataFrame, classes: DataFrame, shared: DataFrame, key: str,
     """(node, members) of the classes that share a bucket, from the texts of their representatives."""
     reps = written(classes.join(shared.select("node").distinct(), "node", "left_semi").select(F.col("rep").alias("_rep")), "reps")
     few = reps.count() <= BROADCAST_ROWS
-    wanted = docs.join(F.broadcast(reps) if few else reps, F.col(key).cast("bigint") == F.col("_rep"), "left_semi")
-    sets = wanted.select(F.col(text).cast("binary").alias("body")).mapInArrow(_sets, "node binary, members array<bigint>")
+    bodies = docs.select(F.col(key).cast("bigint").alias("_id"), F.col(text).cast("binary").alias("body"))
+    wanted = bodies.join(F.broadcast(reps) if few else reps, F.col("_id") == F.col("_rep"), "left_semi")
+    sets = wanted.select("body").mapInArrow(_sets, "node binary, members array<bigint>")
     sets = written(sets.dropDuplicates(["node"]), "sets")
     drop_written(reps)
     return sets
@@ -328,4 +330,4 @@ def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", pe
         both = _with_component(classes.select("node", "rep"), merged)
         small = both.join(both.groupBy("root").agg(F.min("rep").alias("component_id")), "root").select("node", "component_id")
     out = signed.select("doc_id", "n_shingles", "node").join(small, "node", "left").withColumn("component_id", F.coalesce("component_id", "doc_id"))
-    return out.select("doc_id", "n_shingles", "component_id", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)).alias("kept"))
+    return out.select("doc_id", "n_shingles", "component_id", F.col("doc_id").eqNullSafe(F.col("component_id")).alias("kept"))
