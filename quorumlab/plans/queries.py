@@ -471,20 +471,20 @@ def step_size_table(spark, sf_dir):
 
 @query("select worker, count(*) n from (select (row_number() over (order by " + rng.hash48_sql(0, "split", "doc_id") + ", doc_id) - 1) % 20 worker from documents) group by 1")
 def split_random_sizes(spark, sf_dir):
-    s = samples.even_random(samples.language_task(spark, sf_dir), M)
+    s = samples.even_random(samples.language_task(spark, sf_dir).select("row_id", "y"), M)
     return s.groupBy(F.col("worker").cast("bigint").alias("worker")).agg(F.count("*").alias("n"))
 
 
 @query("""select cast((r * 20) // n as int) worker, y, count(*) rows from (select row_number() over (order by y, doc_id) - 1 r, y, count(*) over () n
 from (select doc_id, cast(list_position(['de', 'en', 'es', 'fr'], lang) - 1 as int) y from documents)) group by 1, 2""")
 def split_label_histogram(spark, sf_dir):
-    s = samples.even_by_label(samples.language_task(spark, sf_dir), M)
+    s = samples.even_by_label(samples.language_task(spark, sf_dir).select("row_id", "y"), M)
     return s.groupBy("worker", "y").agg(F.count("*").alias("rows"))
 
 
 @query("select source, cast(dense_rank() over (order by source) - 1 as int) worker, n from (select source, count(*) n from documents group by 1)")
 def split_by_source(spark, sf_dir):
-    s = samples.by_key(samples.language_task(spark, sf_dir), "source")
+    s = samples.by_key(samples.language_task(spark, sf_dir).select("row_id", "y", "source"), "source")
     return s.groupBy("source", "worker").agg(F.count("*").alias("n"))
 
 
@@ -502,7 +502,7 @@ def natural_shards(spark, sf_dir):
 c as (select worker, y, count(*) n from s group by 1, 2), t as (select y, sum(n) a from c group by 1), w as (select worker, sum(n) r, count(*) labels from c group by 1)
 select cast(w.worker as int) worker, cast(r as bigint) rows, labels, round(sum(abs(coalesce(c.n, 0) / r - a / (select sum(a) from t))) / 2, 6) distance from w cross join t left join c on c.worker = w.worker and c.y = t.y group by 1, 2, 3""")
 def shard_skew(spark, sf_dir):
-    s = samples.shard_label_stats(samples.by_key(samples.language_task(spark, sf_dir), "source"))
+    s = samples.shard_label_stats(samples.by_key(samples.language_task(spark, sf_dir).select("row_id", "y", "source"), "source"))
     return s.select("worker", "rows", "labels", r6("distance").alias("distance"))
 
 
