@@ -98,3 +98,8 @@ def write_log(log: DataFrame, path: str, fmt: str = "parquet", mode: str = "appe
 def write_model(model: DataFrame, path: str) -> None:
     """Model rows (run_id, round_no, block, w); a round that is written again replaces its partition only."""
     model.write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy("run_id", "round_no").parquet(path)
+
+
+def write_shards(shards: DataFrame, path: str, files: int) -> None:
+    """Pieces sorted by (worker, pos), so that row groups of a file cover narrow ranges and a fetch prunes the others."""
+    shards.repartitionByRange(files, "worker", "pos").sortWithinPartitions("worker", "pos").write.mode("overwrite").parquet(path)

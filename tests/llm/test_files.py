@@ -87,7 +87,7 @@ def test_shard_file(tmp_path):
 
 def test_memo_encoder_equals_the_tokenizer():
     rng, e = random.Random(6), token_store.MemoEncoder(tokenizer_file(), memo=500)
-    texts = ["", " ", "a  b", "a\n\nb", "a\n b", "a \nb ", "<|endoftext|> x", "it's we'll", "é è", "tab\tx", "a\x1cb", "᠎b c", "x, y. z!", "Word, word. WORD!?"]
+    texts = ["", " ", "a  b", "a\n\nb", "a\n b", "a \nb ", "<|endoftext|> x", "it's we'll", "é è", "tab\tx", "a\x1cb", "᠎b c", "x, y. z!", "Word, word. WORD!?", "a , b", "a.. b), c", ", x", "x_, y", "x.\ny,\nz", "a\x01 b, c", "1, 2.\n3", "e\u0301, f"]
     texts += ["".join(rng.choice(["ab", "Cd", " ", " ", "\n", ",", ".", "1", "é", "'s", "日"]) for _ in range(rng.randint(0, 40))) for _ in range(3000)]
     for at in range(0, len(texts), 500):
         part = texts[at : at + 500]

@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 
 from quorumlab.operators import averaging, models, samples, training
 from quorumlab.plans.runspec import RunSpec, should_stop
+from quorumlab.sources import tables
 
 
 @pytest.mark.parametrize("model", [models.least_squares(5), models.logistic(5), models.softmax(5, 3), models.mlp(5, 4, 3), models.small_cnn(3)])
@@ -58,6 +59,16 @@ def test_splits_are_even_and_complete(spark, split):
         assert all(len({r["y"] for r in s if r["worker"] == w}) <= 2 for w in sizes)
 
 
+def test_stored_shards_and_skew(spark, tmp_path):
+    s = samples.even_random(task(spark), 4)
+    tables.write_shards(s, str(tmp_path / "shards"), 3)
+    back = spark.read.parquet(str(tmp_path / "shards"))
+    assert sorted(map(str, back.collect())) == sorted(map(str, s.collect()))
+    even, skewed = (samples.shard_label_stats(samples.label_skew(task(spark, 400), 8, b)).agg(F.avg("distance")).first()[0] for b in (1.0, 0.05))
+    assert even < skewed
+    assert samples.fetch(samples.draw_batches(spark.createDataFrame([(0, 0, 2)], "round_no int, worker int, steps int"), s.groupBy("worker").agg(F.count("*").alias("n")), 6, 1), s, 0).count() == 12
+
+
 def test_split_ignores_partitioning(spark):
     a = samples.even_random(task(spark).repartition(1), 5).collect()
     b = samples.even_random(task(spark).repartition(7), 5).collect()
