@@ -15,6 +15,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
 from quorumlab.functions import rng
+from quorumlab.operators.samples import dense_rank_distributed
 
 COLUMNS = ["run_id", "round_no", "worker", "steps", "uploads", "downloads", "weight", "ack_time", "round_time", "capped"]
 
@@ -189,9 +190,8 @@ def async_events(durations: DataFrame, horizon: float | None = None) -> DataFram
     done = durations.withColumn("t", F.sum("dur").over(own.rowsBetween(W.unboundedPreceding, 0))).withColumn("nth", F.row_number().over(own))
     if horizon is not None:
         done = done.where(F.col("t") <= horizon)
-    # The event order is one sequence by nature: the sort is global, and a run has few events (its updates).
-    version = F.row_number().over(W.orderBy("t", "worker", "nth")) - 1
-    events = done.select("worker", "nth", "t", version.cast("bigint").alias("version"))
+    # One sequence over all workers, numbered by range partitions rather than in one task.
+    events = dense_rank_distributed(done.select("worker", "nth", "t"), ["t", "worker", "nth"], "version")
     read = F.coalesce(F.lag("version").over(W.partitionBy("worker").orderBy("nth")) + 1, F.lit(0))
     return events.withColumn("read_version", read.cast("bigint")).withColumn("staleness", F.col("version") - F.col("read_version"))
 
