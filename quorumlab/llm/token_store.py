@@ -4,8 +4,8 @@ Documents are dealt by ranges of their id, sorted, encoded, and written as one f
 file holds, in this order:
 
 * data blocks. An entry is: bytes shared with the previous key, bytes of the rest of the key, bytes of the value (each as
-  a base-128 number), the rest of the key, the value. Keys are the document id as eight big-endian
-  bytes with the sign flipped, then eight bytes counting entries with the same id, so byte order is numeric order. A value is
+  a base-128 number), the rest of the key, the value. Keys are a byte that tells a null id (first) from
+  others, the document id as eight big-endian bytes with the sign flipped, and eight bytes counting entries with the same id, so byte order is numeric order. A value is
   the number of ids, then the ids at two bytes each (four if the vocabulary needs it). Blocks restart the prefixes and are
   compressed with Zstandard;
 * a sparse index with the first key, offset, length and entry count of each block;
@@ -17,7 +17,7 @@ A lookup reads footer, filter and index, finds the block by binary search and re
 Shards are committed by their manifest: a task writes under a name of its own and renames at the end; only files
 that a finished task names in the manifest are ever read, so retried or duplicated tasks leave no wrong rows.
 
-Defined cases: a null text is an empty one (only the end id); repeated ids and rows keep an entry each,
+Defined cases: a null text is an empty one (only the end id); a null id comes first, as one key; repeated ids and rows keep an entry each,
 in an order given by their text; an empty table gives no shards and no rows.
 """
 
@@ -27,12 +27,14 @@ import io
 import re
 import struct
 import zlib
+from array import array
 from collections.abc import Iterator
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import fresh_path
+from .wordpiece import printable_bytes
 
 MAGIC = b"QSST0001"
 FOOTER = "<QQQQQQI4x8s"
@@ -41,8 +43,8 @@ BLOOM_BITS_PER_KEY, BLOOM_HASHES = 10, 7
 END_ID = 2
 #: Text bytes for a shard, about.
 SHARD_BYTES = 256 << 20
-#: Text pieces a task remembers before it starts afresh.
-MEMO = 1_000_000
+#: Text pieces in a generation of a task's memo; two generations are held.
+MEMO = 400_000
 
 
 # --- encoding -------------------------------------------------------------------------------------------------
@@ -64,11 +66,16 @@ class MemoEncoder:
 
         os.environ["TOKENIZERS_PARALLELISM"] = "false"  # a task has one core
         self.tokenizer = Tokenizer.from_file(path)
-        self.limit, self.known = memo, {}
         vocabulary = self.tokenizer.get_vocab_size(with_added_tokens=True)
         self.kind = np.dtype("<u2") if vocabulary <= 1 << 16 else np.dtype("<u4")
+        self.limit, self.tails, self.model, self.code = memo, {}, self.tokenizer.model, self.kind.char
+        self.to_printable = {b: c for c, b in printable_bytes().items()}
         feed = self._ids(["\n"])[0]
-        self.feed = feed[0] if len(feed) == 1 and self._ids(["a\nb", "a", "b"]) and self._splits() else None
+        self.feed = feed[0] if len(feed) == 1 and self.tokenizer.normalizer is None and self._splits() else None
+        # Commas and full stops after a letter or digit become pieces of their own, under keys that no text on this path holds.
+        self.marks = {"\x01": np.array(self._ids([","])[0], self.kind).tobytes(), "\x02": np.array(self._ids(["."])[0], self.kind).tobytes()}
+        self.odd = re.compile(r"[\W_][.,][ \n]")
+        self.known, self.older = dict(self.marks), {}
         added = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
         self.added = re.compile("|".join(map(re.escape, added))) if added else None
 
@@ -77,26 +84,46 @@ class MemoEncoder:
 
     def _splits(self) -> bool:
         """Does this tokenizer cut where the memo relies on it?"""
-        whole, parts = self._ids(["Ab, c1\nDe f"])[0], self._ids(["Ab,", " c1", "\n", "De", " f"])
-        return whole == [i for p in parts for i in p]
+        whole, parts = self._ids(["Ab, c1\nDe. f"])[0], self._ids(["Ab", ",", " c1", "\n", "De", ".", " f"])
+        probe = ["The", " quick", " Überfluß", " ñandú", " a"]
+        direct = [array(self.code, ids).tobytes() for ids in self._ids(probe)] == self._direct(probe)
+        return direct and whole == [i for p in parts for i in p]
+
+    def _direct(self, words: list[str]) -> list[bytes]:
+        """Ids of pieces of a space or nothing, and letters: each is one unit of the splitter, so the model alone decides."""
+        if not words:
+            return []
+        written = "\n".join(words).encode().decode("latin-1").translate(self.to_printable).split(self.to_printable[10])
+        tokenize = self.model.tokenize
+        return [array(self.code, [t.id for t in tokenize(w)]).tobytes() for w in written]
 
     def _learn(self, pieces: list[str]) -> None:
-        """Encode unseen pieces in two calls: pieces after a space, parted by line feeds; pieces that begin with a line feed as they are."""
-        import numpy as np
-
-        for group, lead in (([p for p in pieces if p[0] != "\n"], "\n "), ([p for p in pieces if p[0] == "\n"], "")):
-            if not group:
-                continue
-            ids = np.array(self._ids(["".join(lead + p for p in group)])[0], self.kind)
-            cuts = np.flatnonzero(ids == self.feed)
-            if len(cuts) != len(group):
-                for p in group:
-                    self.known[p] = np.array(self._ids([" " + p if lead else p])[0], self.kind).tobytes()
-                continue
-            ends = np.append(cuts[1:], len(ids))
-            skip = 1 if lead else 0  # a piece after a space doesn't own the line feed before it
-            raw, width = ids.tobytes(), self.kind.itemsize
-            self.known.update((p, raw[(a + skip) * width : b * width]) for p, a, b in zip(group, cuts.tolist(), ends.tolist(), strict=True))
+        """Encode unseen pieces: words by the model, words with marks as word and marks, all else by the whole tokenizer."""
+        spaced, fed, rest = [], [], []
+        for p in pieces:
+            if p.isalpha():
+                spaced.append(p)
+            elif p[:1] == "\n" and p[1:].isalpha():
+                fed.append(p)
+            else:
+                rest.append(p)
+        self.known.update(zip(spaced, self._direct([" " + p for p in spaced]), strict=True))
+        feed = array(self.code, [self.feed]).tobytes()
+        self.known.update(zip(fed, (feed + b for b in self._direct([p[1:] for p in fed])), strict=True))
+        other = []
+        for p in rest:  # the splitter parts letters from marks
+            word = p.rstrip(",.;:!?#$%&*")
+            if word != p and word.isalpha():
+                if word not in self.known:
+                    self.known[word] = self._direct([" " + word])[0]
+                tail = p[len(word) :]
+                if tail not in self.tails:
+                    self.tails[tail] = array(self.code, self._ids([tail])[0]).tobytes()
+                self.known[p] = self.known[word] + self.tails[tail]
+            else:
+                other.append(p)
+        whole = self._ids([p if p[:1] == "\n" else " " + p for p in other])
+        self.known.update((p, array(self.code, ids).tobytes()) for p, ids in zip(other, whole, strict=True))
 
     def encode(self, texts: list[str]) -> list[bytes]:
         """The ids of each text, packed."""
@@ -105,14 +132,18 @@ class MemoEncoder:
         out: list = [None] * len(texts)
         whole, cut = [], []
         for k, text in enumerate(texts):
-            if self.feed is None or not text or " ".join(text.split()) != text.replace("\n", " ") or self.added and self.added.search(text):
+            if self.feed is None or not text or " ".join(text.split()) != text.replace("\n", " ") or "\x01" in text or "\x02" in text or self.added and self.added.search(text):
                 whole.append(k)
-            else:
-                cut.append((k, text.replace("\n", " \n").split(" ")))
+                continue
+            if not self.odd.search(text):
+                text = text.replace(", ", " \x01 ").replace(". ", " \x02 ").replace(",\n", " \x01\n").replace(".\n", " \x02\n")
+            cut.append((k, text.replace("\n", " \n").split(" ")))
+        if len(self.known) > self.limit:
+            self.known, self.older = dict(self.marks), self.known
         unseen = set().union(*(p[1:] for _, p in cut)).difference(self.known)
-        if len(self.known) + len(unseen) > self.limit:
-            self.known.clear()
-            unseen = set().union(*(p[1:] for _, p in cut))
+        if again := unseen.intersection(self.older):
+            self.known.update((p, self.older[p]) for p in again)
+            unseen -= again
         if unseen:
             self._learn(list(unseen))
         heads = self._ids([p[0] for _, p in cut])
@@ -146,18 +177,18 @@ def _read_number(data: bytes, at: int) -> tuple[int, int]:
         shift += 7
 
 
-def make_key(doc_id: int, repeat: int = 0) -> bytes:
-    return struct.pack(">QQ", (doc_id + (1 << 63)) & ((1 << 64) - 1), repeat)
+def make_key(doc_id: int | None, repeat: int = 0) -> bytes:
+    return struct.pack(">BQQ", doc_id is not None, ((doc_id or 0) + (1 << 63)) & ((1 << 64) - 1), repeat)
 
 
-def key_id(key: bytes) -> int:
-    return struct.unpack(">Q", key[:8])[0] - (1 << 63)
+def key_id(key: bytes) -> int | None:
+    return struct.unpack(">Q", key[1:9])[0] - (1 << 63) if key[0] else None
 
 
-def _bloom_places(doc_id: int, bits: int) -> list[int]:
+def _bloom_places(doc_id: int | None, bits: int) -> list[int]:
     from xxhash import xxh3_128_intdigest
 
-    h = xxh3_128_intdigest(make_key(doc_id)[:8])
+    h = xxh3_128_intdigest(make_key(doc_id)[:9])
     a, b = h & ((1 << 64) - 1), h >> 64 | 1
     return [(a + k * b) % bits for k in range(BLOOM_HASHES)]
 
@@ -173,7 +204,7 @@ class ShardWriter:
         self.block, self.first, self.last, self.in_block = bytearray(), b"", b"", 0
         self.index: list[tuple[bytes, int, int, int]] = []
         self.at = self.entries = self.ids = 0
-        self.keys: list[int] = []
+        self.keys: list[int | None] = []
 
     def add(self, key: bytes, ids: bytes) -> None:
         if key <= self.last:
@@ -275,7 +306,7 @@ class ShardReader:
             return []
         k = max(0, bisect_right([x[0] for x in self.index], make_key(doc_id)) - 1)
         out = []
-        while k < len(self.index) and self.index[k][0][:8] <= make_key(doc_id)[:8]:
+        while k < len(self.index) and self.index[k][0][:9] <= make_key(doc_id)[:9]:
             out += [ids for key, ids in self.block(k) if key_id(key) == doc_id]
             k += 1
         return out
@@ -305,7 +336,7 @@ ROWS = "shard int, nth bigint, doc_id bigint, n_tokens bigint, before bigint, id
 def write_shards(docs: DataFrame, tokenizer_path: str, where: str, shards: int | None = None, end_id: int = END_ID, key: str = "doc_id", text: str = "text") -> list:
     """Write the shards and return their manifest rows in ascending id order (one small row for each shard)."""
     spark = docs.sparkSession
-    rows = docs.select(F.col(key).cast("bigint").alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("text")).where(F.col("doc_id").isNotNull())
+    rows = docs.select(F.col(key).cast("bigint").alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("text"))
     if shards is None:
         total = rows.agg(F.sum(F.octet_length("text"))).first()[0] or 0
         least = spark.sparkContext.defaultParallelism
@@ -321,7 +352,7 @@ def write_shards(docs: DataFrame, tokenizer_path: str, where: str, shards: int |
         number = TaskContext.get().partitionId()
         path = f"{where}/shard-{number:06d}-{uuid.uuid4().hex}.sst"
         encoder = writer = out = first = last = None
-        repeat = 0
+        repeat, any_yet = 0, False
         for batch in batches:
             if not batch.num_rows:
                 continue
@@ -334,10 +365,10 @@ def write_shards(docs: DataFrame, tokenizer_path: str, where: str, shards: int |
             for at in range(0, len(ids), 256):
                 packed = encoder.encode(texts.slice(at, 256).to_pylist())
                 for doc_id, body in zip(ids[at : at + 256], packed, strict=True):
-                    repeat = repeat + 1 if doc_id == last else 0
+                    repeat = repeat + 1 if any_yet and doc_id == last else 0
                     writer.add(make_key(doc_id, repeat), body + end)
-                    first = doc_id if first is None else first
-                    last = doc_id
+                    first = doc_id if not any_yet else first
+                    last, any_yet = doc_id, True
         if writer is not None:
             writer.close()
             out.close()
@@ -383,13 +414,13 @@ def read_shards(spark: SparkSession, manifest: list) -> DataFrame:
     return spread.mapInArrow(read, "doc_id bigint, start bigint, n_tokens bigint, ids_crc32 bigint")
 
 
-def lookup(manifest: list, doc_id: int) -> list[list[int]]:
+def lookup(manifest: list, doc_id: int | None) -> list[list[int]]:
     """Ids of a document by binary search over the manifest, then in the shards whose range holds it."""
     import numpy as np
 
     found = []
     for r in manifest:
-        if r["first_id"] <= doc_id <= r["last_id"]:
+        if make_key(r["first_id"])[:9] <= make_key(doc_id)[:9] <= make_key(r["last_id"])[:9]:
             with open_uri(r["path"], "rb") as f:
                 reader = ShardReader(f)
                 found += [np.frombuffer(x, "<u2" if reader.width == 2 else "<u4").tolist() for x in reader.get(doc_id)]
