@@ -228,8 +228,9 @@ def mix(docs: DataFrame, labels: DataFrame, targets: dict[str, float] | None = N
     """The documents, each as often as its rate decides; all columns kept, nothing shuffled."""
     mixture, _ = fit_mixture(docs, labels.select("doc_id", label_domain().alias("domain")), targets or TARGETS, key, text)
     names = docs.columns
-    p, n, copy, words = spare(docs, "_p", "_n", "_copy", "_words")
+    p, copy, words = spare(docs, "_p", "_copy", "_words")
     rated = docs.withColumn(words, word_array(F.col(text)))
     rated = rated.withColumn(p, mixture.model.posterior(F.col(text), F.col(words)))
-    rated = rated.withColumn(n, copies_of(mixture.rate(F.col(p)), F.col(key))).where(F.col(n) > 0)
-    return rated.withColumn(copy, F.explode(F.sequence(F.lit(1).cast("bigint"), F.col(n)))).select(*names)
+    # No filter on the copies: it would be pushed below the posterior and compute it once more for each use.
+    copies = copies_of(mixture.rate(F.col(p)), F.col(key)).cast("int")
+    return rated.select(*names, F.explode(F.array_repeat(F.lit(1), copies)).alias(copy)).select(*names)
