@@ -14,11 +14,11 @@ LETTERS = "abcdefghijklmnopqrstuvwxyzäöüßéèêçáíóúñ"
 LANGUAGES = ["de", "en", "es", "fr"]
 
 
-def letters(text: Column, head: int = 2000) -> Column:
-    """Ten times the relative frequency of each letter among the first ``head`` lowered characters, and a bias."""
-    start = F.lower(F.substring(F.coalesce(text, F.lit("")), 1, head))
-    n = F.greatest(F.length(start), F.lit(1))
-    return F.array(*[10.0 * (F.length(start) - F.length(F.replace(start, F.lit(c), F.lit("")))) / n for c in LETTERS], F.lit(1.0))
+def letters(text: Column) -> Column:
+    """Ten times the relative frequency of each letter among the lowered characters of the whole text, and a bias."""
+    whole = F.lower(F.coalesce(text, F.lit("")))
+    n = F.greatest(F.length(whole), F.lit(1))
+    return F.array(*[10.0 * (F.length(whole) - F.length(F.replace(whole, F.lit(c), F.lit("")))) / n for c in LETTERS], F.lit(1.0))
 
 
 def language_task(spark: SparkSession, sf_dir: str) -> DataFrame:
