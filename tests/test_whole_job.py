@@ -6,6 +6,8 @@ from pyspark.sql import functions as F
 
 from quorumlab.operators import samples
 from quorumlab.plans import queries
+from quorumlab.sources import tables
+from quorumlab.streaming import clock as live
 
 
 def test_letters_of_the_whole_text(spark):
@@ -19,3 +21,14 @@ def test_features_of_every_document_in_full(spark, small):
     got = {r["row_id"]: [r["e_share"], r["o_share"]] for r in queries.queries()["letters_features"](spark, small).collect()}
     assert len(got) == len(docs)
     assert all(got[k] == pytest.approx([10.0 * t.count(c) / max(len(t), 1) for c in "eö"], abs=1e-6) for k, t in docs)
+
+
+def test_stream_of_unsorted_files_equals_batch(spark, small, tmp_path):
+    events = tables.table(spark, small, "events")
+    events.withColumn("part", F.pmod(F.xxhash64("event_id"), F.lit(4))).repartition(4, "part").drop("part").write.parquet(str(tmp_path / "events.parquet"))
+    assert len(list((tmp_path / "events.parquet").glob("part-*"))) > 1
+    got = queries.queries()["stream_clock"](spark, str(tmp_path)).orderBy("round_no").collect()
+    want = live.batch_clock(events, 20, 5, 10).orderBy("round_no").drop("run_id").collect()
+    assert len(want) > 3 and got == want
+    dense = live.run_to_end(spark, str(tmp_path / "events.parquet"), 20, 1, 1).orderBy("round_no").collect()
+    assert dense == live.batch_clock(events, 20, 1, 1).orderBy("round_no").drop("run_id").collect()
