@@ -38,6 +38,18 @@ def at_step(done: Column, step: Column) -> Column:
     return F.when((step >= 1) & (step <= F.size(done)), F.element_at(done, F.greatest(step, F.lit(1)).cast("int")))
 
 
+def go_on(rows: DataFrame, steps: DataFrame, cap: int) -> DataFrame:
+    """Lines with ``planned`` steps beyond their timeline go on into the worker's trace (worker, seq, dur); round r starts at
+    seq r * cap. A line for which the trace is too short keeps its timeline, and its schedule is capped."""
+    k = F.explode(F.sequence(F.size("done"), F.col("planned") - 1))
+    missing = rows.where(F.col("planned") > F.size("done")).select("round_no", "worker", k.alias("k"))
+    missing = missing.withColumn("seq", F.col("round_no").cast("bigint") * cap + F.col("k"))
+    more = missing.join(steps.select("worker", "seq", "dur"), ["worker", "seq"]).groupBy("round_no", "worker").agg(F.array_sort(F.collect_list(F.struct("k", "dur"))).alias("more"))
+    add = lambda done, x: F.concat(done, F.array(F.element_at(done, -1) + x["dur"]))
+    whole = F.size("more") == F.col("planned") - F.size("done")
+    return rows.join(more, ["round_no", "worker"], "left").withColumn("done", F.when(whole, F.aggregate("more", F.col("done"), add)).otherwise(F.col("done"))).drop("more")
+
+
 def assemble(rows: DataFrame, run_id: str, steps: Column, uploads: Column, ack: Column, stop: Column, downloads: Column | None = None, weight: Column | None = None, capped: Column | None = None) -> DataFrame:
     """A schedule from per-(round, worker) columns. ``weight`` defaults to 1 for uploaders, 0 for others."""
     up = F.coalesce(uploads, F.lit(False))
@@ -78,11 +90,14 @@ def quorum_schedule(lines: DataFrame, quorum: int, quota: int | Column, keep_par
 
 
 def fixed_steps_schedule(lines: DataFrame, steps: Column, downloads: Column | None = None, run_id: str = "fixed_steps", weight: Column | None = None) -> DataFrame:
-    """Every participating worker does its own number of steps, and the round waits for the slowest of them."""
+    """Every participating worker does its own number of steps, and the round waits for the slowest of them. If a worker's
+    steps exceed its timeline, it is capped and the round's time is null, as nobody knows it."""
     part = F.lit(True) if downloads is None else downloads
     rows = lines.withColumn("part", part).withColumn("n", F.when(F.col("part"), steps).otherwise(0).cast("int"))
     rows = rows.withColumn("ack", at_step(F.col("done"), F.col("n")))
-    stop = F.max("ack").over(W.partitionBy("round_no"))
+    each_round = W.partitionBy("round_no")
+    known = F.count_if((F.col("n") >= 1) & F.col("ack").isNull()).over(each_round) == 0
+    stop = F.when(known, F.max("ack").over(each_round))
     return assemble(rows.withColumn("stop", stop), run_id, F.col("n"), F.col("part") & (F.col("n") >= 1), F.col("ack"), F.col("stop"), F.col("part"), weight, F.col("n") > F.size("done"))
 
 
@@ -115,9 +130,11 @@ def random_step_count(mean: float, rounding: str, seed: int) -> Column:
     raise ValueError(f"unknown rounding {rounding!r}")
 
 
-def random_steps_schedule(lines: DataFrame, mean: float = 10.0, rounding: str = "ceil", seed: int = 0, rule: str = "inverse_model", run_id: str = "step_normalised") -> DataFrame:
-    """Random step counts, all workers, wait for all; weights inverse to the steps (``uniform`` is the control)."""
+def random_steps_schedule(lines: DataFrame, mean: float = 10.0, rounding: str = "ceil", seed: int = 0, rule: str = "inverse_model", run_id: str = "step_normalised", steps: DataFrame | None = None, cap: int = 0) -> DataFrame:
+    """Random step counts, all workers, wait for all; weights inverse to the steps (``uniform`` is the control). With the
+    ``steps`` of a trace cut into rounds of ``cap``, plans longer than a timeline go on into it."""
     rows = lines.withColumn("planned", random_step_count(mean, rounding, seed))
+    rows = rows if steps is None else go_on(rows, steps, cap)
     weight = F.lit(1.0) if rule == "uniform" else 1.0 / F.greatest(F.col("planned"), F.lit(1))
     return fixed_steps_schedule(rows, F.col("planned"), run_id=run_id, weight=weight)
 
@@ -175,9 +192,11 @@ def reassigned_quota(lines: DataFrame, quota: int, factor: float, window: int) -
     return rows.withColumn("surplus", surplus).withColumn("first", fastest).withColumn("planned", (F.col("cut") + F.when(F.col("first"), F.col("surplus")).otherwise(0)).cast("int"))
 
 
-def reassign_schedule(lines: DataFrame, quota: int, factor: float = 1.5, window: int = 5, run_id: str = "reassign") -> DataFrame:
-    """Straggler detection with work shifted to the fastest worker; total steps of a round stay the same."""
-    return fixed_steps_schedule(reassigned_quota(lines, quota, factor, window), F.col("planned"), run_id=run_id)
+def reassign_schedule(lines: DataFrame, quota: int, factor: float = 1.5, window: int = 5, run_id: str = "reassign", steps: DataFrame | None = None, cap: int = 0) -> DataFrame:
+    """Straggler detection with work shifted to the fastest worker; total steps of a round stay the same. ``steps`` and
+    ``cap`` as in random_steps_schedule."""
+    rows = reassigned_quota(lines, quota, factor, window)
+    return fixed_steps_schedule(rows if steps is None else go_on(rows, steps, cap), F.col("planned"), run_id=run_id)
 
 
 def async_events(durations: DataFrame, horizon: float | None = None) -> DataFrame:

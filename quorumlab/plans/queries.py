@@ -53,6 +53,11 @@ def lines_of(spark: SparkSession, sf_dir: str, workers: int = M, cap: int = CAP)
     return clock.timelines(steps_of_trace(spark, sf_dir, workers, cap))
 
 
+def uncut(spark: SparkSession, sf_dir: str) -> dict:
+    """For plans longer than a timeline: the trace of all steps, and the cut of its rounds."""
+    return {"steps": tables.uncut_steps(tables.table(spark, sf_dir, "events"), M), "cap": CAP}
+
+
 def trace_sql(workers: int = M, cap: int = CAP) -> str:
     """CTEs d (durations of full rounds) and c (with completion times t and step numbers u from 1)."""
     return f"""
@@ -134,7 +139,7 @@ RANDOM_STEPS_SQL = f"greatest(1, cast(ceil(-ln((cast({rng.hash48_sql(0, 'steps',
 
 @query(trace_sql() + fixed_sql(RANDOM_STEPS_SQL) + FIXED_SUMMARY)
 def random_steps_summary(spark, sf_dir):
-    return summary_columns(clock.random_steps_schedule(lines_of(spark, sf_dir), 10.0))
+    return summary_columns(clock.random_steps_schedule(lines_of(spark, sf_dir), 10.0, **uncut(spark, sf_dir)))
 
 
 @query(trace_sql() + fixed_sql(RANDOM_STEPS_SQL) + " select round_no, worker, n steps, round(1.0 / n, 6) weight from f")
@@ -240,7 +245,7 @@ def reassigned_steps(spark, sf_dir):
 
 @query()
 def reassign_summary(spark, sf_dir):
-    return summary_columns(clock.reassign_schedule(lines_of(spark, sf_dir), 10))
+    return summary_columns(clock.reassign_schedule(lines_of(spark, sf_dir), 10, **uncut(spark, sf_dir)))
 
 
 @query("""select s stage, cast(4 * (power(2, s) - 1) as int) first_round, cast(4 * (power(2, s + 1) - 1) - 1 as int) last_round, cast(2 * power(2, s) as int) period, 0.1 / power(2, s) step_size

@@ -50,13 +50,17 @@ def trace(events: DataFrame, workers: int, mean: float = 1.0) -> DataFrame:
     return dealt.select("worker", seq.alias("seq"), "dur")
 
 
+def uncut_steps(events: DataFrame, workers: int, mean: float = 1.0) -> DataFrame:
+    """(worker, seq, dur) of the whole trace, not cut into rounds; ids are dense."""
+    return events.select(F.pmod("event_id", F.lit(workers)).cast("int").alias("worker"), F.floor(F.col("event_id") / workers).cast("bigint").alias("seq"), (F.col("value") / 50.0 * mean).alias("dur"))
+
+
 def durations_from_trace(events: DataFrame, workers: int, cap: int, mean: float = 1.0) -> DataFrame:
     """Cut each worker's trace into rounds of ``cap`` steps; only rounds that are full for every worker remain.
 
     Ids are dense, so a step's place in its worker's trace is ``event_id div workers`` and needs no sort.
     """
-    base = events.select(F.pmod("event_id", F.lit(workers)).cast("int").alias("worker"), F.floor(F.col("event_id") / workers).cast("bigint").alias("seq"), (F.col("value") / 50.0 * mean).alias("dur"))
-    cut = base.select((F.floor(F.col("seq") / cap)).cast("int").alias("round_no"), "worker", (F.col("seq") % cap).cast("int").alias("step_no"), "dur")
+    cut = uncut_steps(events, workers, mean).select((F.floor(F.col("seq") / cap)).cast("int").alias("round_no"), "worker", (F.col("seq") % cap).cast("int").alias("step_no"), "dur")
     full = cut.groupBy("round_no").agg(F.count("*").alias("n")).where(F.col("n") == workers * cap).select("round_no")
     return cut.join(full, "round_no").select("round_no", "worker", "step_no", "dur")
 

@@ -4,7 +4,7 @@ import duckdb
 import pytest
 from pyspark.sql import functions as F
 
-from quorumlab.operators import samples
+from quorumlab.operators import clock, samples
 from quorumlab.plans import queries
 from quorumlab.sources import tables
 from quorumlab.streaming import clock as live
@@ -32,3 +32,28 @@ def test_stream_of_unsorted_files_equals_batch(spark, small, tmp_path):
     assert len(want) > 3 and got == want
     dense = live.run_to_end(spark, str(tmp_path / "events.parquet"), 20, 1, 1).orderBy("round_no").collect()
     assert dense == live.batch_clock(events, 20, 1, 1).orderBy("round_no").drop("run_id").collect()
+
+
+def test_plans_beyond_the_timeline(spark):
+    """Rounds of 2 steps; worker 0 is planned 3 steps, and its third is the first of the next round."""
+    steps = spark.createDataFrame([(w, i, float(1 + w + i)) for w in (0, 1) for i in range(4)], "worker int, seq bigint, dur double")
+    lines = clock.timelines(steps.selectExpr("cast(seq div 2 as int) round_no", "worker", "cast(seq % 2 as int) step_no", "dur"))
+    plan = lines.withColumn("planned", F.when(F.col("worker") == 0, 3).otherwise(1))
+    got = {(r["round_no"], r["worker"]): (r["round_time"], r["capped"]) for r in clock.fixed_steps_schedule(clock.go_on(plan, steps, 2), F.col("planned")).collect()}
+    assert got[0, 0] == (6.0, False) and got[0, 1] == (6.0, False)
+    assert got[1, 0] == (None, True) and got[1, 1] == (None, False)  # the trace ends
+    short = clock.fixed_steps_schedule(plan, F.col("planned")).collect()
+    assert all(r["round_time"] is None for r in short) and [r["worker"] for r in short if r["capped"]] == [0, 0]
+
+
+def test_random_steps_wait_for_long_plans(spark):
+    sf = "/root/testdata/sf0.01"
+    durations = {(r[0], r[1]): r[2] for r in tables.uncut_steps(tables.table(spark, sf, "events"), 20).collect()}
+    plans = queries.queries()["random_steps_weights"](spark, sf).collect()
+    assert max(r["steps"] for r in plans) > 50
+    want = {}
+    for r in plans:
+        t = sum(durations[r["worker"], r["round_no"] * 50 + k] for k in range(r["steps"]))
+        want[r["round_no"]] = max(want.get(r["round_no"], 0.0), t)
+    got = {r["round_no"]: r["round_time"] for r in queries.queries()["random_steps_summary"](spark, sf).collect()}
+    assert got == pytest.approx(want, abs=1e-5)
