@@ -113,9 +113,15 @@ def sampled_schedule(lines: DataFrame, sample: int, quota: int, seed: int = 0, r
     return fixed_steps_schedule(rows, F.lit(quota), F.col("chosen"), run_id)
 
 
-def planned_schedule(lines: DataFrame, plan: DataFrame, run_id: str = "adaptive_period") -> DataFrame:
-    """Steps of a round from a plan (first_round, last_round, period): adaptive and stage-wise schemes. The plan is a few rows."""
-    rows = lines.join(F.broadcast(plan.select("first_round", "last_round", "period")), F.col("round_no").between(F.col("first_round"), F.col("last_round")))
+def planned_schedule(lines: DataFrame, plan: DataFrame, run_id: str = "adaptive_period", open_end: bool = False) -> DataFrame:
+    """Steps of a round from a plan (first_round, last_round, period): adaptive and stage-wise schemes. The plan is a few rows;
+    with ``open_end`` its last row holds for all later rounds."""
+    stages = plan.select("first_round", "last_round", "period")
+    end = F.col("last_round")
+    if open_end:
+        stages = stages.crossJoin(F.broadcast(plan.agg(F.max("last_round").alias("end"))))
+        end = F.when(F.col("last_round") < F.col("end"), end).otherwise(2**31 - 1)
+    rows = lines.join(F.broadcast(stages.select("first_round", end.alias("last_round"), "period")), F.col("round_no").between(F.col("first_round"), F.col("last_round")))
     return fixed_steps_schedule(rows, F.col("period"), run_id=run_id)
 
 

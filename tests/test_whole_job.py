@@ -57,3 +57,11 @@ def test_random_steps_wait_for_long_plans(spark):
         want[r["round_no"]] = max(want.get(r["round_no"], 0.0), t)
     got = {r["round_no"]: r["round_time"] for r in queries.queries()["random_steps_summary"](spark, sf).collect()}
     assert got == pytest.approx(want, abs=1e-5)
+
+
+def test_stagewise_covers_every_round(spark, tmp_path):
+    """130 rounds, more than the plan's 124, with equal steps: a round lasts as long as its stage's period."""
+    spark.range(130 * 1000).select(F.col("id").alias("event_id"), F.lit(50.0).alias("value")).write.parquet(str(tmp_path / "events.parquet"))
+    rows = queries.queries()["stagewise_summary"](spark, str(tmp_path)).collect()
+    period = lambda j: next((2 << s for s, last in enumerate((3, 11, 27, 59)) if j <= last), 32)
+    assert {r["round_no"]: (r["round_time"], r["steps"]) for r in rows} == {j: (float(period(j)), 20 * period(j)) for j in range(130)}
