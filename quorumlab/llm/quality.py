@@ -64,7 +64,7 @@ def statistics(body: bytes) -> list[float]:
     for line in lines:
         inside = line.split()
         if len(inside) >= 4:
-            worst_same = max(worst_same, 1 - len(set(inside)) / len(inside)) if len(inside) < 5000 else worst_same
+            worst_same = max(worst_same, 1 - len(set(inside)) / len(inside))
             worst_shout = max(worst_shout, sum(map(bytes.isupper, inside)) / len(inside))
             bad = len(line) - len(line.translate(None, b"#$%&*!|"))
             worst_marks = max(worst_marks, bad / len(line))
