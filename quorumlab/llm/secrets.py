@@ -22,8 +22,9 @@ Defined cases: a null or empty text has no findings; repeated rows have a result
 from __future__ import annotations
 
 import re
-from bisect import bisect_left, bisect_right
-from collections.abc import Iterator
+from bisect import bisect_right
+from collections.abc import Iterable, Iterator
+from itertools import accumulate
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -43,6 +44,7 @@ PARTS = (
 )
 PARTS_HINT = re.compile(rb"AKIA|access_?key|client_?id|account|user|login", re.I)
 REACH = 200
+NONE: tuple[list[int], list[int]] = ([], [])
 
 SCHEMA = "doc_id bigint, n_assign bigint, n_access bigint, n_hex bigint, findings array<struct<kind:string,start:int,end:int>>, n_base int"
 
@@ -59,21 +61,26 @@ def base_findings(text: str, body: bytes, compiled: dict) -> list[tuple[int, int
     return sorted(found)
 
 
-def _near(points: list[int], at: int, to: int, reach: int) -> bool:
-    """Does a sorted list hold a point within reach of [at, to)?"""
-    return bisect_right(points, to + reach) > bisect_left(points, at - reach)
+def _furthest(spans: Iterable[tuple[int, int]]) -> tuple[list[int], list[int]]:
+    ordered = sorted(spans)
+    return [s for s, _ in ordered], list(accumulate((e for _, e in ordered), max))
+
+
+def _near(spans: tuple[list[int], list[int]], at: int, to: int, reach: int) -> bool:
+    """Is an interval within reach of [at, to)? Spans are sorted starts, and for each the furthest end up to it."""
+    starts, ends = spans
+    k = bisect_right(starts, to + reach)
+    return k > 0 and ends[k - 1] >= at - reach
 
 
 def linked_findings(text: str, base: list[tuple[int, int, str, int]], compiled: dict, reach: int = REACH) -> list[tuple[int, int, str, int]]:
     """Weak candidates with complementary parts in reach, inside their paragraph."""
     parts = {kind: [(m.start(), m.end()) for m in compiled[kind].finditer(text)] for kind, _ in PARTS}
     strong = [(s, e) for s, _, kind, e in base if kind != "access"]
-    covered = sorted((s, e) for s, _, _, e in base)
-    starts = [s for s, _ in covered]
+    covered = _furthest((s, e) for s, _, _, e in base)
 
     def inside_base(s: int, e: int) -> bool:
-        k = bisect_right(starts, s)
-        return any(b < e and s < f for b, f in covered[max(0, k - 3) : k + 1])
+        return _near(covered, s + 1, e - 1, 0)
 
     access = [(s, e) for s, _, kind, e in base if kind == "access"]
     weak = [p for p in parts["weak"] if not inside_base(*p)]
@@ -82,20 +89,20 @@ def linked_findings(text: str, base: list[tuple[int, int, str, int]], compiled:
     edges = [m.end() for m in re.finditer(r"\n\s*\n", text)]
     scope = lambda at: bisect_right(edges, at)
 
-    def by_scope(spans: list[tuple[int, int]]) -> dict[int, list[int]]:
-        cells: dict[int, list[int]] = {}
-        for s, _ in spans:
-            cells.setdefault(scope(s), []).append(s)
-        return {k: sorted(v) for k, v in cells.items()}
+    def by_scope(spans: list[tuple[int, int]]) -> dict[int, tuple[list[int], list[int]]]:
+        cells: dict[int, list[tuple[int, int]]] = {}
+        for s, e in spans:
+            cells.setdefault(scope(s), []).append((s, e))
+        return {k: _furthest(v) for k, v in cells.items()}
 
     ids = by_scope(parts["id"] + access)
-    linked = [p for p in weak if _near(ids.get(scope(p[0]), []), *p, reach)]
+    linked = [p for p in weak if _near(ids.get(scope(p[0]), NONE), *p, reach)]
     secrets = by_scope(strong + linked)
     out += [(s, 3, "linked_secret", e) for s, e in linked]
     for kind, spans in (("linked_endpoint", parts["endpoint"]), ("linked_id", parts["id"])):
         for s, e in spans:
             k = scope(s)
-            if _near(ids.get(k, []), s, e, reach) and _near(secrets.get(k, []), s, e, reach):
+            if _near(ids.get(k, NONE), s, e, reach) and _near(secrets.get(k, NONE), s, e, reach):
                 out.append((s, 4 if kind == "linked_endpoint" else 5, kind, e))
     return sorted(out)
 
