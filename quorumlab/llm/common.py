@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import os
 import uuid
+from collections.abc import Iterator
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -20,10 +21,12 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 def shared_dir(spark: SparkSession) -> str:
     """The folder that driver and executors share, from ``spark.checkpoint.dir``.
 
-    Only where the setting is missing (tests, a laptop) is a local folder chosen.
+    Only where the setting is missing and the master is local (tests, a laptop) is a local folder chosen.
     """
     where = spark.conf.get("spark.checkpoint.dir", None)
     if not where:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
         where = f"file:///tmp/checkpoints/{os.getpid()}"
     return where.rstrip("/")
 
@@ -38,17 +41,17 @@ def written(df: DataFrame, label: str) -> DataFrame:
     spark = df.sparkSession
     path = fresh_path(spark, label)
     df.write.option("compression", "zstd").parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    back = spark.read.schema(df.schema).parquet(path)
+    vars(back)["_folder"] = path
+    return back
 
 
-def drop_written(df: DataFrame) -> None:
-    """Delete the files behind a table made by :func:`written` once nothing reads it again."""
-    spark = df.sparkSession
-    base = shared_dir(spark).removeprefix("file:").lstrip("/")
-    for folder in {f.rsplit("/", 1)[0] for f in df.inputFiles()}:
-        if base in folder:
-            path = spark._jvm.org.apache.hadoop.fs.Path(folder)
-            path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
+def drop_written(*tables: DataFrame) -> None:
+    """Delete the files behind tables made by :func:`written` once nothing reads them again."""
+    for df in tables:
+        spark = df.sparkSession
+        path = spark._jvm.org.apache.hadoop.fs.Path(vars(df)["_folder"])
+        path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
 
 
 def ascii_lower_bytes(text: Column) -> Column:
@@ -76,3 +79,30 @@ def spare(df: DataFrame, *names: str) -> list[str]:
         taken.add(name.lower())
         out.append(name)
     return out
+
+
+def key_groups(batches: Iterator, keys: list[str]) -> Iterator:
+    """(key values, Arrow table) of each run of equal keys; rows come sorted by the keys, which are never null."""
+    import numpy as np
+    import pyarrow as pa
+    import pyarrow.compute as pc
+
+    held, at = [], None
+    for batch in batches:
+        n = batch.num_rows
+        columns = [batch.column(batch.schema.get_field_index(k)) for k in keys]
+        new = np.zeros(n, bool)
+        new[:1] = True
+        for c in columns:
+            if n > 1:
+                new[1:] |= pc.not_equal(c.slice(1), c.slice(0, n - 1)).to_numpy(zero_copy_only=False)
+        starts = np.flatnonzero(new).tolist()
+        for s, e in zip(starts, [*starts[1:], n], strict=True):
+            here = tuple(c[s].as_py() for c in columns)
+            if held and here != at:
+                yield at, pa.Table.from_batches(held)
+                held = []
+            at = here
+            held.append(batch.slice(s, e - s))
+    if held:
+        yield at, pa.Table.from_batches(held)

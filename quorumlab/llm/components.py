@@ -42,5 +42,6 @@ def components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
         to = later.select(F.col("node").alias("_n"), F.col("up").alias("_u"))
         whole = whole.join(to, F.col("up") == F.col("_n"), "left").select("node", F.coalesce("_u", "up").alias("up")).unionByName(later)
     whole = written(whole.groupBy("node").agg(F.min("up").alias("up")), "cc-whole")
+    drop_written(live, *maps)
     roots = whole.select(F.col("up").alias("node"), F.col("up").alias("root")).distinct()
     return whole.select("node", F.col("up").alias("root")).unionByName(roots)

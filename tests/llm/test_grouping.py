@@ -101,7 +101,10 @@ def test_vectors_against_brute_force(spark, monkeypatch):
     rows += [(300, None, 1), (301, [0.0] * 64, 1), (302, [math.nan] * 64, 1), (303, [None] * 64, 1), (304, [math.inf] * 64, 1), (305, rows[0][1], None), (306, [2 * x for x in rows[0][1]], 0)]
     rows += [(307, [1.0, 0.0], 0), (308, [1.0, -0.0], 0), (309, [1e-30, 0.0], 0), (310, [1.0], 0), (311, [-0.0] * 64, 0), (312, [], 0)]
     check_vectors(spark, rows)
-    monkeypatch.setattr(embeddings, "TILE", 8)
+    monkeypatch.setattr(embeddings, "TILE_VALUES", 8 * 64)
+    monkeypatch.setattr(embeddings, "BROADCAST_CELLS", 0)
+    monkeypatch.setattr(embeddings, "CHUNK", 3)
+    monkeypatch.setattr(embeddings, "PAIRS", 5)
     check_vectors(spark, rows)
 
 
