@@ -65,4 +65,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op2_decontaminate": decontam.ORACLE, "op3_warc": warc.ORACLE}
+    return {"op2_decontaminate": decontam.ORACLE, "op3_warc": warc.ORACLE, "op4_near_vectors": embeddings.ORACLE}
