@@ -3,7 +3,8 @@
 Words are runs of digits, letters a-z (A-Z lowered) and characters beyond ASCII. An item's windows are its
 runs of ``window`` consecutive words; an item with fewer words, but some, is one window. Every position of
 every document is looked up in the table of window hashes; a found position is verified word by word
-before it counts. Only verified positions are shuffled, never the text.
+before it counts. The scan carries hashes only, so its cost is in proportion to the text, however long; verification reads
+the texts with found positions once more, and shuffles them only if the positions are too many to broadcast.
 
 Defined cases: null and empty texts have no words and no hits; null items, or items with a null id, have
 no windows; repeated document rows give a result row each; windows shared by items hit all of them;
@@ -15,7 +16,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import ascii_lower_bytes, spare
+from .common import ascii_lower_bytes, spare, written
 
 #: The pattern of a word after lowering, and its complement with capitals kept.
 WORD = r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+"
@@ -66,33 +67,40 @@ def find_windows(docs: DataFrame, benchmark: DataFrame, window: int = 13, key: s
     sizes = sorted((r["len"] for r in known), reverse=True)  # at most `window` lengths
     small = sum(r["bytes"] for r in known) <= BROADCAST_BYTES
 
-    base = docs.select(F.col(key).alias("doc_id"), F.xxhash64(F.col(text)).alias("_text"), word_list(F.col(text)).alias("w"))
-    base = base.withColumn("h", F.transform("w", lambda x: F.xxhash64(x)))
+    # Only the hashes are exploded: a row that carried the words would cost a text the square of its length.
+    base = docs.select(F.col(key).alias("doc_id"), F.xxhash64(F.col(text)).alias("_text"), F.transform(word_list(F.col(text)), lambda x: F.xxhash64(x)).alias("h"))
     marker = F.array(F.lit(None).cast("bigint"))  # position 0: one row for each document, found or not
     all_grams = F.concat(marker, *[_grams(F.col("h"), n) for n in sizes])
-    places = base.select("doc_id", "_text", "w", F.posexplode(all_grams).alias("slot", "gram"))
-    places = places.withColumn("n_words", F.size("w").cast("long"))
+    # The grams stay an expression of the generator: for a column of its own Spark would infer a filter on its size, and compute the words once more for each position.
+    places = base.select("doc_id", "_text", F.size("h").alias("n_words"), "h").select("doc_id", "_text", "n_words", F.posexplode(all_grams).alias("slot", "gram"))
     # Where the part for a length begins in all_grams.
     offset, begins = F.lit(1), {}
     for n in sizes:
         begins[n] = offset
-        offset = offset + F.greatest(F.size("w") - F.lit(n - 1), F.lit(0))
+        offset = offset + F.greatest(F.col("n_words") - F.lit(n - 1), F.lit(0))
     at = F.lit(None).cast("int")
     for n in sizes:
         at = F.when(F.col("len") == n, F.col("slot") - begins[n]).otherwise(at)
-    right = table.withColumnRenamed("gram", "_gram")
-    right = F.broadcast(right) if small else right
-    found = places.join(right, (F.col("gram") == F.col("_gram")) & (F.array_join(F.slice("w", at + 1, F.col("len")), " ") == F.col("words")), "left")
-    found = found.where((F.col("slot") == 0) | F.col("len").isNotNull()).select(
-        "doc_id", "_text", "n_words", "slot", F.when(F.col("len").isNotNull(), F.struct(at.alias("at"), F.col("len"))).alias("span"), "items"
-    )
-    per_doc = found.groupBy("doc_id", "_text").agg(
-        F.max("n_words").alias("n_words"),
-        F.count_if(F.col("slot") == 0).alias("_rows"),
-        F.array_sort(F.collect_set("span")).alias("spans"),
-        F.array_sort(F.array_distinct(F.flatten(F.collect_set("items")))).alias("items"),
-    )
-    return per_doc
+    fit = lambda df: F.broadcast(df) if small else df
+    found = places.join(fit(table.select(F.col("gram").alias("_gram"), "len").distinct()), F.col("gram") == F.col("_gram"), "left")
+    found = found.where((F.col("slot") == 0) | F.col("len").isNotNull()).select("doc_id", "_text", "n_words", "slot", F.when((at >= 0) & (at + F.col("len") <= F.col("n_words")), F.struct(at.alias("at"), F.col("len"))).alias("span"))
+    per_doc = found.groupBy("doc_id", "_text").agg(F.max("n_words").cast("long").alias("n_words"), F.count_if(F.col("slot") == 0).alias("_rows"), F.collect_set("span").alias("maybe"))
+    per_doc = written(per_doc, "window-hits")
+
+    # Positions with a known hash are verified by their words, in the texts that have some.
+    hits = per_doc.where(F.size("maybe") > 0).select(F.col("doc_id").alias("_id"), F.col("_text").alias("_hash"), "maybe")
+    bytes_of_hits = hits.agg(F.sum(64 + 24 * F.size("maybe"))).first()[0] or 0
+    bodies = docs.select(F.col(key).alias("_key"), F.xxhash64(F.col(text)).alias("_body_hash"), F.col(text).alias("_body"))
+    same = F.col("_key").eqNullSafe(F.col("_id")) & F.col("_body_hash").eqNullSafe(F.col("_hash"))
+    bodies = bodies.join(F.broadcast(hits) if bytes_of_hits <= BROADCAST_BYTES else hits, same)
+    run = lambda w, s: F.struct(s["at"].alias("at"), s["len"].alias("len"), F.array_join(F.slice(w, s["at"] + 1, s["len"]), " ").alias("words"))
+    runs = F.transform(F.array(word_list(F.col("_body"))), lambda w: F.transform("maybe", lambda s: run(w, s)))[0]  # words are split once, as a lambda's argument
+    runs = bodies.select("_id", "_hash", F.explode(runs).alias("run")).select("_id", "_hash", F.struct("run.at", "run.len").alias("span"), F.col("run.len").alias("_len"), F.col("run.words").alias("_words"))
+    sure = runs.join(fit(table.select("len", "words", "items")), (F.col("_len") == F.col("len")) & (F.col("_words") == F.col("words")))
+    sure = sure.groupBy("_id", "_hash").agg(F.array_sort(F.collect_set("span")).alias("spans"), F.array_sort(F.array_distinct(F.flatten(F.collect_set("items")))).alias("items"))
+    both = per_doc.join(sure, F.col("doc_id").eqNullSafe(F.col("_id")) & F.col("_text").eqNullSafe(F.col("_hash")), "left")
+    none = lambda c, kind: F.coalesce(c, F.array().cast(kind)).alias(c)
+    return both.select("doc_id", "_text", "n_words", "_rows", none("spans", "array<struct<at:int,len:int>>"), none("items", "array<string>"))
 
 
 def judge(found: DataFrame, least_share: int = 20) -> DataFrame:
