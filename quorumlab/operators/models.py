@@ -134,6 +134,25 @@ class Model:
         parts = [p1.reshape(-1, 9).T @ dz1.reshape(-1, 8), dz1.sum(axis=(0, 1, 2)), p2.reshape(-1, 72).T @ dz2.reshape(-1, 16), dz2.sum(axis=(0, 1, 2)), a2.T @ dz, dz.sum(axis=0)]
         return np.concatenate([g.ravel() for g in parts])
 
+    def sample_grad_sq(self, w, x, y):
+        """Squared length of each sample's own gradient. A dense layer's is the product of its input's and its error's."""
+        import numpy as np
+
+        if self.kind == "small_cnn":  # shared weights: one backward pass for each sample
+            return np.array([(g * g).sum() for g in (self.loss_grad(w, x[k : k + 1], y[k : k + 1])[1] for k in range(len(y)))])
+        z, kept = self.scores(w, x)
+        square = lambda a: (a * a).sum(axis=1)
+        if self.kind == "least_squares":
+            return square(x) * (z - y) ** 2
+        if self.kind == "logistic":
+            return square(x) * (1 / (1 + np.exp(-z)) - (y > 0)) ** 2
+        dz = _softmax_loss(z, y.astype(np.int64))[1] * len(y)
+        if self.kind == "softmax":
+            return square(x) * square(dz)
+        top = w[self.dims * self.hidden :].reshape(self.hidden + 1, self.classes)
+        da = (dz @ top.T)[:, :-1] * (1 - kept[:, :-1] ** 2)
+        return square(x) * square(da) + square(kept) * square(dz)
+
     def predict(self, w, x):
         z, _ = self.scores(w, x)
         if self.kind == "least_squares":

@@ -39,12 +39,11 @@ def line_task(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def revenue_task(spark: SparkSession, sf_dir: str, median: float = 32_000.0) -> DataFrame:
-    """Is the net price above a literal? Keys aren't unique, so the row id is a hash of the row and its rank among equals."""
+    """Is the net price above a literal? Keys aren't unique, so the row id is a hash of the row; rows with one id are one sample twice."""
     li = table(spark, sf_dir, "lineitem")
-    keys = ["l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_quantity", "l_extendedprice", "l_shipdate"]
-    same = F.row_number().over(W.partitionBy(*keys).orderBy("l_discount", "l_tax"))
+    row = ["l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_quantity", "l_extendedprice", "l_discount", "l_tax", "l_shipdate"]
     x = F.array(F.col("l_quantity") / 50, F.col("l_extendedprice") / 100_000, F.col("l_discount") * 10, F.col("l_tax") * 10, F.lit(1.0))
-    return li.withColumn("same", same).select(F.xxhash64(*keys, "same").alias("row_id"), x.alias("x"), (F.col("l_extendedprice") * (1 - F.col("l_discount")) > median).cast("int").alias("y"), "l_suppkey")
+    return li.select(F.xxhash64(*row).alias("row_id"), x.alias("x"), (F.col("l_extendedprice") * (1 - F.col("l_discount")) > median).cast("int").alias("y"), "l_suppkey")
 
 
 def quality_task(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -97,11 +96,12 @@ def even_by_label(samples: DataFrame, workers: int, seed: int = 0) -> DataFrame:
 
 
 def by_key(samples: DataFrame, key: str) -> DataFrame:
-    """One worker for each key, numbered in order; keys are few, samples many."""
-    keys = samples.select(key).distinct()
-    numbered = keys.withColumn("worker", (F.row_number().over(W.orderBy(key)) - 1).cast("int"))
-    pos = F.row_number().over(W.partitionBy("worker").orderBy("row_id")) - 1
-    return samples.join(numbered, key).withColumn("pos", pos.cast("bigint"))
+    """One worker for each key, numbered in order; keys are workers, so few. A hot key is ranked by many tasks."""
+    ranked = dense_rank_distributed(samples, [key, "row_id"])
+    sizes = samples.groupBy(key).agg(F.count("*").alias("_n"))
+    order = W.orderBy(key).rowsBetween(W.unboundedPreceding, -1)
+    numbered = sizes.select(key, (F.row_number().over(W.orderBy(key)) - 1).cast("int").alias("worker"), F.coalesce(F.sum("_n").over(order), F.lit(0)).alias("_first"))
+    return ranked.join(F.broadcast(numbered), key).withColumn("pos", (F.col("rank") - F.col("_first")).cast("bigint")).drop("rank", "_first")
 
 
 def label_skew(samples: DataFrame, workers: int, beta: float, seed: int = 0) -> DataFrame:
@@ -110,7 +110,11 @@ def label_skew(samples: DataFrame, workers: int, beta: float, seed: int = 0) ->
     anywhere = rng.randint(workers, seed, "skew2", F.col("row_id"))
     home = F.pmod(rng.hash48(seed, "home", F.col("y")) + F.pmod(rng.hash48(seed, "skew3", F.col("row_id")), F.lit(2)), F.lit(workers))
     dealt = samples.withColumn("worker", F.when(u < beta, anywhere).otherwise(home).cast("int"))
-    return dealt.withColumn("pos", (F.row_number().over(W.partitionBy("worker").orderBy("row_id")) - 1).cast("bigint"))
+    first = {w: 0 for w in range(workers)}
+    for r in dealt.groupBy("worker").count().orderBy("worker").collect():  # one row for each worker
+        first |= {w: first[w] + r["count"] for w in range(r["worker"] + 1, workers)}
+    begin = F.element_at(F.create_map(*[F.lit(v) for kv in first.items() for v in kv]), F.col("worker"))
+    return dense_rank_distributed(dealt, ["worker", "row_id"]).withColumn("pos", (F.col("rank") - begin).cast("bigint")).drop("rank")
 
 
 SPLITS = {"even_random": even_random, "even_by_label": even_by_label}
@@ -136,14 +140,23 @@ PRIME, MULTIPLIER = (1 << 31) - 1, 48271
 def draw_batches(schedule: DataFrame, sizes: DataFrame, batch: int, seed: int, mode: str = "independent") -> DataFrame:
     """(round_no, worker, step_no, slot, pos) for every finished step: only these rows are ever fetched.
 
-    ``independent`` draws with replacement; ``block`` takes consecutive positions from a random start, one range read for a
-    batch (for pieces that lie in hashed order).
+    ``independent`` draws with replacement; ``distinct`` without, by steps of a random length that shares no divisor with the piece's size;
+    ``block`` takes consecutive positions from a random start, one range read for a batch (for pieces that lie in hashed order). A batch larger
+    than the piece goes round it.
     """
     steps = schedule.where("steps > 0").select("round_no", "worker", F.explode(F.sequence(F.lit(0), F.col("steps") - 1)).alias("step_no"))
     steps = steps.join(F.broadcast(sizes), "worker").withColumn("h", 1 + F.pmod(rng.hash48(seed, "draw", F.col("round_no"), F.col("worker"), F.col("step_no")), F.lit(PRIME - 1)))
     slots = steps.select("round_no", "worker", "step_no", "n", "h", F.explode(F.sequence(F.lit(0), F.lit(batch - 1))).alias("slot"))
     if mode == "block":
         pos = F.pmod(F.col("h") + F.col("slot"), F.col("n"))
+    elif mode == "distinct":
+        # Strides that share no divisor with n visit every position once before any twice.
+        start = F.pmod(rng.hash48(seed, "stride", F.col("round_no"), F.col("worker"), F.col("step_no")), F.col("n"))
+        shared = lambda a, b: F.aggregate(F.sequence(F.lit(1), F.lit(64)), F.struct(a.alias("a"), b.alias("b")), lambda s, _: F.when(s["b"] == 0, s).otherwise(F.struct(s["b"].alias("a"), F.pmod(s["a"], F.greatest(s["b"], F.lit(1))).alias("b"))), lambda s: s["a"])
+        tried = F.filter(F.transform(F.sequence(F.lit(0), F.lit(200)), lambda k: 1 + F.pmod(start + k, F.col("n"))), lambda c: shared(c, F.col("n")) == 1)
+        steps = steps.withColumn("stride", tried[0])
+        slots = steps.select("round_no", "worker", "step_no", "n", "h", "stride", F.explode(F.sequence(F.lit(0), F.lit(batch - 1))).alias("slot"))
+        pos = F.pmod(F.col("h") + F.col("slot") * F.col("stride"), F.col("n"))
     else:
         powers = F.array(*[F.lit(pow(MULTIPLIER, s + 1, PRIME)).cast("bigint") for s in range(batch)])
         pos = F.pmod(F.pmod(F.col("h") * F.element_at(powers, F.col("slot") + 1), F.lit(PRIME)), F.col("n"))

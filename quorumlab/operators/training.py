@@ -2,8 +2,8 @@
 
 Both paths use the same hashed durations, draws and samples, so they give the same log. The distributed
 path fetches only the rows that finished steps draw; a round is one job that sends the model out as a broadcast and
-brings back one local model for each uploader. The sweep path suits small models: data up to a checked
-size is broadcast once, and every (setting, seed) is a task of its own.
+brings back one local model (or gradient) for each uploader. The sweep path suits small models: data up to a checked
+size is broadcast once, and every (setting, seed) is a task of its own; larger data goes through the distributed path.
 """
 
 from __future__ import annotations
@@ -21,14 +21,65 @@ from quorumlab.sources import tables
 
 LOG = (
     "run_id string, scheme string, split string, seed int, quorum int, quota int, workers int, round_no int, period int, round_time double, cum_time double, messages bigint, cum_messages bigint, "
-    "uploads int, mean_steps double, loss double, accuracy double, grad_sq double"
+    "uploads int, mean_steps double, max_steps int, step_size double, loss double, accuracy double, grad_sq double, smooth double"
 )
 #: Bytes of samples up to which a sweep broadcasts them.
 SWEEP_BYTES = 512 << 20
 #: Rounds planned and fetched at a time.
 BLOCK = 10
 
-QUORUM = {"quorum_stop": (True, True), "fast_surplus_only": (False, True), "straggler_partial_only": (True, False), "plain_quorum": (False, False)}
+QUORUM = {"quorum_stop": (True, True), "fast_surplus_only": (False, True), "straggler_partial_only": (True, False), "plain_quorum": (False, False), "quorum_gradient": (False, False)}
+RANDOM = ("step_normalised", "random_uniform")
+#: Schemes whose uploads are gradients at the round's model; the others upload models.
+GRADIENTS = ("large_batch", "quorum_batches", "redundant")
+
+
+def quota_of(spec: RunSpec) -> int:
+    return 1 if spec.scheme == "quorum_gradient" else spec.quota
+
+
+def stages_of(spec: RunSpec) -> list[tuple]:
+    """The stages of a stage-wise run: each halves the step and multiplies period and length; the last has no end."""
+    o = spec.options
+    return clock.stagewise_rows(int(o.get("stages", 5)), spec.step_size, spec.quota, int(o.get("length", 4)), int(o.get("growth", 2)))
+
+
+def stage_at(spec: RunSpec, round_no: int) -> tuple:
+    return next((s for s in stages_of(spec) if round_no <= s[2]), stages_of(spec)[-1])
+
+
+def step_size_at(spec: RunSpec, round_no: int) -> float:
+    """Stage-wise runs shrink the step by stage; any other run halves it every ``halve_every`` rounds, if that is given."""
+    if spec.scheme == "stagewise":
+        return stage_at(spec, round_no)[4]
+    every = int(spec.options.get("halve_every", 0))
+    return spec.step_size / 2 ** (round_no // every) if every else spec.step_size
+
+
+class Period:
+    """The number of local steps of a round: fixed, by stage, or adapted to the loss. The adaptive rule acts at evaluations at least
+    ``interval`` of simulated time apart; ``shrink``, ``direction`` and ``step_power`` are those of ``clock.next_period``."""
+
+    def __init__(self, spec: RunSpec, state: tuple | None = None):
+        self.spec = spec
+        self.value, self.loss0, self.since = state or (spec.quota, None, 0.0)
+
+    @property
+    def state(self) -> tuple:
+        return self.value, self.loss0, self.since
+
+    def of(self, round_no: int) -> int:
+        return stage_at(self.spec, round_no)[3] if self.spec.scheme == "stagewise" else self.value
+
+    def learn(self, loss: float, time: float, round_no: int) -> None:
+        o = self.spec.options
+        if self.spec.scheme != "adaptive_period":
+            return
+        self.loss0 = self.loss0 or loss
+        if time - self.since >= float(o.get("interval", 0.0)):
+            ratio = self.spec.step_size / step_size_at(self.spec, round_no + 1)
+            scaled = loss * ratio ** float(o.get("step_power", 1.0))
+            self.value, self.since = clock.next_period(self.value, self.spec.quota, scaled, self.loss0, float(o.get("shrink", 1.0)), str(o.get("direction", "shrink"))), time
 
 
 def make_model(spec: RunSpec, dims: int, classes: int) -> models.Model:
@@ -52,9 +103,10 @@ def expected_steps(workers: int, quorum: int, quota: int) -> float:
     return float(late.sum() * t_max / 20_000)
 
 
-def cap_of(spec: RunSpec) -> int:
-    longest = float(spec.options.get("mean", 10)) * 12 if spec.scheme in ("step_normalised", "random_uniform") else 0
-    base = expected_steps(spec.workers, spec.workers, max(spec.quota, 1)) if spec.scheme in QUORUM else float(spec.quota)
+def cap_of(spec: RunSpec, period: int | None = None) -> int:
+    """Steps of a timeline that are practically enough; where they are not, timelines are planned again at twice the length."""
+    longest = float(spec.options.get("mean", 10)) * 12 if spec.scheme in RANDOM else 0
+    base = expected_steps(spec.workers, spec.workers, max(quota_of(spec), 1)) if spec.scheme in QUORUM else float(max(period or 1, spec.quota))
     return int(max(clock.step_cap(base), longest))
 
 
@@ -70,48 +122,126 @@ def durations_py(spec: RunSpec, round_no: int, cap: int):
 
 
 def round_py(spec: RunSpec, round_no: int, period: int) -> dict:
-    """steps, uploads (mask), weights, time, downloads of a round; the semantics of the DataFrame clocks."""
+    """steps, up (mask of uploads), draw (mini-batches used of each piece), time, down; the semantics of the DataFrame clocks."""
     import numpy as np
 
-    m, k, u = spec.workers, spec.quorum, spec.quota
+    m, k, u, s = spec.workers, spec.quorum, quota_of(spec), spec.scheme
     every = np.ones(m, bool)
-    if spec.scheme in QUORUM:
-        partial, surplus = QUORUM[spec.scheme]
-        cap = clock.step_cap(float(u)) if k < m else cap_of(spec)
-        while True:
-            done = durations_py(spec, round_no, cap).cumsum(axis=1)
-            ack = done[:, u - 1]
-            stop = ack[np.lexsort((np.arange(m), ack))[k - 1]]
-            if (done[:, -1] > stop).all():
-                break
+
+    def grown(enough, cap: int):
+        """Completion times, long enough for a condition on them."""
+        while not enough(done := durations_py(spec, round_no, cap).cumsum(axis=1)):
             cap *= 2
+        return done
+
+    def plan(steps, up, time, draw=None, down=m) -> dict:
+        return {"steps": steps, "up": up, "draw": np.where(up, steps, 0) if draw is None else draw, "time": float(time), "down": down}
+
+    if s in QUORUM:
+        partial, surplus = QUORUM[s]
+        at = lambda done: done[np.lexsort((np.arange(m), done[:, u - 1]))[k - 1], u - 1]
+        done = grown(lambda d: (d[:, -1] > at(d)).all(), clock.step_cap(float(u)) if k < m else cap_of(spec))
+        stop = at(done)
         steps = (done <= stop).sum(axis=1)
         steps = steps if surplus else np.minimum(steps, u)
-        up = steps >= 1 if partial else ack <= stop
-        return {"steps": steps, "up": up, "weights": np.ones(m), "time": float(stop), "down": m}
-    if spec.scheme in ("step_normalised", "random_uniform"):
+        return plan(steps, steps >= 1 if partial else done[:, u - 1] <= stop, stop)
+    if s in ("complete_only", "complete_and_incomplete"):
+        deadline = deadline_of(spec)
+        steps = (durations_py(spec, round_no, u).cumsum(axis=1) <= deadline).sum(axis=1)
+        return plan(steps, steps == u if s == "complete_only" else steps >= 1, deadline)
+    if s == "quorum_batches":
+        done = durations_py(spec, round_no, k).cumsum(axis=1)  # only a worker's first K batches can be among the first K
+        order = np.lexsort((np.tile(np.arange(k), m), np.repeat(np.arange(m), k), done.ravel()))[:k]
+        steps = np.bincount(order // k, minlength=m)
+        return plan(steps, steps >= 1, done.ravel()[order[-1]])
+    if s == "redundant":
+        r = int(spec.options.get("replication", 2))
+        done = durations_py(spec, round_no, r).cumsum(axis=1)
+        held = np.stack([[done[(p + j) % m, j] for j in range(r)] for p in range(m)])  # piece p is step j of worker p + j
+        owner = np.array([min(((p + j) % m for j in range(r)), key=lambda w, p=p: (held[p, (w - p) % m], w)) for p in range(m)])
+        stop = held.min(axis=1).max()
+        return plan((done <= stop).sum(axis=1), np.isin(np.arange(m), owner), stop, np.ones(m, int))
+    if s in RANDOM:
         mean = float(spec.options.get("mean", 10))
         h = np.array([rng.hash48_py(spec.seed, "steps", round_no, w) for w in range(m)], float)
         steps = np.maximum(1, np.ceil(-np.log((h + 0.5) / rng.SPACE) * mean)).astype(int)
-        weights = 1 / steps if spec.scheme == "step_normalised" else np.ones(m)
-    elif spec.scheme == "sampled_average":
+    elif s == "sampled_average":
         size = int(spec.options.get("sample", m))
         order = sorted(range(m), key=lambda w: (rng.hash48_py(spec.seed, "sample", round_no, w), w))
         every = np.isin(np.arange(m), order[:size])
-        steps, weights = np.where(every, u, 0), np.ones(m)
-    elif spec.scheme in ("periodic_average", "adaptive_period", "large_batch"):
-        steps, weights = np.full(m, period), np.ones(m)
+        steps = np.where(every, u, 0)
+    elif s == "reassign":
+        steps = reassigned_py(spec, round_no)
+    elif s == "fixed_steps":
+        steps = np.array([pattern_of(spec, w) for w in range(m)])
+    elif s in PERIODIC:
+        steps = np.full(m, period)
     else:
-        raise ValueError(f"unknown scheme {spec.scheme!r}")
+        raise ValueError(f"unknown scheme {s!r}")
     done = durations_py(spec, round_no, int(steps.max())).cumsum(axis=1)
-    time = float(max(done[w, steps[w] - 1] for w in range(m) if steps[w]))
-    return {"steps": steps, "up": every, "weights": weights, "time": time, "down": int(every.sum())}
+    return plan(steps, every & (steps >= 1), max(done[w, steps[w] - 1] for w in range(m) if steps[w]), down=int(every.sum()))
+
+
+PERIODIC = ("periodic_average", "adaptive_period", "stagewise", "large_batch")
+SCHEMES = (*QUORUM, *PERIODIC, *RANDOM, "sampled_average", "complete_only", "complete_and_incomplete", "quorum_batches", "redundant", "reassign", "fixed_steps")
+
+
+def check_scheme(spec: RunSpec, known: tuple) -> None:
+    if spec.scheme not in known:
+        raise ValueError(f"unknown scheme {spec.scheme!r}; known are {', '.join(known)}")
+
+
+def deadline_of(spec: RunSpec) -> float:
+    """The length of a round with a deadline; by default the mean duration of a quota."""
+    return float(spec.options.get("deadline", spec.quota * spec.mean))
+
+
+def pattern_of(spec: RunSpec, worker):
+    """A hand-set unequal pattern: ``least`` steps and up to ``spread`` - 1 more, by worker. Works on numbers and columns."""
+    return worker % int(spec.options.get("spread", 4)) + int(spec.options.get("least", 2))
+
+
+def reassigned_py(spec: RunSpec, round_no: int):
+    """Steps of a round after reassignment, from the first steps of the rounds before it."""
+    import numpy as np
+
+    m, window, factor = spec.workers, int(spec.options.get("window", 5)), float(spec.options.get("factor", 1.5))
+    if round_no == 0:
+        return np.full(m, spec.quota)
+    own = np.mean([durations_py(spec, j, 1)[:, 0] for j in range(max(0, round_no - window), round_no)], axis=0)
+    middle = np.median(own)
+    cut = np.where(own > factor * middle, np.maximum(1, np.floor(spec.quota * middle / own)), spec.quota).astype(int)
+    cut[np.lexsort((np.arange(m), own))[0]] += int((spec.quota - cut).sum())
+    return cut
 
 
 def rule_of(spec: RunSpec) -> str:
     return str(spec.options.get("rule", "inverse_model" if spec.scheme == "step_normalised" else "uniform"))
 
 
+def log_row(spec: RunSpec, round_no: int, period: int, time: float, cum_time: float, messages: int, cum_messages: int, uploads: int, steps, measures: dict) -> dict:
+    return {
+        "run_id": spec.run_id, "scheme": spec.scheme, "split": spec.split, "seed": spec.seed, "quorum": spec.quorum, "quota": spec.quota, "workers": spec.workers, "round_no": round_no, "period": period,
+        "round_time": time, "cum_time": cum_time, "messages": messages, "cum_messages": cum_messages, "uploads": uploads, "mean_steps": sum(steps) / len(steps), "max_steps": int(max(steps)),
+        "step_size": step_size_at(spec, round_no), **{c: measures.get(c) for c in ("loss", "accuracy", "grad_sq", "smooth")},
+    }
+
+
+class Curvature:
+    """Smoothness along a run: how far the gradient moved for each unit that the model moved since the last evaluation."""
+
+    def __init__(self):
+        self.last = None
+
+    def see(self, w, gradient) -> float | None:
+        import numpy as np
+
+        before, self.last = self.last, (w, gradient)
+        if before is None or not (moved := float(np.linalg.norm(w - before[0]))):
+            return None
+        return float(np.linalg.norm(gradient - before[1])) / moved
+
+
 def run_py(spec: RunSpec, shards: list, test: tuple, dims: int, classes: int) -> Iterator[dict]:
     """A whole run in one process. ``shards``: (x, y) of each worker in order of pos."""
     import numpy as np
@@ -119,46 +249,101 @@ def run_py(spec: RunSpec, shards: list, test: tuple, dims: int, classes: int) ->
     model = make_model(spec, dims, classes)
     w, powers = model.init(spec.seed), tasks.draw_powers(spec.batch)
     every_x, every_y = np.concatenate([s[0] for s in shards]), np.concatenate([s[1] for s in shards])
-    time = messages = 0
-    period, loss0 = spec.quota, None
+    time, messages, period, curve = 0.0, 0, Period(spec), Curvature()
     for j in range(spec.rounds):
-        plan = round_py(spec, j, period)
-        locals_, gradients = [], []
-        for m in np.flatnonzero(plan["up"]):
+        now = period.of(j)
+        plan, alpha = round_py(spec, j, now), step_size_at(spec, j)
+        results, counts = [], []
+        for m in np.flatnonzero(plan["draw"]):
             x, y = shards[m]
-            batches = [(x[p], y[p]) for p in (tasks.draws_py(spec.seed, j, m, s, spec.batch, len(y), powers) for s in range(plan["steps"][m]))]
-            if spec.scheme == "large_batch":
-                gradients.append(models.gradients_at(model, w, batches))
-            else:
-                locals_.append(models.local_chain(model, w, batches, spec.step_size))
-        up = plan["up"]
-        w = w - spec.step_size * np.mean(gradients, axis=0) if gradients else models.average(w, locals_, plan["weights"][up], plan["steps"][up], rule_of(spec))
-        time, messages = time + plan["time"], messages + plan["down"] + int(up.sum())
-        loss = accuracy = grad_sq = None
+            n = int(plan["draw"][m])
+            batches = [(x[p], y[p]) for p in (tasks.draws_py(spec.seed, j, m, s, spec.batch, len(y), powers) for s in range(n))]
+            results.append(models.gradients_at(model, w, batches) if spec.scheme in GRADIENTS else models.local_chain(model, w, batches, alpha))
+            counts.append(n)
+        w = next_model(spec, w, results, counts, alpha)
+        up = int(plan["up"].sum())
+        time, messages = time + plan["time"], messages + plan["down"] + up
+        measures = {}
+        if (j + 1) % spec.eval_every == 0:
+            loss, grad = model.loss_grad(w, every_x, every_y)
+            measures = {"loss": loss, "accuracy": model.evaluate(w, *test)[1], "grad_sq": float(grad @ grad), "smooth": curve.see(w, grad)}
+            period.learn(loss, time, j)
+        row = log_row(spec, j, now, plan["time"], time, plan["down"] + up, messages, up, plan["steps"].tolist(), measures)
+        yield row
+        if should_stop(spec, row):
+            return
+
+
+def next_model(spec: RunSpec, w, results: list, counts: list, alpha: float):
+    """The model after a round, from local models or gradients of the round's contributors and their numbers of mini-batches."""
+    import numpy as np
+
+    if not results:
+        return w
+    if spec.scheme in GRADIENTS:
+        return w - alpha * np.average(np.asarray(results), axis=0, weights=counts)
+    return models.average(w, results, [1.0] * len(results), counts, rule_of(spec))
+
+
+#: Schemes without rounds: every gradient is applied as it arrives. Their logs have a row for every M updates.
+ASYNCHRONOUS = ("asynchronous", "lock_free")
+
+
+def async_py(spec: RunSpec, shards: list, test: tuple, dims: int, classes: int) -> Iterator[dict]:
+    """Asynchronous descent in one process, as the order of events is the meaning. ``asynchronous`` reads a consistent model;
+    ``lock_free`` reads each block of it at a version of its own, between the worker's read and the update. Models are kept only as
+    far back as some worker's read."""
+    import heapq
+
+    import numpy as np
+
+    model, m = make_model(spec, dims, classes), spec.workers
+    powers, w = tasks.draw_powers(spec.batch), model.init(spec.seed)
+    every_x, every_y = np.concatenate([s[0] for s in shards]), np.concatenate([s[1] for s in shards])
+    parts = np.array_split(np.arange(len(w)), int(spec.options.get("blocks", 8)))
+    lasts = lambda n, k: -math.log((rng.hash48_py(spec.seed, "dur", n, k, 0) + 0.5) / rng.SPACE) * spec.mean
+    heap = [(lasts(0, k), k, 0) for k in range(m)]
+    heapq.heapify(heap)
+    read, history, version, before, curve = [0] * m, {0: w}, 0, 0.0, Curvature()
+    for j in range(spec.rounds):
+        alpha = step_size_at(spec, j)
+        for _ in range(m):
+            t, k, n = heapq.heappop(heap)
+            at = history[read[k]]
+            if spec.scheme == "lock_free":
+                at = at.copy()
+                for b, part in enumerate(parts):
+                    at[part] = history[read[k] + rng.hash48_py(spec.seed, "block", k, n, b) % (version - read[k] + 1)][part]
+            x, y = shards[k]
+            p = tasks.draws_py(spec.seed, n, k, 0, spec.batch, len(y), powers)
+            w = w - alpha * model.loss_grad(at, x[p], y[p])[1]
+            version += 1
+            history[version], read[k] = w, version
+            for old in range(min(history), min(read)):
+                history.pop(old, None)
+            heapq.heappush(heap, (t + lasts(n + 1, k), k, n + 1))
+        measures = {}
         if (j + 1) % spec.eval_every == 0:
             loss, grad = model.loss_grad(w, every_x, every_y)
-            accuracy, grad_sq = model.evaluate(w, *test)[1], float(grad @ grad)
-            if spec.scheme == "adaptive_period":
-                loss0 = loss0 or loss
-                period = clock.next_period(period, spec.quota, loss, loss0, 1.0, str(spec.options.get("direction", "shrink")))
-        row = {
-            "run_id": spec.run_id, "scheme": spec.scheme, "split": spec.split, "seed": spec.seed, "quorum": spec.quorum, "quota": spec.quota, "workers": spec.workers, "round_no": j, "period": period,
-            "round_time": plan["time"], "cum_time": time, "messages": plan["down"] + int(up.sum()), "cum_messages": messages, "uploads": int(up.sum()), "mean_steps": float(np.mean(plan["steps"])),
-            "loss": loss, "accuracy": accuracy, "grad_sq": grad_sq,
-        }
+            measures = {"loss": loss, "accuracy": model.evaluate(w, *test)[1], "grad_sq": float(grad @ grad), "smooth": curve.see(w, grad)}
+        row = log_row(spec, j, 1, t - before, t, 2 * m, 2 * m * (j + 1), m, [1] * m, measures)
+        before = t
         yield row
         if should_stop(spec, row):
             return
 
 
+def as_arrays(samples: DataFrame) -> tuple:
+    import numpy as np
+
+    table = samples.select("x", "y").toArrow().to_pandas()
+    return np.stack(table.x.to_list()), table.y.to_numpy()
+
+
 def collect_shards(shards: DataFrame, workers: int) -> list:
-    """Samples of each worker as arrays on the driver; refuses more than SWEEP_BYTES."""
+    """Samples of each worker as arrays on the driver; the caller has checked their size."""
     import numpy as np
 
-    one = shards.select(F.size("x").alias("d")).first()
-    rows = shards.count()
-    if one and rows * one["d"] * 8 > SWEEP_BYTES:
-        raise ValueError(f"{rows} samples are too many for a sweep; use train()")
     table = shards.select("worker", "pos", "x", "y").toArrow().to_pandas().sort_values(["worker", "pos"])
     out = []
     for m in range(workers):
@@ -168,16 +353,25 @@ def collect_shards(shards: DataFrame, workers: int) -> list:
 
 
 def sweep(spark: SparkSession, specs: list[RunSpec], samples: DataFrame, classes: int) -> DataFrame:
-    """The logs of all runs, each run a task. Samples: (row_id, x, y); a fifth of them is held out for accuracy."""
-    import numpy as np
+    """The logs of all runs. Samples: (row_id, x, y); a fifth of them is held out for accuracy.
 
+    Up to ``SWEEP_BYTES`` of samples (all splits' copies and the held-out fold) are broadcast and each run is a task; beyond,
+    every run goes through :func:`train`, which gives the same log and never brings samples to the driver.
+    """
+    for spec in specs:
+        check_scheme(spec, SCHEMES + ASYNCHRONOUS)
+    pieces = {(s.split, s.workers) for s in specs}
+    dims, rows = samples.agg(F.max(F.size("x")), F.count("*")).first()
+    if rows * (dims + 2) * 8 * (len(pieces) + 1) > SWEEP_BYTES:
+        logs = [train(spark, spec, samples, classes)[0] for spec in specs]
+        out = logs[0]
+        for log in logs[1:]:
+            out = out.unionByName(log)
+        return out
     train_rows = tasks.train_test(samples, False).persist()
-    held = tasks.train_test(samples, True).select("x", "y").toArrow().to_pandas()
-    test = (np.stack(held.x.to_list()), held.y.to_numpy())
-    data = {}
-    for split, workers in {(s.split, s.workers) for s in specs}:
-        data[split, workers] = collect_shards(tasks.SPLITS[split](train_rows, workers), workers)
-    dims = test[0].shape[1]
+    test = as_arrays(tasks.train_test(samples, True))
+    data = {(split, workers): collect_shards(tasks.SPLITS[split](train_rows, workers), workers) for split, workers in pieces}
+    train_rows.unpersist()
     shared = spark.sparkContext.broadcast((data, test))
     jobs = spark.createDataFrame([(k, s.to_json()) for k, s in enumerate(specs)], "nth int, spec string").repartition(len(specs), "nth")
 
@@ -188,7 +382,8 @@ def sweep(spark: SparkSession, specs: list[RunSpec], samples: DataFrame, classes
         for frame in frames:
             for text in frame["spec"]:
                 spec = RunSpec.from_json(text)
-                yield pd.DataFrame(list(run_py(spec, data[spec.split, spec.workers], test, dims, classes)))
+                run = async_py if spec.scheme in ASYNCHRONOUS else run_py
+                yield pd.DataFrame(list(run(spec, data[spec.split, spec.workers], test, dims, classes)))
 
     return jobs.mapInPandas(work, LOG)
 
@@ -196,24 +391,57 @@ def sweep(spark: SparkSession, specs: list[RunSpec], samples: DataFrame, classes
 # --- the distributed path -------------------------------------------------------------------------------------------
 
 
-def plan_rounds(spark: SparkSession, spec: RunSpec, rounds: int, lines: DataFrame | None = None, period: int | None = None) -> DataFrame:
-    """The schedule of a scheme for rounds 0 .. rounds-1, from hashed durations."""
-    if lines is None:
-        lines = clock.timelines(tables.hashed_durations(spark, rounds, spec.workers, cap_of(spec), spec.mean, spec.seed))
-    s = spec.scheme
+def plan_rounds(spark: SparkSession, spec: RunSpec, lines: DataFrame, period: int | None = None) -> DataFrame:
+    """The schedule of a scheme for the rounds of the lines."""
+    s, o = spec.scheme, spec.options
     if s in QUORUM:
-        return clock.quorum_schedule(lines, spec.quorum, spec.quota, *QUORUM[s], run_id=spec.run_id)
-    if s in ("periodic_average", "adaptive_period", "large_batch"):
+        return clock.quorum_schedule(lines, spec.quorum, quota_of(spec), *QUORUM[s], run_id=spec.run_id)
+    if s == "stagewise":
+        return clock.planned_schedule(lines, spark.createDataFrame(stages_of(spec), clock.PLAN), spec.run_id, open_end=True)
+    if s in PERIODIC:
         return clock.periodic_schedule(lines, period or spec.quota, run_id=spec.run_id)
     if s == "sampled_average":
-        return clock.sampled_schedule(lines, int(spec.options.get("sample", spec.workers)), spec.quota, spec.seed, spec.run_id)
-    if s in ("step_normalised", "random_uniform"):
-        return clock.random_steps_schedule(lines, float(spec.options.get("mean", 10)), "ceil", spec.seed, "uniform" if s == "random_uniform" else "inverse_model", spec.run_id)
+        return clock.sampled_schedule(lines, int(o.get("sample", spec.workers)), spec.quota, spec.seed, spec.run_id)
+    if s in RANDOM:
+        return clock.random_steps_schedule(lines, float(o.get("mean", 10)), "ceil", spec.seed, "uniform" if s == "random_uniform" else "inverse_model", spec.run_id)
+    if s in ("complete_only", "complete_and_incomplete"):
+        return clock.deadline_schedule(lines, deadline_of(spec), spec.quota, s == "complete_only", spec.run_id)
+    if s == "quorum_batches":
+        return clock.quorum_batches_schedule(lines, spec.quorum, spec.run_id)
+    if s == "redundant":
+        return clock.redundant_schedule(lines, spec.workers, int(o.get("replication", 2)), spec.run_id)
+    if s == "reassign":
+        return clock.reassign_schedule(lines, spec.quota, float(o.get("factor", 1.5)), int(o.get("window", 5)), spec.run_id)
+    if s == "fixed_steps":
+        return clock.fixed_steps_schedule(lines, pattern_of(spec, F.col("worker")), run_id=spec.run_id)
     raise ValueError(f"unknown scheme {s!r}")
 
 
-def local_models(fetched: DataFrame, round_no: int, model: models.Model, w, step_size: float, workers: int) -> DataFrame:
-    """(worker, steps, w) of a round: each worker's batches, in order of step and slot, run through its local chain."""
+def planned_block(spark: SparkSession, spec: RunSpec, start: int, end: int, period: int) -> tuple[DataFrame, dict[int, list]]:
+    """The persisted schedule of rounds start .. end-1 and its rows by round. Timelines too short for a plan are made again, twice as long."""
+    cap, before = cap_of(spec, period), int(spec.options.get("window", 5)) if spec.scheme == "reassign" else 0
+    while True:
+        lines = clock.timelines(tables.hashed_durations(spark, end, spec.workers, cap, spec.mean, spec.seed).where(F.col("round_no") >= start - before))
+        schedule = plan_rounds(spark, spec, lines, period).where(F.col("round_no") >= start).persist()
+        planned: dict[int, list] = {}
+        for r in schedule.collect():  # one small row for each round and worker
+            planned.setdefault(r["round_no"], []).append(r)
+        if not any(r["capped"] for rows in planned.values() for r in rows):
+            return schedule, planned
+        schedule.unpersist()
+        cap *= 2
+
+
+def drawn_steps(spec: RunSpec, schedule: DataFrame) -> DataFrame:
+    """(round_no, worker, steps) whose mini-batches a round uses: those of uploaders, or, with redundancy, one of each piece."""
+    if spec.scheme == "redundant":
+        return schedule.select("round_no", "worker", F.lit(1).alias("steps"))
+    return schedule.where("uploads").select("round_no", "worker", "steps")
+
+
+def local_results(fetched: DataFrame, round_no: int, model: models.Model, w, step_size: float, gradients: bool) -> DataFrame:
+    """(worker, steps, w) of a round: each worker's batches, in order of step and slot, run through its local chain, or their mean
+    gradient at the round's model."""
     shared = fetched.sparkSession.sparkContext.broadcast(w)
 
     def chain(frame):
@@ -223,8 +451,9 @@ def local_models(fetched: DataFrame, round_no: int, model: models.Model, w, step
         frame = frame.sort_values(["step_no", "slot"])
         x, y, step = np.stack(frame.x.to_list()), frame.y.to_numpy(), frame.step_no.to_numpy()
         cuts = np.flatnonzero(np.diff(step)) + 1
-        out = models.local_chain(model, shared.value, zip(np.split(x, cuts), np.split(y, cuts), strict=True), step_size)
-        return pd.DataFrame({"worker": [int(frame.worker.iloc[0])], "steps": [len(cuts) + 1], "w": [out.tolist()]})
+        batches = list(zip(np.split(x, cuts), np.split(y, cuts), strict=True))
+        out = models.gradients_at(model, shared.value, batches) if gradients else models.local_chain(model, shared.value, batches, step_size)
+        return pd.DataFrame({"worker": [int(frame.worker.iloc[0])], "steps": [len(batches)], "w": [out.tolist()]})
 
     return fetched.where(F.col("round_no") == round_no).groupBy("worker").applyInPandas(chain, "worker int, steps int, w array<double>")
 
@@ -268,55 +497,95 @@ def mean_gradient(samples: DataFrame, model: models.Model, w, by: str | None = N
     return {k: np.array(v) for k, v in out.items()} if by else np.array(out[0])
 
 
-def train(spark: SparkSession, spec: RunSpec, samples: DataFrame, classes: int, resume: tuple | None = None, draw: str = "independent") -> tuple[DataFrame, list[float]]:
-    """(log, model). ``resume`` = (next round, model, cum_time, cum_messages) continues a run from a stored state."""
+def loss_and_gradient(samples: DataFrame, model: models.Model, w) -> tuple:
+    """(mean loss, mean gradient) over a table, in one pass: each task sums its batches, and the sums meet by position."""
+    import numpy as np
+
+    shared = samples.sparkSession.sparkContext.broadcast(w)
+
+    def part(frames: Iterator) -> Iterator:
+        import pandas as pd
+
+        total = None
+        for frame in frames:
+            if n := len(frame):
+                loss, g = model.loss_grad(shared.value, np.stack(frame.x.to_list()), frame.y.to_numpy())
+                mine = np.concatenate([[n, loss * n], g * n])
+                total = mine if total is None else total + mine
+        if total is not None:
+            yield pd.DataFrame({"pos": np.arange(len(total)), "v": total})
+
+    sums = samples.select("x", "y").mapInPandas(part, "pos bigint, v double").groupBy("pos").agg(F.sum("v").alias("v")).collect()
+    v = np.array([r["v"] for r in sorted(sums, key=lambda r: r["pos"])])
+    return float(v[1] / v[0]), v[2:] / v[0]
+
+
+STATE = "run_id string, round_no int, w array<double>, cum_time double, cum_messages bigint, period int, loss0 double, since double"
+
+
+def stored_state(spark: SparkSession, store: str, spec: RunSpec) -> tuple | None:
+    """(next round, model, cum_time, cum_messages, period state) after the last round of a run in a store, or None."""
+    import numpy as np
+
+    path = spark._jvm.org.apache.hadoop.fs.Path(f"{store}/state")
+    if not path.getFileSystem(spark._jsc.hadoopConfiguration()).exists(path):
+        return None
+    r = spark.read.schema(STATE).parquet(f"{store}/state").where(F.col("run_id") == spec.run_id).orderBy(F.col("round_no").desc()).first()
+    return r and (r["round_no"] + 1, np.array(r["w"]), r["cum_time"], r["cum_messages"], (r["period"], r["loss0"], r["since"]))
+
+
+def train(spark: SparkSession, spec: RunSpec, samples: DataFrame, classes: int, resume: tuple | None = None, draw: str = "independent", store: str | None = None) -> tuple[DataFrame, list[float]]:
+    """(log, model). ``resume`` = (next round, model, cum_time, cum_messages) continues a run from a given state.
+
+    With ``store``, a folder that driver and executors share, the state and log of each evaluated round are written there, and a run that finds
+    its own state goes on after it, so a lost driver costs the rounds since the last evaluation; the log then holds all rounds.
+    """
+    check_scheme(spec, SCHEMES)
     train_rows, test = tasks.train_test(samples, False), tasks.train_test(samples, True).persist()
     shards = tasks.SPLITS[spec.split](train_rows, spec.workers).persist()
     sizes = shards.groupBy("worker").agg(F.count("*").alias("n")).persist()
     dims = shards.select(F.size("x")).first()[0]
     model = make_model(spec, dims, classes)
-    first, w, time, messages = resume or (0, model.init(spec.seed), 0.0, 0)
-    period, loss0, log = spec.quota, None, []
+    found_state = stored_state(spark, store, spec) if store else None
+    first, w, time, messages, *rest = resume or found_state or (0, model.init(spec.seed), 0.0, 0)
+    period, curve, log = Period(spec, rest[0] if rest else None), Curvature(), []
+    old = spark.read.schema(LOG).parquet(f"{store}/log").where((F.col("run_id") == spec.run_id) & (F.col("round_no") < first)).dropDuplicates(["round_no"]).collect() if found_state else []
+    done = bool(old) and should_stop(spec, max(old, key=lambda r: r["round_no"]).asDict())
     # A scheme that re-plans from the loss plans a round at a time.
     block = 1 if spec.scheme == "adaptive_period" else BLOCK
-    done = False
-    for start in range(first, spec.rounds, block):
-        lines = clock.timelines(tables.hashed_durations(spark, min(start + block, spec.rounds), spec.workers, cap_of(spec), spec.mean, spec.seed).where(F.col("round_no") >= start))
-        schedule = plan_rounds(spark, spec, 0, lines, period).persist()
-        # One small row for each round and worker.
-        planned: dict[int, list] = {}
-        for r in schedule.collect():
-            planned.setdefault(r["round_no"], []).append(r)
-        if any(r["capped"] for rows in planned.values() for r in rows):
-            raise ValueError("a timeline is shorter than its round; raise the step cap")
-        draws = tasks.draw_batches(schedule.where("uploads"), sizes, spec.batch, spec.seed, draw)
+    start, unsaved = first, 0
+    while start < spec.rounds and not done:
+        end = min(start + block, spec.rounds)
+        schedule, planned = planned_block(spark, spec, start, end, period.of(start))
+        draws = tasks.draw_batches(drawn_steps(spec, schedule), sizes, spec.batch, spec.seed, draw)
         fetched = tasks.fetch(draws, shards).repartition(spec.workers, "worker").persist()
         for j in sorted(planned):
-            rows = planned[j]
-            found = sorted(local_models(fetched, j, model, w, spec.step_size, spec.workers).collect(), key=lambda r: r["worker"])
-            w = models.average(w, [r["w"] for r in found], [1.0] * len(found), [r["steps"] for r in found], rule_of(spec))
+            rows, now, alpha = planned[j], period.of(j), step_size_at(spec, j)
+            found = sorted(local_results(fetched, j, model, w, alpha, spec.scheme in GRADIENTS).collect(), key=lambda r: r["worker"])
+            w = next_model(spec, w, [r["w"] for r in found], [r["steps"] for r in found], alpha)
             up, down = sum(r["uploads"] for r in rows), sum(r["downloads"] for r in rows)
             time, messages = time + rows[0]["round_time"], messages + up + down
-            loss = accuracy = None
+            measures = {}
             if (j + 1) % spec.eval_every == 0:
-                loss, _ = evaluate(shards, model, w)
-                _, accuracy = evaluate(test, model, w)
-                if spec.scheme == "adaptive_period":
-                    loss0 = loss0 or loss
-                    period = clock.next_period(period, spec.quota, loss, loss0, 1.0, str(spec.options.get("direction", "shrink")))
-            row = (
-                spec.run_id, spec.scheme, spec.split, spec.seed, spec.quorum, spec.quota, spec.workers, j, period, rows[0]["round_time"], time, up + down, messages, up,
-                sum(r["steps"] for r in rows) / len(rows), loss, accuracy, None,
-            )
+                loss, grad = loss_and_gradient(shards, model, w)
+                measures = {"loss": loss, "accuracy": evaluate(test, model, w)[1], "grad_sq": float(grad @ grad), "smooth": curve.see(w, grad)}
+                period.learn(loss, time, j)
+            row = log_row(spec, j, now, rows[0]["round_time"], time, up + down, messages, up, [r["steps"] for r in rows], measures)
             log.append(row)
-            done = should_stop(spec, {"accuracy": accuracy, "round_no": j, "cum_time": time, "cum_messages": messages})
+            done = should_stop(spec, row)
+            if store and (measures or done):
+                state = (spec.run_id, j, [float(v) for v in w], time, messages, *period.state)
+                spark.createDataFrame(log[unsaved:], LOG).coalesce(1).write.mode("append").parquet(f"{store}/log")
+                spark.createDataFrame([state], STATE).coalesce(1).write.mode("append").parquet(f"{store}/state")  # last: a state's log is complete
+                unsaved = len(log)
             if done:
                 break
         fetched.unpersist()
         schedule.unpersist()
-        if done:
-            break
-    return spark.createDataFrame(log, LOG), [float(v) for v in w]
+        start = end
+    for kept in (test, shards, sizes):
+        kept.unpersist()
+    return spark.createDataFrame([*old, *(tuple(r.values()) for r in log)], LOG), [float(v) for v in w]
 
 
 # --- single-machine and one-shot baselines ---------------------------------------------------------------------------
@@ -353,9 +622,12 @@ def async_run(model: models.Model, events: list, shards: list, batch: int, step_
     import numpy as np
 
     powers, w = tasks.draw_powers(batch), model.init(seed)
-    history, worst = [w], 0
+    history, worst = {0: w}, 0
     parts = np.array_split(np.arange(len(w)), blocks)
-    for worker, nth, version, read in events:
+    needed = np.minimum.accumulate([e[3] for e in events][::-1])[::-1].tolist() if events else []  # the oldest version that any later event reads
+    for at_event, (worker, nth, version, read) in enumerate(events):
+        for old in range(min(history), needed[at_event]):
+            history.pop(old, None)
         worst = max(worst, version - read)
         at = history[read].copy()
         if consistency == "coordinate":
@@ -369,5 +641,5 @@ def async_run(model: models.Model, events: list, shards: list, batch: int, step_
             mask[parts[version % blocks]] = 1
             g = g * mask
         w = w - step_size * g
-        history.append(w)
+        history[version + 1] = w
     return w, worst

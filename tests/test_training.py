@@ -25,6 +25,15 @@ def test_gradients_by_finite_differences(model):
         assert g[k] == pytest.approx((model.loss_grad(w + e, x, y)[0] - model.loss_grad(w - e, x, y)[0]) / 2e-6, abs=1e-5)
 
 
+@pytest.mark.parametrize("model", [models.least_squares(5), models.logistic(5), models.softmax(5, 3), models.mlp(5, 4, 3), models.small_cnn(3)])
+def test_squared_gradients_of_samples(model):
+    rng = np.random.default_rng(0)
+    x, y = rng.standard_normal((6, model.dims)), rng.integers(0, 2, 6)
+    w = model.init(1) + 0.05 * rng.standard_normal(model.size)
+    want = [(model.loss_grad(w, x[k : k + 1], y[k : k + 1])[1] ** 2).sum() for k in range(6)]
+    assert model.sample_grad_sq(w, x, y) == pytest.approx(want)
+
+
 def test_averaging_rules(spark):
     rows = [(0, 2, [1.0, 4.0]), (1, 4, [3.0, 0.0]), (2, 0, [9.0, 9.0])]
     df = spark.createDataFrame(rows, averaging.LOCALS)
@@ -85,6 +94,10 @@ def test_draws_agree_with_numpy(spark):
     for (j, m, u), pos in got.items():
         want = samples.draws_py(9, j, m, u, 5, {0: 10, 1: 7}[m], samples.draw_powers(5))
         assert [pos[k] for k in range(5)] == want.tolist()
+    apart = samples.draw_batches(schedule, sizes, 7, 9, "distinct").where("worker = 1").collect()
+    assert sorted(r["pos"] for r in apart) == list(range(7))
+    ten = samples.draw_batches(schedule, sizes, 10, 9, "distinct").where("worker = 0 and step_no = 1").collect()
+    assert sorted(r["pos"] for r in ten) == list(range(10))
     block = samples.draw_batches(schedule, sizes, 5, 9, "block").where("worker = 1").orderBy("slot").collect()
     assert all((b["pos"] - a["pos"]) % 7 == 1 for a, b in zip(block, block[1:], strict=False))
 
@@ -97,16 +110,84 @@ def test_batch_gradients_are_unbiased():
     assert mean == pytest.approx(model.loss_grad(w, x, y)[1], abs=0.01)
 
 
-def test_both_paths_agree(spark, small):
-    t = samples.language_task(spark, small)
-    for scheme, options in (("quorum_stop", {}), ("step_normalised", {"mean": 3}), ("adaptive_period", {})):
-        spec = RunSpec(scheme=scheme, workers=4, quorum=2, quota=3, batch=10, mean=1.0, rounds=2, target=2.0, options=options)
-        a = training.sweep(spark, [spec], t, 4).collect()
-        b, w = training.train(spark, spec, t, 4)
-        assert len(w) == 40 * 4
-        for x, y in zip(a, b.collect(), strict=True):
-            for c in ("round_time", "cum_messages", "uploads", "mean_steps", "loss", "accuracy"):
-                assert x[c] == pytest.approx(y[c], rel=1e-9), (scheme, c)
+SCHEMES = [
+    ("quorum_stop", {}), ("fast_surplus_only", {}), ("straggler_partial_only", {}), ("plain_quorum", {}), ("periodic_average", {}), ("adaptive_period", {"direction": "grow"}),
+    ("adaptive_period", {"shrink": 0.5, "interval": 2.0, "halve_every": 1}), ("sampled_average", {"sample": 2}), ("step_normalised", {"mean": 3}), ("random_uniform", {"mean": 3}), ("stagewise", {"length": 1}),
+    ("large_batch", {}), ("complete_only", {}), ("complete_and_incomplete", {}), ("quorum_gradient", {}), ("quorum_batches", {}), ("redundant", {}), ("reassign", {}), ("fixed_steps", {}),
+]
+
+
+@pytest.mark.parametrize("scheme, options", SCHEMES)
+def test_both_paths_agree(spark, scheme, options):
+    t = task(spark, 40)
+    spec = RunSpec(scheme=scheme, workers=4, quorum=2, quota=3, batch=4, mean=1.0, rounds=3, target=2.0, options=options)
+    a = training.sweep(spark, [spec], t, 4).collect()
+    log, w = training.train(spark, spec, t, 4)
+    b = log.collect()
+    assert len(w) == 3 * 4 and len(a) == len(b) == 3
+    for x, y in zip(a, b, strict=True):
+        for c in ("period", "round_time", "cum_messages", "uploads", "mean_steps", "max_steps", "step_size", "loss", "accuracy", "grad_sq", "smooth"):
+            assert x[c] == (y[c] if y[c] is None else pytest.approx(y[c], rel=1e-7)), (scheme, c)
+
+
+def test_periods_beyond_the_first_timeline(spark):
+    """A growing period ends beyond the steps that were planned at first; the timelines are made longer."""
+    spec = RunSpec(scheme="adaptive_period", workers=2, quota=1, batch=4, mean=1.0, rounds=2, target=2.0, options={"mean": 1})
+    assert training.cap_of(spec) < 100
+    _, planned = training.planned_block(spark, spec.but(scheme="fixed_steps", options={"spread": 1, "least": 150}), 0, 1, 1)
+    assert [(r["steps"], r["capped"]) for r in planned[0]] == [(150, False)] * 2
+
+
+def test_unknown_schemes_raise(spark):
+    spec = RunSpec(scheme="no_such")
+    with pytest.raises(ValueError, match="unknown scheme"):
+        training.sweep(spark, [spec], task(spark, 20), 4)
+    with pytest.raises(ValueError, match="unknown scheme"):
+        training.train(spark, spec, task(spark, 20), 4)
+
+
+def test_large_sweeps_take_the_distributed_path(spark, monkeypatch):
+    spec = RunSpec(workers=3, quorum=2, quota=2, batch=4, mean=1.0, rounds=2, target=2.0)
+    want = training.sweep(spark, [spec], task(spark, 40), 4).collect()
+    monkeypatch.setattr(training, "SWEEP_BYTES", 0)
+    monkeypatch.setattr(training, "collect_shards", None)  # nothing comes to the driver
+    got = training.sweep(spark, [spec], task(spark, 40), 4).collect()
+    assert [r["loss"] for r in got] == pytest.approx([r["loss"] for r in want])
+
+
+def test_stored_runs_go_on(spark, tmp_path):
+    store = str(tmp_path / "store")
+    spec = RunSpec(scheme="adaptive_period", workers=3, quota=2, batch=4, mean=1.0, rounds=3, target=2.0)
+    whole, w = training.train(spark, spec, task(spark, 40), 4)
+    training.train(spark, spec, task(spark, 40), 4, store=store)
+    # A driver that was lost after round 1: its last state is gone.
+    last = spark.read.schema(training.STATE).parquet(store + "/state").where("round_no < 2")
+    last.write.parquet(store + "/kept")
+    import shutil
+
+    shutil.rmtree(store + "/state")
+    shutil.move(store + "/kept", store + "/state")
+    log, again = training.train(spark, spec, task(spark, 40), 4, store=store)
+    assert again == pytest.approx(w, abs=1e-12)
+    assert [(r["round_no"], r["cum_time"]) for r in log.orderBy("round_no").collect()] == [(r["round_no"], pytest.approx(r["cum_time"])) for r in whole.orderBy("round_no").collect()]
+    assert training.train(spark, spec, task(spark, 40), 4, store=store)[0].count() == 3
+
+
+def test_asynchronous_runs():
+    rng = np.random.default_rng(5)
+    x, y = rng.standard_normal((40, 3)), rng.integers(0, 3, 40)
+    shards = [(x[:20], y[:20]), (x[20:], y[20:])]
+    spec = RunSpec(scheme="asynchronous", workers=2, batch=5, mean=1.0, rounds=4, target=2.0)
+    log = list(training.async_py(spec, shards, (x, y), 3, 3))
+    assert [r["cum_messages"] for r in log] == [4, 8, 12, 16] and all(a["cum_time"] < b["cum_time"] for a, b in zip(log, log[1:], strict=False))
+    # One worker alone is serial descent, and reads whole models whether it locks or not.
+    alone = [list(training.async_py(spec.but(workers=1, scheme=s), [(x, y)], (x, y), 3, 3))[-1]["loss"] for s in training.ASYNCHRONOUS]
+    w, model = np.zeros(9), models.softmax(3, 3)
+    for n in range(4):
+        p = samples.draws_py(0, n, 0, 0, 5, 40, samples.draw_powers(5))
+        w = w - 0.1 * model.loss_grad(w, x[p], y[p])[1]
+    assert alone == pytest.approx([model.loss_grad(w, x, y)[0]] * 2)
+    assert list(training.async_py(spec.but(scheme="lock_free"), shards, (x, y), 3, 3))[-1]["loss"] != log[-1]["loss"]
 
 
 def test_degenerate_settings(spark):
