@@ -95,6 +95,12 @@ FIXED_SUMMARY = """
 select round_no, round(max(stop), 6) round_time, count(*) filter (part and n >= 1) uploads, count(*) filter (part) + count(*) filter (part and n >= 1) messages, cast(sum(n) as bigint) steps from f group by 1"""
 
 
+#: Plans (CTE z: round_no, worker, planned) that may go on beyond a round's cut into the trace; unknown where the trace ends.
+UNCUT_SUMMARY = f""",
+x as (select z.round_no, z.worker, z.planned, case when count(e.dur) = z.planned then sum(e.dur) end ack from z join e on e.worker = z.worker and e.seq >= z.round_no * {CAP} and e.seq < z.round_no * {CAP} + z.planned group by 1, 2, 3)
+select round_no, case when count(ack) = count(*) then round(max(ack), 6) end round_time, count(*) uploads, 2 * count(*) messages, cast(sum(planned) as bigint) steps from x group by 1"""
+
+
 # --- schedules ---------------------------------------------------------------------------------------------------
 
 
@@ -137,7 +143,7 @@ def adaptive_fixed_plan(spark, sf_dir):
 RANDOM_STEPS_SQL = f"greatest(1, cast(ceil(-ln((cast({rng.hash48_sql(0, 'steps', 'round_no', 'worker')} as double) + 0.5) / 281474976710656.0) * 10.0) as int))"
 
 
-@query(trace_sql() + fixed_sql(RANDOM_STEPS_SQL) + FIXED_SUMMARY)
+@query(trace_sql() + f", z as (select round_no, worker, {RANDOM_STEPS_SQL} planned from (select distinct round_no, worker from d))" + UNCUT_SUMMARY)
 def random_steps_summary(spark, sf_dir):
     return summary_columns(clock.random_steps_schedule(lines_of(spark, sf_dir), 10.0, **uncut(spark, sf_dir)))
 
@@ -232,18 +238,21 @@ def fixed_steps_summary(spark, sf_dir):
     return summary_columns(clock.fixed_steps_schedule(lines_of(spark, sf_dir), F.col("worker") % 4 + 2))
 
 
-@query(trace_sql() + """,
+REASSIGN_SQL = trace_sql() + """,
 o as (select round_no, worker, avg(case when u = 1 then t end) t1 from c group by 1, 2),
 p as (select *, avg(t1) over (partition by worker order by round_no rows between 5 preceding and 1 preceding) own from o),
 m as (select round_no, quantile_cont(own, 0.5) med from p group by 1),
 q as (select p.*, med, case when own > 1.5 * med then greatest(1, floor(10 * med / own)) else 10 end cut from p join m using (round_no)),
-z as (select *, sum(10 - cut) over (partition by round_no) surplus, row_number() over (partition by round_no order by own nulls last, worker) rk from q)
-select round_no, worker, cast(cut + case when rk = 1 then surplus else 0 end as int) planned from z""")
+y as (select *, sum(10 - cut) over (partition by round_no) surplus, row_number() over (partition by round_no order by own nulls last, worker) rk from q),
+z as (select round_no, worker, cast(cut + case when rk = 1 then surplus else 0 end as int) planned from y)"""
+
+
+@query(REASSIGN_SQL + " select * from z")
 def reassigned_steps(spark, sf_dir):
     return clock.reassigned_quota(lines_of(spark, sf_dir), 10, 1.5, 5).select("round_no", "worker", "planned")
 
 
-@query()
+@query(REASSIGN_SQL + UNCUT_SUMMARY)
 def reassign_summary(spark, sf_dir):
     return summary_columns(clock.reassign_schedule(lines_of(spark, sf_dir), 10, **uncut(spark, sf_dir)))
 
@@ -260,9 +269,6 @@ def stagewise_summary(spark, sf_dir):
     return summary_columns(clock.planned_schedule(lines_of(spark, sf_dir), plan, "stagewise", open_end=True))
 
 
-ORACLES["stagewise_summary"] = ORACLES["stagewise_summary"].replace("from f group by 1", "from f where round_no < 60 group by 1")
-
-
 @query(trace_sql() + """,
 a as (select round_no, worker, max(case when u = 10 - 2 * least(round_no, 4) then t end) ack from c group by 1, 2),
 k as (select round_no, ack stop from (select *, row_number() over (partition by round_no order by ack nulls last, worker) r from a) where r = 5),
@@ -289,6 +295,40 @@ def quorum_link_summary(spark, sf_dir):
     return summary_columns(clock.quorum_schedule(lines_of(spark, sf_dir), 5, 10, link=link))
 
 
+def hashed_sql(rounds: int, workers: int, cap: int) -> str:
+    """CTEs d and c as in :func:`trace_sql`, from hashed durations of mean one."""
+    return f"""
+with hk as (select r.i::int round_no, w.i::int worker, s.i::int step_no from range({rounds}) r(i), range({workers}) w(i), range({cap}) s(i)),
+d as (select round_no, worker, step_no, -ln((cast({rng.hash48_sql(0, 'dur', 'round_no', 'worker', 'step_no')} as double) + 0.5) / 281474976710656.0) dur from hk),
+c as (select *, step_no + 1 u, sum(dur) over (partition by round_no, worker order by step_no rows unbounded preceding) t from d)"""
+
+
+#: Two shapes of a round, as literal durations of three steps or more for four workers.
+SHAPES = [(0, [1.0, 1.0, 1.0, 1.0, 9.0]), (1, [1.5, 1.0, 1.0, 9.0]), (2, [2.0, 1.0, 1.0, 9.0]), (3, [2.5, 2.5, 9.0])]
+SHAPES_SQL = f"with v(worker, s, dur) as (values {', '.join(f'({w}, {k}, {d}::double)' for w, ds in SHAPES for k, d in enumerate(ds))}), c as (select worker, s + 1 u, sum(dur) over (partition by worker order by s rows unbounded preceding) t from v)"
+
+
+@query(SHAPES_SQL + """,
+a as (select worker, max(t) filter (u = 3) ack from c group by 1), k as (select ack stop from a order by ack, worker limit 1 offset 2)
+select 'quorum of 3' shape, worker::int worker, cast(count(*) filter (t <= stop) as int) steps, count(*) filter (t <= stop) >= 1 uploads, max(stop) round_time from c, k group by 2
+union all select 'two of the first three', worker::int, case when worker < 2 then 3 else 0 end, worker < 2, (select max(ack) from a where worker < 2) from a""")
+def two_shapes(spark, sf_dir):
+    """A round that ends with the third of four workers' third steps, and one in which two chosen workers make three steps each."""
+    rows = [(0, w, k, d) for w, ds in SHAPES for k, d in enumerate(ds)]
+    lines = clock.timelines(spark.createDataFrame(rows, tables.DURATIONS))
+    chosen = clock.fixed_steps_schedule(lines, F.lit(3), F.col("worker") < 2)
+    said = lambda s, name: s.select(F.lit(name).alias("shape"), "worker", "steps", "uploads", "round_time")
+    return said(clock.quorum_schedule(lines, 3, 3), "quorum of 3").unionByName(said(chosen, "two of the first three"))
+
+
+@query(hashed_sql(1, 40, 60) + quorum_sql(30, 2) + """
+select cast(steps as int) steps, case when steps > 2 then 'surplus' when steps = 2 then 'exact' when steps >= 1 then 'partial' else 'none' end class, count(*) workers from q group by 1, 2""")
+def histogram_of_one_round(spark, sf_dir):
+    """Steps of 40 workers in the first round, quorum 30, quota 2, from hashed durations."""
+    lines = clock.timelines(tables.hashed_durations(spark, 1, 40, 60))
+    return metrics.step_histogram(clock.quorum_schedule(lines, 30, 2), 2, 0).select("steps", "class", "workers")
+
+
 # --- measures ----------------------------------------------------------------------------------------------------
 
 
@@ -425,19 +465,30 @@ def round_of_event(spark, sf_dir):
 # --- theory ------------------------------------------------------------------------------------------------------
 
 GRID = [(40, 30, 2), (20, 10, 5), (20, 5, 10), (20, 10, 10), (20, 15, 10), (20, 20, 10), (20, 5, 5), (20, 5, 1), (20, 5, 20)]
-GRID_VALUES = ", ".join(f"({m}, {k}, {u})" for m, k, u in GRID)
 
 
-@query(f"""with s(workers, quorum, quota) as (values {GRID_VALUES}),
+def counts_sql(cells: list[tuple[int, int, int]]) -> str:
+    """CTEs up to x: expected steps and uploads of settings, by midpoint sums."""
+    return f"""with s(workers, quorum, quota) as (values {", ".join(f"({m}, {k}, {u})" for m, k, u in cells)}),
 g as (select *, (quota + 14 * sqrt(quota) + 40) / 4000 dt, unnest(range(4000)) i from s),
 h as (select *, (i + 0.5) * dt t, lgamma(workers + 1) - lgamma(quorum) - lgamma(workers - quorum + 1) lw, lgamma(quota) lq from g),
 j as (select *, exp(-t) * list_sum(list_transform(range(quota), lambda x: exp(x * ln(t) - lgamma(x + 1)))) tail from h),
-f as (select *, exp(lw + (quorum - 1) * ln(greatest(1 - tail, 1e-300)) + (workers - quorum) * ln(greatest(tail, 1e-300)) + (quota - 1) * ln(t) - t - lq) f from j),
-a as (select workers, quorum, quota, sum(t * f * dt) e, sum(case when tail > 1e-290 then f * (1 - exp(-t) / tail) * dt else 0 end) p from f group by 1, 2, 3)
-select workers, quorum, quota, round(e, 5) expected_steps, round(workers * (1 - exp(-e)), 5) uploads_approx, round(greatest(quorum, workers * (1 - exp(-e))), 5) uploads_clamped, round(quorum + (workers - quorum) * p, 5) uploads_exact from a""")
+fd as (select *, exp(lw + (quorum - 1) * ln(greatest(1 - tail, 1e-300)) + (workers - quorum) * ln(greatest(tail, 1e-300)) + (quota - 1) * ln(t) - t - lq) f from j),
+ei as (select workers, quorum, quota, sum(t * f * dt) e, sum(case when tail > 1e-290 then f * (1 - exp(-t) / tail) * dt else 0 end) p from fd group by 1, 2, 3),
+x as (select workers, quorum, quota, e expected_steps, workers * (1 - exp(-e)) uploads_approx, greatest(quorum, workers * (1 - exp(-e))) uploads_clamped, quorum + (workers - quorum) * p uploads_exact from ei)"""
+
+
+COUNTS = ("expected_steps", "uploads_approx", "uploads_clamped", "uploads_exact")
+
+
+def r5(c: str) -> Column:
+    return (F.round(c, 5) + F.lit(0.0)).alias(c)
+
+
+@query(counts_sql(GRID) + " select workers, quorum, quota, " + ", ".join(f"round({c}, 5) {c}" for c in COUNTS) + " from x")
 def expected_counts_grid(spark, sf_dir):
     e = theory.expected_counts(theory.settings(spark, GRID))
-    return e.select("workers", "quorum", "quota", *[(F.round(c, 5) + 0.0).alias(c) for c in ("expected_steps", "uploads_approx", "uploads_clamped", "uploads_exact")])
+    return e.select("workers", "quorum", "quota", *map(r5, COUNTS))
 
 
 @query("""select s, round(list_sum(list_transform(range(20 - s + 1, 21), lambda x: 1.0 / x)), 6) harmonic, case when s < 20 then round(ln(20.0 / (20 - s)), 6) end logarithm from (select unnest(range(1, 21))::int s)""")
@@ -445,22 +496,87 @@ def expected_first_step(spark, sf_dir):
     return theory.expected_first_step(spark, 20).select("s", r6("harmonic").alias("harmonic"), r6("logarithm").alias("logarithm"))
 
 
-@query()
+MONOTONE = [(20, k, u) for k in (1, 5, 10, 15, 20) for u in (1, 5, 10, 20)]
+RISES = [(f"{name}_rise_in_{by}", c, over) for by, over in (("quorum", "quota"), ("quota", "quorum")) for name, c in (("steps", "expected_steps"), ("uploads", "uploads_exact"))]
+
+
+@query(counts_sql(MONOTONE) + " select workers, quorum, quota, " + ", ".join(f"round({c}, 5) {c}" for c in COUNTS) + ", " + ", ".join(f"round({c} - lag({c}) over (partition by workers, {over} order by {name.split('_in_')[1]}), 5) {name}" for name, c, over in RISES) + " from x")
 def monotone_grid(spark, sf_dir):
     """Expected steps and uploads over the quorum and quota grid, with the rise to the next setting."""
-    return theory.monotone_grid(theory.settings(spark, [(20, k, u) for k in (1, 5, 10, 15, 20) for u in (1, 5, 10, 20)]))
+    return theory.monotone_grid(theory.settings(spark, MONOTONE)).select("workers", "quorum", "quota", *map(r5, COUNTS), *[r5(name) for name, _, _ in RISES])
+
+
+@query(hashed_sql(200, 40, 60) + quorum_sql(30, 2) + ", r as (select round_no, max(stop) stop, count(*) filter (steps >= 1) uploads, count(*) filter (last <= stop) capped from q group by 1)," + counts_sql([(40, 30, 2)]).removeprefix("with ") + """
+select (select count(*) from r) rounds, (select round(avg(steps), 6) from q) mean_steps, (select round(avg(uploads), 6) from r) mean_uploads, (select round(avg(stop), 6) from r) mean_time, (select cast(sum(capped) as bigint) from r) capped,
+  round(expected_steps, 5) expected_steps, round(uploads_approx, 5) uploads_approx, round(uploads_exact, 5) uploads_exact from x""")
+def means_against_formulas(spark, sf_dir):
+    """200 rounds at quorum 30 of 40, quota 2: measured means of steps and uploads beside the closed forms."""
+    lines = clock.timelines(tables.hashed_durations(spark, 200, 40, 60))
+    e = metrics.empirical_means(clock.quorum_schedule(lines, 30, 2))
+    t = theory.expected_counts(theory.settings(spark, [(40, 30, 2)]))
+    both = e.crossJoin(F.broadcast(t))
+    return both.select("rounds", r6("mean_steps").alias("mean_steps"), r6("mean_uploads").alias("mean_uploads"), r6("mean_time").alias("mean_time"), "capped", *[r5(c) for c in COUNTS if c != "uploads_clamped"])
+
+
+CELLS = [(20, k, u) for k in (1, 5, 10, 15) for u in (1, 5, 10)]
+
+
+@query(hashed_sql(60, 20, 120) + f""",
+st(quorum, quota) as (values {", ".join(f"({k}, {u})" for _, k, u in CELLS)}),
+a as (select quorum, quota, round_no, worker, max(t) filter (u = quota) ack, max(t) last from st, c group by 1, 2, 3, 4),
+kk as (select quorum, quota, round_no, ack stop from (select *, row_number() over (partition by quorum, quota, round_no order by ack nulls last, worker) r from a) where r = quorum),
+n as (select kk.quorum, kk.quota, round_no, worker, count(*) filter (t <= stop) steps, max(t) <= max(stop) capped from kk join c using (round_no) group by 1, 2, 3, 4),
+r as (select quorum, quota, round_no, count(*) filter (steps >= 1) uploads, count(*) filter (capped) capped from n group by 1, 2, 3),
+mu as (select quorum, quota, round(avg(uploads), 6) mean_uploads, cast(sum(capped) as bigint) capped from r group by 1, 2), ms as (select quorum, quota, round(avg(steps), 6) mean_steps from n group by 1, 2),""" + counts_sql(CELLS).removeprefix("with ") + """
+select quorum, quota, mean_steps, mean_uploads, capped, """ + ", ".join(f"round({c}, 5) {c}" for c in COUNTS) + " from mu join ms using (quorum, quota) join x using (quorum, quota)")
+def uploads_over_settings(spark, sf_dir):
+    """Expected and measured uploads as quorum and quota grow."""
+    lines = clock.timelines(tables.hashed_durations(spark, 60, 20, 120))
+    out = None
+    for _, k, u in CELLS:
+        m = metrics.empirical_means(clock.quorum_schedule(lines, k, u, run_id=f"{k},{u}"))
+        m = m.select(F.lit(k).alias("quorum"), F.lit(u).alias("quota"), r6("mean_steps").alias("mean_steps"), r6("mean_uploads").alias("mean_uploads"), "capped")
+        out = m if out is None else out.unionByName(m)
+    return out.join(F.broadcast(theory.expected_counts(theory.settings(spark, CELLS)).select("quorum", "quota", *map(r5, COUNTS))), ["quorum", "quota"])
 
 
 BOUND_ROWS = [(5, 10, 7.567734, 20.0), (10, 5, 4.564304, 14.0), (20, 10, 16.776046, 30.0)]
 
 
-@query("""with s(quorum, quota, e, u) as (values (5, 10, 7.567734::double, 20.0::double), (10, 5, 4.564304, 14.0), (20, 10, 16.776046, 30.0)), j(rounds) as (values (100), (1000), (10000)),
-x as (select *, 0.01::double a from s, j)
-select quorum, quota, rounds, round(((1.0 / (a * e * rounds)) + a * u * 2.0 * 4.0 / (2.0 * quorum * 100 * e) + 5.0 * a * a * power(u, 3) * 4.0 * (4.0 + 6.0 * u * 0.5) / (2.0 * e * e)) / 0.5, 6) bound from x""")
+def bound_sql(mean: str, most: str, apart: float) -> str:
+    """The bound at step size 0.01, batch 100, smoothness 2, noise 4, c = 1/2, with expressions for mean and largest steps."""
+    return f"((1.0 / (0.01 * {mean} * rounds)) + 0.01 * {most} * 2.0 * 4.0 / (2.0 * quorum * 100 * {mean}) + 5.0 * 0.0001 * power({most}, 3) * 4.0 * (4.0 + 6.0 * {most} * {apart}) / (2.0 * {mean} * {mean})) / 0.5"
+
+
+BOUND_CTE = "with s(quorum, quota, e, u) as (values (5, 10, 7.567734::double, 20.0::double), (10, 5, 4.564304, 14.0), (20, 10, 16.776046, 30.0)), x as (select *, quota::double q from s, (values (100), (1000), (10000)) j(rounds))"
+
+
+def bound_cells(spark) -> DataFrame:
+    cells = spark.createDataFrame(BOUND_ROWS, "quorum int, quota int, e double, u double")
+    return cells.crossJoin(F.broadcast(spark.createDataFrame([(100,), (1000,), (10000,)], "rounds int")))
+
+
+def bound_of(mean: Column, most: Column, apart: float) -> Column:
+    return theory.bound_column(F.lit(0.01), mean, most, F.col("quorum"), F.col("rounds"), 2.0, 100, 4.0, apart, 1.0)
+
+
+@query(BOUND_CTE + f" select quorum, quota, rounds, round({bound_sql('e', 'u', 0.5)}, 6) bound from x")
 def bound_table(spark, sf_dir):
-    s = spark.createDataFrame(BOUND_ROWS, "quorum int, quota int, e double, u double").crossJoin(spark.createDataFrame([(100,), (1000,), (10000,)], "rounds int"))
-    b = theory.bound_column(F.lit(0.01), F.col("e"), F.col("u"), F.col("quorum"), F.col("rounds"), 2.0, 100, 4.0, 0.5, 1.0)
-    return s.select("quorum", "quota", "rounds", r6(b).alias("bound"))
+    return bound_cells(spark).select("quorum", "quota", "rounds", r6(bound_of(F.col("e"), F.col("u"), 0.5)).alias("bound"))
+
+
+@query(BOUND_CTE + f" select quorum, quota, rounds, round({bound_sql('e', 'u', 0.0)}, 6) bound, round({bound_sql('e', 'u', 0.5)} - {bound_sql('e', 'u', 0.0)}, 6) saved from x")
+def bound_homogeneous(spark, sf_dir):
+    """The bound where all workers draw from one distribution, and what that takes off the general one."""
+    same, apart = (bound_of(F.col("e"), F.col("u"), v) for v in (0.0, 0.5))
+    return bound_cells(spark).select("quorum", "quota", "rounds", r6(same).alias("bound"), r6(apart - same).alias("saved"))
+
+
+@query(BOUND_CTE + f" select quorum, quota, rounds, round({bound_sql('q', 'q', 0.5)}, 6) equal_steps, round({bound_sql('q', 'q', 0.5)} - {bound_sql('e', 'u', 0.5)}, 6) gap from x")
+def bound_equal_steps(spark, sf_dir):
+    """The bound of equal steps for all workers, and how far it lies above that of the main method."""
+    equal = bound_of(F.col("quota").cast("double"), F.col("quota").cast("double"), 0.5)
+    return bound_cells(spark).select("quorum", "quota", "rounds", r6(equal).alias("equal_steps"), r6(equal - bound_of(F.col("e"), F.col("u"), 0.5)).alias("gap"))
 
 
 @query("""with s(quorum, quota, e, u) as (values (5, 10, 7.567734::double, 20.0::double), (10, 5, 4.564304, 14.0), (20, 10, 16.776046, 30.0))
@@ -511,7 +627,7 @@ def shard_skew(spark, sf_dir):
     return s.select("worker", "rows", "labels", r6("distance").alias("distance"))
 
 
-@query("""with s as (select doc_id, lower(substr(text, 1, 2000)) t from documents)
+@query("""with s as (select doc_id, lower(text) t from documents)
 select doc_id row_id, round(10.0 * (length(t) - length(replace(t, 'e', ''))) / greatest(length(t), 1), 6) e_share, round(10.0 * (length(t) - length(replace(t, 'ö', ''))) / greatest(length(t), 1), 6) o_share, 40::int dims from s""")
 def letters_features(spark, sf_dir):
     t = samples.language_task(spark, sf_dir)
@@ -623,7 +739,7 @@ def loss_by_round(spark, sf_dir):
     return p.crossJoin(F.broadcast(w)).groupBy("round_no").agg(r6(F.avg(err * err) / 2).alias("loss"))
 
 
-@query("""with s as (select doc_id, lower(substr(text, 1, 2000)) t, list_position(['de', 'en', 'es', 'fr'], lang) - 1 y from documents),
+@query("""with s as (select doc_id, lower(text) t, list_position(['de', 'en', 'es', 'fr'], lang) - 1 y from documents),
 z as (select y, [10.0 * (length(t) - length(replace(t, 'ö', ''))) / greatest(length(t), 1) * 10 + 0.05, 0.1, 10.0 * (length(t) - length(replace(t, 'ñ', ''))) / greatest(length(t), 1) * 10 + 0.02, 10.0 * (length(t) - length(replace(t, 'è', ''))) / greatest(length(t), 1) * 10] v from s)
 select cast(y as int) y, count(*) n, count(*) filter (list_position(v, list_max(v)) - 1 = y) correct from z group by 1""")
 def softmax_accuracy(spark, sf_dir):
@@ -724,3 +840,23 @@ select worker::int worker, count(distinct k) bursts, max(c) longest from (select
 def session_bursts(spark, sf_dir):
     c = completions(spark, sf_dir).groupBy("worker", F.session_window("ts", "30 minutes")).agg(F.count("*").alias("n"))
     return c.groupBy("worker").agg(F.count("*").alias("bursts"), F.max("n").alias("longest"))
+
+
+#: Where a round goes that starts after event s: the quorum-th smallest, over workers, of the places of their next quota-th events.
+STREAM_SQL = """with recursive ev as (select ts, cast(user_id % 20 as int) worker, row_number() over (order by ts, event_id) g, row_number() over (partition by user_id % 20 order by ts, event_id) k from events),
+pl as (select 0 s, i worker, 0 n from range(20) w(i) union all select g, i, sum((ev.worker = i)::int) over (partition by i order by g) from ev, range(20) w(i)),
+nx as (select s, g, row_number() over (partition by s order by g) r from pl join ev on ev.worker = pl.worker and ev.k = pl.n + 10),
+nt as (select s, g from nx where r = 5),
+rd as (select 0 j, s, g from nt where s = 0 union all select j + 1, nt.s, nt.g from rd join nt on nt.s = rd.g),
+per as (select j, worker, count(*) n from rd join ev on ev.g > rd.s and ev.g <= rd.g group by 1, 2)
+select j::int round_no, a.ts "start", b.ts stop, cast(rd.g - rd.s as bigint) events, cast((select count(*) from per where per.j = rd.j) as int) uploads, cast((select max(n) from per where per.j = rd.j) as int) max_steps
+from rd join ev a on a.g = greatest(rd.s, 1) join ev b on b.g = rd.g"""
+
+
+@query(STREAM_SQL)
+def stream_clock(spark, sf_dir):
+    """The streaming round clock over the completion trace, run to its end: one row for each closed round."""
+    from quorumlab.streaming import clock as live
+
+    rounds = live.run_to_end(spark, f"{sf_dir}/events.parquet*", workers=20, quorum=5, quota=10)
+    return rounds.withColumns({c: F.col(c).cast("timestamp_ntz") for c in ("start", "stop")})
