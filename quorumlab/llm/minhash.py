@@ -15,8 +15,9 @@ the empty set and links with nothing. Two documents are linked if 100 |A & B| >=
   full sets of the rows that have candidates, and gives a spanning forest of the confirmed links across components.
   Every link is confirmed on full sets, and a tile emits no more rows than it holds.
 
-Defined cases: repeated rows fall in one class, and each input row has its result row; rows with a null id share
-a class with rows of equal sets, and are not compared otherwise; an empty table gives no rows; other columns are ignored.
+Defined cases: repeated rows fall in one class, and each input row has its result row; rows with a null id are
+compared like all others and belong to the group of those they are linked with (a group without any id has a null component, and
+all of it is kept, as nothing tells its rows apart); an empty table gives no rows; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -27,15 +28,15 @@ from collections.abc import Iterator
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import drop_written, written
+from .common import drop_written, key_groups, written
 from .components import components
 
 SHINGLE = 5
 BANDS, ROWS = 32, 4
 SAMPLES, BITS = 256, 1024
 SIGMAS = 5.0
-#: Rows of a bucket on either side of a tile.
-TILE = 2048
+#: Rows of a bucket on either side of a tile of sketches, and shingles on either side of a tile of full sets (or one text's).
+TILE, SET_VALUES = 2048, 4 << 20
 #: Rows of candidates up to which their ids are broadcast to fetch texts; beyond, the join shuffles.
 BROADCAST_ROWS = 2_000_000
 
@@ -181,72 +182,72 @@ def _tiles(members: DataFrame) -> DataFrame:
     return dealt.select("bucket", F.least("part", "other").alias("i"), F.greatest("part", "other").alias("j"), "part", "node", "root", "n", "sketch")
 
 
-def _by_tile(batches: Iterator, work) -> Iterator:
-    """Run ``work`` on the rows of each tile; rows come sorted by (bucket, i, j)."""
-    rows, at = [], None
-    for batch in batches:
-        for r in batch.to_pylist():
-            here = (r["bucket"], r["i"], r["j"])
-            if here != at:
-                if len(rows) > 1 and (out := work(rows)) is not None:
-                    yield out
-                rows, at = [], here
-            rows.append(r)
-    if len(rows) > 1 and (out := work(rows)) is not None:
-        yield out
-
-
 class _Tile:
-    """The rows of a tile, and which later rows a row may link with across components."""
+    """The rows of a tile, and which later rows a row may link with across components. ``sub`` cuts a tile by the bytes of its sets;
+    a crossed one looks only at pairs from different sides."""
 
-    def __init__(self, rows: list[dict], limit: int, percent: int):
+    def __init__(self, table, limit: int, percent: int, sides: list):
         import numpy as np
 
-        self.np, self.limit, self.percent = np, limit, percent
-        self.sketch = np.array([r["sketch"] for r in rows], np.int64).view(np.uint64)
-        self.n = np.array([r["n"] for r in rows], np.int64)
-        self.root = np.unique([r["root"].hex() for r in rows], return_inverse=True)[1]
-        self.part = np.array([r["part"] for r in rows])
-        self.cross = rows[0]["i"] != rows[0]["j"]
+        self.np, self.limit, self.percent, self.sides = np, limit, percent, sides
+        self.sketch = table.column("sketch").combine_chunks().flatten().to_numpy().view(np.uint64).reshape(table.num_rows, -1)
+        self.n = table.column("n").to_numpy()
+        self.root = table.column("root").combine_chunks().dictionary_encode().indices.to_numpy()
 
     def candidates(self, k: int):
         np = self.np
         o = np.arange(k + 1, len(self.n))
         o = o[self.root[o] != self.root[k]]
-        if self.cross:
-            o = o[self.part[o] != self.part[k]]
+        for side in self.sides:
+            o = o[side[o] != side[k]]
         o = o[100 * np.minimum(self.n[o], self.n[k]) >= self.percent * np.maximum(self.n[o], self.n[k])]
         return o[np.bitwise_count(self.sketch[o] ^ self.sketch[k]).sum(axis=1) <= self.limit] if len(o) else o
 
 
-def _active(rows: list[dict], limit: int, percent: int):
-    """The rows of a tile that have some candidate by size and sketch."""
-    import numpy as np
-    import pyarrow as pa
-
-    tile, marked = _Tile(rows, limit, percent), np.zeros(len(rows), bool)
-    for k in range(len(rows) - 1):
-        if len(o := tile.candidates(k)):
-            marked[o] = marked[k] = True
-    kept = [rows[k] for k in np.flatnonzero(marked)]
-    kinds = (("bucket", pa.int64()), ("i", pa.int32()), ("j", pa.int32()), ("part", pa.int32()), ("node", pa.binary()), ("root", pa.binary()), ("n", pa.int64()), ("sketch", pa.list_(pa.int64())))
-    return pa.RecordBatch.from_arrays([pa.array([r[c] for r in kept], t) for c, t in kinds], names=[c for c, _ in kinds]) if kept else None
-
+TILE_KEYS = ["bucket", "i", "j"]
+ACTIVE = "bucket bigint, i int, j int, part int, node binary, root binary, n bigint, sketch array<bigint>, p int, q int, sub int"
 
-ACTIVE = "bucket bigint, i int, j int, part int, node binary, root binary, n bigint, sketch array<bigint>"
 
+def _active(batches: Iterator, limit: int, percent: int) -> Iterator:
+    """The rows of a tile that have some candidate by size and sketch, dealt to sub-tiles (p, q), p <= q, whose full sets have at
+    most about ``SET_VALUES`` members on either side. A row goes where it has a candidate."""
+    import numpy as np
+    import pyarrow as pa
 
-def _confirm(rows: list[dict], limit: int, percent: int):
+    for (_, i, j), table in key_groups(batches, TILE_KEYS):
+        tile = _Tile(table, limit, percent, [table.column("part").to_numpy()] if i != j else [])
+        sub = (tile.n.cumsum() - tile.n) // SET_VALUES
+        met = np.zeros((len(sub), int(sub[-1]) + 1), bool)
+        for k in range(len(sub) - 1):
+            if len(o := tile.candidates(k)):
+                met[k, sub[o]] = met[o, sub[k]] = True
+        row, other = np.nonzero(met)
+        if len(row):
+            out = table.take(pa.array(row))
+            for name, v in (("p", np.minimum(sub[row], other)), ("q", np.maximum(sub[row], other)), ("sub", sub[row])):
+                out = out.append_column(name, pa.array(v.astype(np.int32)))
+            yield from out.combine_chunks().to_batches()
+
+
+def _confirmed(batches: Iterator, limit: int, percent: int) -> Iterator:
+    for (_, i, j, p, q), table in key_groups(batches, [*TILE_KEYS, "p", "q"]):
+        sides = [table.column(c).to_numpy() for c, crossed in (("part", i != j), ("sub", p != q)) if crossed]
+        if (out := _confirm(table, _Tile(table, limit, percent, sides))) is not None:
+            yield out
+
+
+def _confirm(table, tile: _Tile):
     """Links of a tile confirmed on full sets, as a spanning forest over components: a pair already connected isn't tested again."""
     import numpy as np
     import pyarrow as pa
 
-    tile = _Tile(rows, limit, percent)
-    members = [np.array(r["members"], np.int64) for r in rows]
-    every = np.concatenate(members)
-    owner = np.repeat(np.arange(len(rows)), tile.n)
+    rows, percent = table.column("node").to_pylist(), tile.percent
+    every = table.column("members").combine_chunks().flatten().to_numpy()
+    members = np.split(every, tile.n.cumsum()[:-1])
+    owner = np.repeat(np.arange(len(rows), dtype=np.int32), tile.n)
     order = np.argsort(every, kind="stable")
     every, owner = every[order], owner[order]
+    del order
     up = list(range(int(tile.root.max()) + 1))
 
     def top(x: int) -> int:
@@ -269,17 +270,17 @@ def _confirm(rows: list[dict], limit: int, percent: int):
         for x in o:
             if 100 * common[x] >= percent * (tile.n[k] + tile.n[x] - common[x]) and (there := top(tile.root[x])) != (mine := top(tile.root[k])):
                 up[there] = mine
-                left.append(rows[k]["node"])
-                right.append(rows[x]["node"])
+                left.append(rows[k])
+                right.append(rows[x])
     return pa.RecordBatch.from_arrays([pa.array(left, pa.binary()), pa.array(right, pa.binary())], names=["a", "b"]) if left else None
 
 
 def _full_sets(docs: DataFrame, classes: DataFrame, shared: DataFrame, key: str, text: str) -> DataFrame:
     """(node, members) of the classes that share a bucket, from the texts of their representatives."""
-    reps = written(classes.join(shared.select("node").distinct(), "node", "left_semi").select(F.col("rep").alias("_rep")), "reps")
+    reps = written(classes.join(shared.select("node").distinct(), "node", "left_semi").select(F.col("rep").alias("_rep")).distinct(), "reps")
     few = reps.count() <= BROADCAST_ROWS
     bodies = docs.select(F.col(key).cast("bigint").alias("_id"), F.col(text).cast("binary").alias("body"))
-    wanted = bodies.join(F.broadcast(reps) if few else reps, F.col("_id") == F.col("_rep"), "left_semi")
+    wanted = bodies.join(F.broadcast(reps) if few else reps, F.col("_id").eqNullSafe(F.col("_rep")), "left_semi")
     sets = wanted.select("body").mapInArrow(_sets, "node binary, members array<bigint>")
     sets = written(sets.dropDuplicates(["node"]), "sets")
     drop_written(reps)
@@ -300,17 +301,19 @@ def _links(classes: DataFrame, shared: DataFrame, sets: DataFrame, percent: int)
     both = near.join(members("a"), "a").join(members("b"), "b").withColumn("_i", F.size(F.array_intersect("of_a", "of_b")))
     union = F.size("of_a") + F.size("of_b") - F.col("_i")
     links = written(both.where(100 * F.col("_i") >= percent * union).select("a", "b"), "links")
-    drop_written(weighed)
     # The pivots are done with. What is left to find are links between other members of different components.
     rest = _several(_with_component(tried.select("bucket", "node", "n"), components(links))).join(classes.select("node", "sketch"), "node")
-    order = ["bucket", "i", "j"]
-    tiles = _tiles(rest).repartition(*order).sortWithinPartitions(*order)
-    active = written(tiles.mapInArrow(lambda it: _by_tile(it, lambda rows: _active(rows, limit, percent)), ACTIVE), "active")
+    tiles = _tiles(rest).repartition(*TILE_KEYS).sortWithinPartitions(*TILE_KEYS)
+    active = written(tiles.mapInArrow(lambda it: _active(it, limit, percent), ACTIVE), "active")
+    drop_written(weighed, tried)
     if active.isEmpty():
+        drop_written(active)
         return links
-    full = active.join(sets, "node").repartition(*order).sortWithinPartitions(*order)
-    more = full.mapInArrow(lambda it: _by_tile(it, lambda rows: _confirm(rows, limit, percent)), "a binary, b binary")
-    return links.unionByName(written(more, "more-links"))
+    cut = [*TILE_KEYS, "p", "q"]
+    full = active.join(sets, "node").repartition(*cut).sortWithinPartitions(*cut)
+    more = written(full.mapInArrow(lambda it: _confirmed(it, limit, percent), "a binary, b binary"), "more-links")
+    drop_written(active)
+    return links.unionByName(more)
 
 
 def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", percent: int = 75) -> DataFrame:
@@ -326,7 +329,9 @@ def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", pe
     shared = written(members.join(crowded, "bucket").select("bucket", "node", "n", "size"), "shared")
     small = classes.select("node", F.col("rep").alias("component_id"))
     if not shared.isEmpty():
-        merged = components(_links(classes, shared, _full_sets(docs, classes, shared, key, text), percent))
+        sets = _full_sets(docs, classes, shared, key, text)
+        merged = components(_links(classes, shared, sets, percent))
+        drop_written(sets, shared)
         both = _with_component(classes.select("node", "rep"), merged)
         small = both.join(both.groupBy("root").agg(F.min("rep").alias("component_id")), "root").select("node", "component_id")
     out = signed.select("doc_id", "n_shingles", "node").join(small, "node", "left").withColumn("component_id", F.coalesce("component_id", "doc_id"))

@@ -41,6 +41,7 @@ def test_near_duplicates_against_brute_force(spark, monkeypatch):
     check_texts(spark, [*enumerate(texts), (5, texts[5])])
     monkeypatch.setattr(minhash, "TILE", 16)  # hot buckets in many tiles
     monkeypatch.setattr(minhash, "BROADCAST_ROWS", 0)
+    monkeypatch.setattr(minhash, "SET_VALUES", 200)  # a few texts on either side of a tile of full sets
     check_texts(spark, list(enumerate(texts)))
 
 
@@ -50,6 +51,13 @@ def test_near_duplicates_of_nothing(spark):
     assert sorted((r["doc_id"] or -1, r["component_id"] or -1, r["kept"]) for r in one) == [(-1, -1, True), (-1, 7, False), (7, 7, True)]
 
 
+def test_near_copies_without_an_id(spark):
+    words = [f"w{k}" for k in range(60)]
+    near = " ".join([*words[:-1], "other"])
+    rows = minhash.near_duplicates(docs(spark, [(9, " ".join(words)), (None, near), (None, "x y z " + near), (3, "nothing like it")])).collect()
+    assert sorted((r["doc_id"] or -1, r["component_id"], r["kept"]) for r in rows) == [(-1, 9, False), (-1, 9, False), (3, 3, True), (9, 9, True)]
+
+
 def test_sketch_limit_keeps_pairs_at_the_threshold():
     const, limit, rng = minhash._constants(), minhash.sketch_limit(), np.random.default_rng(0)
     for _ in range(60):
