@@ -336,3 +336,16 @@ def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", pe
         small = both.join(both.groupBy("root").agg(F.min("rep").alias("component_id")), "root").select("node", "component_id")
     out = signed.select("doc_id", "n_shingles", "node").join(small, "node", "left").withColumn("component_id", F.coalesce("component_id", "doc_id"))
     return out.select("doc_id", "n_shingles", "component_id", F.col("doc_id").eqNullSafe(F.col("component_id")).alias("kept"))
+
+
+#: DuckDB: every shingle, every pair that shares one, and who is reachable.
+ORACLE = r"""
+with recursive d as (select doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') w from documents),
+s as (select distinct doc_id, unnest(case when len(w) < 5 then [array_to_string(w, ' ')] else list_transform(range(len(w) - 4), lambda i: array_to_string(w[i + 1:i + 5], ' ')) end) x from d where len(w) > 0),
+n as (select doc_id, count(*) n from s group by 1),
+i as (select a.doc_id x, b.doc_id y, count(*) c from s a join s b on a.x = b.x and a.doc_id <> b.doc_id group by 1, 2),
+e as (select i.x, i.y from i join n p on p.doc_id = i.x join n q on q.doc_id = i.y where 100 * c >= 75 * (p.n + q.n - c)),
+r as (select doc_id x, doc_id y from documents union select r.x, e.y from r join e on r.y = e.x),
+m as (select x, min(y) component_id from r group by 1)
+select doc_id, coalesce(n.n, 0) n_shingles, component_id, doc_id = component_id kept from documents join m on m.x = doc_id left join n using (doc_id)
+"""

@@ -60,9 +60,14 @@ def op10_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secrets.secret_report(table(spark, sf_dir, "documents"))
 
 
+def secret_base_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The part of op10 that SQL can express: base findings of each kind."""
+    return secrets.find_secrets(table(spark, sf_dir, "documents")).select("doc_id", "n_assign", "n_access", "n_hex")
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_quality, op2_decontaminate, op3_warc, op4_near_vectors, op5_mix, op6_token_counts, op7_token_shards, op8_near_duplicates, op9_shard, op10_secrets)}
+    return {f.__name__: f for f in (op1_quality, op2_decontaminate, op3_warc, op4_near_vectors, op5_mix, op6_token_counts, op7_token_shards, op8_near_duplicates, op9_shard, op10_secrets, secret_base_counts)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op2_decontaminate": decontam.ORACLE, "op3_warc": warc.ORACLE, "op4_near_vectors": embeddings.ORACLE}
+    return {"op2_decontaminate": decontam.ORACLE, "op3_warc": warc.ORACLE, "op4_near_vectors": embeddings.ORACLE, "op8_near_duplicates": minhash.ORACLE, "secret_base_counts": secrets.BASE_ORACLE}

@@ -175,3 +175,12 @@ def redact(docs: DataFrame, mask: str = "[secret]", key: str = "doc_id", text: s
             yield pa.RecordBatch.from_arrays(columns, names=names)
 
     return docs.mapInArrow(run, schema)
+
+
+#: DuckDB: how many base findings of each kind a text has.
+BASE_ORACLE = r"""
+select doc_id,
+  cast(len(list_filter(regexp_extract_all(coalesce(text, ''), '(?i:(password|passwd|secret|token|api_?key))["'']?\x20*[:=]\x20*["'']?([A-Za-z0-9+/_.=-]+)', 2), lambda x: len(x) >= 6)) as bigint) n_assign,
+  cast(len(list_filter(regexp_extract_all(coalesce(text, ''), 'AKIA[A-Z0-9]+'), lambda x: len(x) >= 20)) as bigint) n_access,
+  cast(len(list_filter(regexp_extract_all(coalesce(text, ''), '[0-9a-f]+'), lambda x: len(x) >= 24)) as bigint) n_hex from documents
+"""
