@@ -14,7 +14,8 @@ Only DataFrame operations run on the data. The driver sees K-vectors and the cla
 
 Defined cases: null and empty texts, and those of marks alone, have no words and no tokens, the prior as posterior, and never change a total; a null id has a
 rate, and is hashed as one key; labels that name no domain are not used; a domain without labelled rows gets no posterior
-mass and its target cannot be met; without any labels all domains are equally likely; repeated rows are separate documents.
+mass and its target cannot be met, which ``domain_totals`` reports; without any labels all domains are equally likely;
+repeated rows are separate documents.
 """
 
 from __future__ import annotations
@@ -25,7 +26,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import spare, unit_hash, written
+from .common import drop_written, spare, unit_hash, written
 
 #: Most labelled rows that the classifier is fitted to, and most features it keeps.
 SAMPLE_ROWS, FEATURES = 20_000, 128
@@ -33,7 +34,8 @@ SAMPLE_ROWS, FEATURES = 20_000, 128
 LEAST_DOCS = 5
 #: How many times likelier a feature must be in some domain than in the others together.
 LEAST_LIFT = 3.0
-ITERATIONS, TOLERANCE, MAX_RATE = 25, 1e-4, 8.0
+#: Descent ends once every domain's share is this close to its target, or no rate moves. ``domain_totals`` tells what is left.
+ITERATIONS, TOLERANCE = 50, 1e-4
 #: Cut points of the shape tags.
 CUTS = {"marked": (0.0, 0.05, 0.2, 0.5), "capital": (0.05, 0.2, 0.5), "distinct": (0.2, 0.4, 0.55, 0.7, 0.85)}
 #: What parts words, marks at the end of a run of characters, and runs of capitals.
@@ -124,6 +126,7 @@ def learn_domains(docs: DataFrame, labelled: DataFrame, domains: list[str], samp
     z = [F.abs(i - share) * math.sqrt(n) / F.sqrt(share * (1 - share) + 1e-9) for i, n in zip(inside, size, strict=True)]
     best = F.greatest(*z) if k > 1 else z[0]
     kept = counts.where((all_n >= LEAST_DOCS) & (points >= LEAST_LIFT)).orderBy(best.desc(), "feature").limit(features).collect()
+    drop_written(counts)
     prior = tuple((s + 1e-9) / (everything + k * 1e-9) for s in size)
     base, gain = [math.log(p) for p in prior], {}
     for row in kept:
@@ -151,15 +154,17 @@ def _solve(matrix: list[list[float]], right: list[float]) -> list[float]:
     return [rows[c][n] / rows[c][c] for c in range(n)]
 
 
-def rate_column(posterior: list[Column], steps: list[list[float]], max_rate: float = MAX_RATE) -> Column:
+def rate_column(posterior: list[Column], steps: list[list[float]], max_rate: float | None = None) -> Column:
+    """Rates have no upper bound unless one is asked for."""
     rate = F.lit(1.0)
     for step in steps:
         move = sum((p * F.lit(g) for p, g in zip(posterior, step, strict=True)), F.lit(0.0))
-        rate = F.least(F.lit(max_rate), F.greatest(F.lit(0.0), rate - move))
+        rate = F.greatest(F.lit(0.0), rate - move)
+        rate = rate if max_rate is None else F.least(F.lit(max_rate), rate)
     return rate
 
 
-def fit_rates(members: DataFrame, targets: list[float], iterations: int = ITERATIONS, tolerance: float = TOLERANCE, max_rate: float = MAX_RATE) -> list[list[float]]:
+def fit_rates(members: DataFrame, targets: list[float], iterations: int = ITERATIONS, tolerance: float = TOLERANCE, max_rate: float | None = None) -> list[list[float]]:
     """The gradient steps that lead from rate 1 to the fitted rates. members: tokens, p0 .. pK-1."""
     k = len(targets)
     p, t = [F.col(f"p{j}") for j in range(k)], F.col("tokens").cast("double")
@@ -189,7 +194,7 @@ def fit_rates(members: DataFrame, targets: list[float], iterations: int = ITERAT
 class Mixture:
     model: DomainModel
     steps: list[list[float]]
-    max_rate: float = MAX_RATE
+    max_rate: float | None = None
 
     def rate(self, posterior: Column) -> Column:
         return rate_column([posterior[j] for j in range(len(self.model.domains))], self.steps, self.max_rate)
@@ -200,20 +205,33 @@ def copies_of(rate: Column, key: Column) -> Column:
     return (whole + (unit_hash(F.lit("copies"), key) < rate - whole).cast("bigint")).cast("bigint")
 
 
-def memberships(docs: DataFrame, model: DomainModel, key: str = "doc_id", text: str = "text") -> DataFrame:
+def memberships(docs: DataFrame, model: DomainModel, key: str = "doc_id", text: str = "text", tokens: str | None = None) -> DataFrame:
+    """doc_id, tokens, p0 .. pK-1. ``tokens`` names a column with a document's count by some tokenizer; without one, words are counted."""
     k = len(model.domains)
-    rows = docs.select(F.col(key).alias("doc_id"), F.col(text).alias("text"), word_array(F.col(text)).alias("words"))
-    rows = rows.select("doc_id", F.size("words").cast("bigint").alias("tokens"), model.posterior(F.col("text"), F.col("words")).alias("p"))
+    count = F.size("words") if tokens is None else F.coalesce("_tokens", F.lit(0))
+    rows = docs.select(F.col(key).alias("doc_id"), F.col(text).alias("text"), word_array(F.col(text)).alias("words"), (F.lit(None) if tokens is None else F.col(tokens)).alias("_tokens"))
+    rows = rows.select("doc_id", count.cast("bigint").alias("tokens"), model.posterior(F.col("text"), F.col("words")).alias("p"))
     return rows.select("doc_id", "tokens", *[F.col("p")[j].alias(f"p{j}") for j in range(k)])
 
 
-def fit_mixture(docs: DataFrame, labelled: DataFrame, targets: dict[str, float], key: str = "doc_id", text: str = "text") -> tuple[Mixture, DataFrame]:
+def fit_mixture(docs: DataFrame, labelled: DataFrame, targets: dict[str, float], key: str = "doc_id", text: str = "text", tokens: str | None = None) -> tuple[Mixture, DataFrame]:
     """The fitted mixture and the written memberships (doc_id, tokens, p0 .. pK-1)."""
     model = learn_domains(docs, labelled, list(targets), key=key, text=text)
-    members = written(memberships(docs, model, key, text), "memberships")
+    members = written(memberships(docs, model, key, text, tokens), "memberships")
     return Mixture(model, fit_rates(members, list(targets.values()))), members
 
 
+def domain_totals(mixture: Mixture, members: DataFrame, targets: dict[str, float], tolerance: float = TOLERANCE) -> DataFrame:
+    """domain, target, expected (shares of the tokens before mixing), residual, met: K rows that tell whether the targets are reached."""
+    k, weight = len(targets), sum(targets.values())
+    p, t = [F.col(f"p{j}") for j in range(k)], F.col("tokens").cast("double")
+    rate = rate_column(p, mixture.steps, mixture.max_rate)
+    sums = members.agg(*[F.sum(rate * t * p[j]).alias(f"s{j}") for j in range(k)], F.sum(t).alias("total"))
+    rows = F.array(*[F.struct(F.lit(d).alias("domain"), F.lit(v / weight).alias("target"), F.coalesce(F.col(f"s{j}") / F.nullif(F.col("total"), F.lit(0.0)), F.lit(0.0)).alias("expected")) for j, (d, v) in enumerate(targets.items())])
+    rows = sums.select(F.inline(rows)).withColumn("residual", F.col("expected") - F.col("target"))
+    return rows.withColumn("met", F.abs("residual") <= tolerance)
+
+
 def mixing_report(docs: DataFrame, labels: DataFrame, targets: dict[str, float] | None = None) -> DataFrame:
     """doc_id, tokens, one posterior column for each domain, rate, copies."""
     targets = targets or TARGETS
@@ -226,7 +244,8 @@ def mixing_report(docs: DataFrame, labels: DataFrame, targets: dict[str, float]
 
 def mix(docs: DataFrame, labels: DataFrame, targets: dict[str, float] | None = None, key: str = "doc_id", text: str = "text") -> DataFrame:
     """The documents, each as often as its rate decides; all columns kept, nothing shuffled."""
-    mixture, _ = fit_mixture(docs, labels.select("doc_id", label_domain().alias("domain")), targets or TARGETS, key, text)
+    mixture, members = fit_mixture(docs, labels.select("doc_id", label_domain().alias("domain")), targets or TARGETS, key, text)
+    drop_written(members)
     names = docs.columns
     p, copy, words = spare(docs, "_p", "_copy", "_words")
     rated = docs.withColumn(words, word_array(F.col(text)))

@@ -56,6 +56,16 @@ def test_decontamination_against_brute_force(spark):
     assert cut[6] == "a ,  here".replace(",  ", ", ! ") and cut[2] is None and cut[8] == DOC_TEXTS[9][1] and set(cut[0]) == {" "}
 
 
+def test_decontamination_of_long_texts(spark, monkeypatch):
+    long = " ".join(f"w{k % 977}" for k in range(30_000))
+    texts = [(1, long + " " + PASSAGE + " " + long), (1, long), (2, (PASSAGE + " ") * 2_000), (3, "w1 w2")]
+    bench = spark.createDataFrame(ITEMS, "item_id bigint, text string")
+    want = sorted(windows_brute(texts, ITEMS), key=str)
+    assert sorted(map(tuple, decontam.decontamination_report(docs(spark, texts), bench).collect()), key=str) == want
+    monkeypatch.setattr(decontam, "BROADCAST_BYTES", 0)
+    assert sorted(map(tuple, decontam.decontamination_report(docs(spark, texts), bench).collect()), key=str) == want
+
+
 def test_decontamination_of_nothing(spark):
     bench = spark.createDataFrame([], "item_id bigint, text string")
     got = decontam.decontamination_report(docs(spark, [(1, "some words here")]), bench).first()
@@ -134,18 +144,38 @@ def test_rates_against_projected_gradient_in_numpy(spark):
     for step in steps:
         want = np.linalg.solve(h, (p * (t * rate)[:, None]).sum(axis=0) / t.sum() - target)
         assert step == pytest.approx(want.tolist(), abs=1e-9)
-        rate = np.clip(rate - p @ want, 0, mixing.MAX_RATE)
+        rate = np.maximum(rate - p @ want, 0)
     got = [r[0] for r in df.select(mixing.rate_column([F.col(f"p{j}") for j in range(3)], steps)).collect()]
     assert got == pytest.approx(rate.tolist()) and (rate >= 0).all()
-    # Rates stay within bounds, and the weighted residual falls from step to step.
+    # Rates stay nonnegative, and the weighted residual falls from step to step.
     off = lambda r: (p * (t * r)[:, None]).sum(axis=0) / t.sum() - target
     errors, r = [], np.ones(200)
     for step in steps:
         errors.append(off(r) @ np.linalg.solve(h, off(r)))
-        r = np.clip(r - p @ np.array(step), 0, mixing.MAX_RATE)
+        r = np.maximum(r - p @ np.array(step), 0)
     assert all(b <= a + 1e-12 for a, b in zip(errors, errors[1:], strict=False)) and errors[-1] < errors[0] / 5
 
 
+def test_rare_domains_reach_their_targets(spark):
+    rows = [(1, 100, 1.0, 0.0)] * 995 + [(2, 100, 0.05, 0.95)] * 5
+    members = spark.createDataFrame(rows, "doc_id int, tokens bigint, p0 double, p1 double")
+    targets = {"common": 0.9, "rare": 0.1}
+    mixture = mixing.Mixture(None, mixing.fit_rates(members, list(targets.values())))
+    assert max(r[0] for r in members.select(mixing.rate_column([F.col("p0"), F.col("p1")], mixture.steps)).distinct().collect()) > 20
+    assert [(r["domain"], r["met"]) for r in mixing.domain_totals(mixture, members, targets).collect()] == [("common", True), ("rare", True)]
+    # Without any document of the domain the report tells what is missing.
+    lost = members.where("doc_id = 1")
+    mixture = mixing.Mixture(None, mixing.fit_rates(lost, list(targets.values())))
+    told = {r["domain"]: r for r in mixing.domain_totals(mixture, lost, targets).collect()}
+    assert told["common"]["met"] and not told["rare"]["met"] and told["rare"]["residual"] == pytest.approx(-0.1)
+
+
+def test_mixing_counts_given_tokens(spark):
+    d = docs(spark, [(1, "some words"), (2, None)]).withColumn("n", F.lit(7))
+    model = mixing.learn_domains(d, spark.createDataFrame([], "doc_id bigint, domain string"), ["a", "b"])
+    assert [r["tokens"] for r in mixing.memberships(d, model, tokens="n").collect()] == [7, 7]
+
+
 def test_mixing_edges(spark):
     d = docs(spark, [(1, None), (2, ""), (3, "word " * 30_000), (3, "x y"), (None, "z"), (4, "!!! ###")])
     none = spark.createDataFrame([], "doc_id bigint, quality int, toxic int")
