@@ -55,7 +55,7 @@ STAGES: list[tuple[str, Callable[[SparkSession, DataFrame, str], DataFrame]]] =
     ("quality", keep_good), ("near-duplicates", keep_one_of_each), ("decontamination", keep_clean), ("mixing", mix_domains), ("tokens", write_tokens),
 ]
 
-#: A learned classifier and hashed copies have no SQL form; tests hold each stage against a brute-force version.
+#: A learned classifier and hashed copies have no SQL form; tests hold the stages against brute force on the smallest tables.
 ORACLE_SQL = None
 
 

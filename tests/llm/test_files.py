@@ -140,3 +140,46 @@ def test_pipeline_stages(spark, small):
         assert stage(spark, empty, small).count() == 0
     out = p.run(spark, small)
     assert 0 < out.count() <= 1.5 * d.count() and set(out.columns) == {"doc_id", "start", "n_tokens", "ids_crc32"}
+
+
+def test_pipeline_stages_against_brute_force(spark, small):
+    """Each stage by other means: rules applied in Python, all pairs of shingles, all windows, rates from posteriors, the tokenizer."""
+    from tokenizers import Tokenizer
+
+    import corpus_pipeline as p
+    from tests.llm.helpers import groups, shingles
+    from tests.llm.test_text_operators import windows_brute
+
+    d, labels = table(spark, small, "documents"), table(spark, small, "labels")
+    texts = {r["doc_id"]: r["text"] for r in d.collect()}
+    stages = dict(p.STAGES)
+    ids = lambda name: sorted(r["doc_id"] for r in stages[name](spark, d, small).select("doc_id").collect())
+
+    model = quality.train(quality.measure(d), labels)
+
+    def good(text):
+        v = quality.statistics((text or "").encode())
+        holds = lambda rule: all((v[f] > cut) == above for f, above, cut in rule)
+        return model.intercept + sum(w for w, rule in model.rules if holds(rule)) >= 0
+
+    assert ids("quality") == sorted(i for i, t in texts.items() if good(t))
+    sets = {i: shingles(t) for i, t in texts.items()}
+    roots = groups(sorted(sets), lambda a, b: 100 * len(sets[a] & sets[b]) >= 75 * len(sets[a] | sets[b]) > 0)
+    assert ids("near-duplicates") == sorted(i for i, r in roots.items() if i == r)
+    items = [(r["item_id"], r["text"]) for r in table(spark, small, "benchmark").collect()]
+    assert ids("decontamination") == sorted(r[0] for r in windows_brute(list(texts.items()), items) if not r[5])
+    mixture, members = mixing.fit_mixture(d, labels.select("doc_id", mixing.label_domain().alias("domain")), p.TARGETS)
+    copies = {}
+    for i in ids("mixing"):
+        copies[i] = copies.get(i, 0) + 1
+    for r in members.collect():
+        rate = 1.0
+        for step in mixture.steps:
+            rate = max(0.0, rate - sum(r[f"p{j}"] * g for j, g in enumerate(step)))
+        assert copies.get(r["doc_id"], 0) - rate == pytest.approx(0, abs=1)
+    t, at = Tokenizer.from_file(tokenizer_file()), 0
+    for r in stages["tokens"](spark, d, small).orderBy("start").collect():
+        mine = [*t.encode(texts[r["doc_id"]] or "", add_special_tokens=False).ids, 2]
+        assert (r["start"], r["n_tokens"], r["ids_crc32"]) == (at, len(mine), zlib.crc32(np.array(mine, "<u4").tobytes()))
+        at += len(mine)
+    assert at == sum(r["n_tokens"] for r in stages["tokens"](spark, d, small).collect())

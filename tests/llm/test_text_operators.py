@@ -86,6 +86,22 @@ def test_quality_on_held_out_rows(spark):
     assert {r["doc_id"]: r["score"] for r in shuffled} == pytest.approx({r["doc_id"]: r["score"] for r in got.collect()})
 
 
+@pytest.mark.parametrize("text", ["One two  two THREE!!\nx# y y Z\n\nsome é words | here 42%", "a", "", "AB AB AB AB\nAB AB AB AB", "w! " * 50 + "\n" + "word " * 6_000])
+def test_statistics_by_counting(text):
+    """The statistics of the shape of a text, counted one character and one word at a time."""
+    got = dict(zip(quality.STATISTICS, quality.statistics(text.encode()), strict=True))
+    words, lines = re.findall(r"[^ \t\n\r\x0b\x0c]+", text), [x for x in text.split("\n") if x]
+    n, m = len(text.encode()), max(1, len(words))
+    inside = [x.split() for x in lines if len(x.split()) >= 4]
+    want = {
+        "n_chars": len(text), "n_words": len(words), "digit_share": sum(c in "0123456789" for c in text) / max(n, 1), "space_share": text.count(" ") / max(n, 1), "pipe_share": text.count("|") / m,
+        "repeat_words": sum(a == b for a, b in zip(words, words[1:], strict=False)), "distinct_share": len(set(words)) / m, "line_repeat_share": 1 - len(set(lines)) / max(1, len(lines)) if n else 0.0,
+        "longest_word": max((len(w.encode()) for w in words), default=0), "top_share": max((words.count(w) for w in set(words)), default=0) / m, "worst_line_same": max((1 - len(set(x)) / len(x) for x in inside), default=0.0),
+        "marked_words_share": sum(w[-1] in "#$%&*!|" for w in words) / m, "end_marks_share": sum(w.endswith("!!") for w in words) / m,
+    }
+    assert {k: got[k] for k in want} == pytest.approx(want)
+
+
 def test_quality_edges(spark):
     none = spark.createDataFrame([], "doc_id bigint, quality int, toxic int")
     d = docs(spark, [(1, None), (2, ""), (3, "word " * 50_000), (3, "x"), (None, "y")])
