@@ -32,13 +32,15 @@ def query(sql: str | None = None):
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    from quorumlab.plans import workloads
+    from quorumlab.plans import profiles, workloads
 
-    return QUERIES | workloads.QUERIES
+    return QUERIES | workloads.QUERIES | profiles.QUERIES
 
 
 def oracle_sql() -> dict[str, str]:
-    return dict(ORACLES)
+    from quorumlab.plans import profiles
+
+    return ORACLES | profiles.ORACLES
 
 
 def r6(c: Column | str) -> Column:

@@ -96,7 +96,8 @@ def hashed_durations(spark: SparkSession, rounds: int, workers: int, cap: int, m
 
 def write_log(log: DataFrame, path: str, fmt: str = "parquet", mode: str = "append") -> None:
     """Round logs or schedules, one folder for each run."""
-    log.write.mode(mode).partitionBy("run_id").format(fmt).save(path)
+    writer = log.write.mode(mode).partitionBy("run_id").format(fmt)
+    (writer.option("header", True) if fmt == "csv" else writer).save(path)
 
 
 def write_model(model: DataFrame, path: str) -> None:

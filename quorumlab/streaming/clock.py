@@ -113,18 +113,51 @@ def pair(starts: DataFrame, acks: DataFrame, within: str = "2 hours") -> DataFra
     return s.join(a, F.expr(f"round_no = ack_round and ack_ts >= start_ts and ack_ts <= start_ts + interval {within}"))
 
 
+def _fresh_folder(spark: SparkSession) -> str:
+    """A new folder below ``spark.checkpoint.dir``; only a local master may go without that setting."""
+    import uuid
+
+    base = spark.conf.get("spark.checkpoint.dir", None)
+    if not base and not spark.sparkContext.master.startswith("local"):
+        raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
+    return f"{(base or 'file:///tmp/checkpoints').rstrip('/')}/stream-{uuid.uuid4().hex}"
+
+
+def hourly_to_end(spark: SparkSession, path: str, workers: int, mode: str) -> DataFrame:
+    """Hourly steps of each worker (hour, worker, steps) from a stream in ``update`` or ``complete`` output mode.
+
+    Every trigger writes its rows into a folder of its own number, so a trigger that is run again replaces what it wrote. An
+    update has the changed counts only and the latest of each key holds; in complete mode the last trigger has all of them.
+    """
+    from quorumlab.sources.tables import event_stream
+
+    if mode not in ("update", "complete"):
+        raise ValueError(f"unknown output mode {mode!r}")
+    where = _fresh_folder(spark)
+    c = event_stream(spark, path, ALL_FILES).where(F.col("ts").isNotNull()).select("ts", F.pmod("user_id", F.lit(workers)).cast("int").alias("worker"))
+    counts = throughput(c.withWatermark("ts", LATENESS)).select(F.col("window.start").alias("hour"), "worker", "steps")
+
+    def write(rows: DataFrame, trigger: int) -> None:
+        rows.write.mode("overwrite").parquet(f"{where}/out/trigger={trigger}")
+
+    q = counts.writeStream.outputMode(mode).foreachBatch(write).option("checkpointLocation", f"{where}/state").trigger(availableNow=True).start()
+    q.awaitTermination()
+    out = spark.read.schema("hour timestamp, worker int, steps bigint, trigger bigint").parquet(f"{where}/out")
+    if mode == "complete":
+        last = out.agg(F.max("trigger").alias("trigger"))
+        return out.join(F.broadcast(last), "trigger").select("hour", "worker", "steps")
+    return out.groupBy("hour", "worker").agg(F.max_by("steps", "trigger").alias("steps"))
+
+
 def run_to_end(spark: SparkSession, path: str, workers: int, quorum: int, quota: int, name: str | None = None) -> DataFrame:
     """Run the stream over the files of a finished trace at a path, and return every closed round.
 
     All files come in one trigger, so no event is late, whatever the order of the files. A mark after the latest event brings
     the watermark past all of them; the mark itself stays held and is never counted.
     """
-    import uuid
-
     from quorumlab.sources.tables import EVENTS, event_stream
 
-    base = (spark.conf.get("spark.checkpoint.dir", None) or "file:///tmp/checkpoints").rstrip("/")
-    where = f"{base}/stream-{uuid.uuid4().hex}"
+    where = _fresh_folder(spark)
     latest = spark.read.schema(EVENTS).parquet(path).agg((F.max("event_id") + 1).alias("event_id"), F.max("ts").alias("ts")).where("ts is not null")
     after = (F.col("ts") + F.expr(f"interval {LATENESS}") + F.expr("interval 1 second")).cast("timestamp_ntz")
     empty = [F.lit(0).cast("bigint").alias("user_id"), *[F.lit(None).cast(t).alias(c) for c, t in (("event_type", "string"), ("value", "double"), ("props", "string"))]]
