@@ -4,14 +4,19 @@ Writing: the digest of every payload is computed in the scan; among equal payloa
 ``least`` bytes the record with the smallest page id becomes ``response``, the others ``revisit`` it without
 carrying the payload; shorter payloads are always ``response``. Only digests and ids are grouped. Each task then
 writes archives of about ``ARCHIVE_BYTES``: it trains a dictionary on its first payloads, writes it in a skippable
-frame and compresses each record into a frame of its own. The manifest (a row for each archive) commits them.
+frame and compresses each record into a frame of its own, a ``warcinfo`` record first. The manifest (a row for each
+archive) commits them. A record's id comes from its archive and place, so repeated rows differ; a response that others
+revisit has one made from its page id and digest, which their ``WARC-Refers-To`` names. Two headers
+are the operator's own: ``X-Page-Id`` and ``X-Refers-To-Page-Id``, as a page's id need not show in its address.
 
 Reading: the skippable frame gives the dictionary, each further frame gives a record, decoded one at a time with
 bounded memory. Version line, mandatory headers, lengths, block and payload digests are verified; a
 broken archive raises ``ArchiveError`` with the place.
 
 Defined cases: a null html is an empty payload; a null page_id stays null and never is the target of a
-revisit; repeated page ids with equal payloads are all responses if theirs is the smallest id;
+revisit; repeated page ids with equal payloads are all responses if theirs is the smallest id, and as no
+single one of them is meant, their revisits name address and date, not a record; a revisit in a
+foreign archive may leave the payload's length out (null);
 an empty table writes no archive and gives no rows.
 """
 
@@ -39,35 +44,65 @@ ARCHIVE_BYTES = 256 << 20
 DICTIONARY_BYTES = 64 << 10
 SAMPLE_BYTES = 4 << 20
 LEAST = 100
+#: Bytes of an archive handed to the decoder at once; what lies behind a frame's end is copied.
+STEP = 16 << 10
 MANIFEST = "path string, records bigint"
-ROWS = "page_id bigint, payload_bytes bigint, payload_digest string, record_type string, refers_to bigint, url string, record_id string"
+ROWS = "page_id bigint, payload_bytes bigint, payload_digest string, record_type string, refers_to bigint, url string, record_id string, target_id string"
 
 
 class ArchiveError(ValueError):
     pass
 
 
-def _record_id(page_id: int | None, url: str) -> str:
-    return f"<urn:uuid:{uuid.uuid5(uuid.NAMESPACE_URL, f'{page_id}|{url}')}>"
+def record_id(*parts: object) -> str:
+    """An identifier that depends on the parts alone."""
+    return f"<urn:uuid:{uuid.uuid5(uuid.NAMESPACE_URL, '|'.join(map(str, parts)))}>"
 
 
-def make_record(page_id: int | None, url: str | None, payload: bytes, size: int, digest: str, refers_to: int | None, date: str) -> bytes:
+def _one_line(value: str | None) -> str:
+    return "".join(c for c in value or "" if c not in "\r\n")
+
+
+def _framed(headers: list[tuple[str, str]], block: bytes) -> bytes:
+    headers = [*headers, ("WARC-Block-Digest", f"sha256:{hashlib.sha256(block).hexdigest()}"), ("Content-Length", str(len(block)))]
+    head = VERSION + "\r\n" + "".join(f"{k}: {v}\r\n" for k, v in headers) + "\r\n"
+    return head.encode() + block + b"\r\n\r\n"
+
+
+def make_info(name: str, date: str) -> bytes:
+    """The record that describes an archive."""
+    headers = [("WARC-Type", "warcinfo"), ("WARC-Record-ID", record_id(name)), ("WARC-Date", date), ("WARC-Filename", name), ("Content-Type", "application/warc-fields")]
+    return _framed(headers, b"software: quorumlab\r\nformat: WARC File Format 1.1\r\n")
+
+
+def make_record(
+    page_id: int | None, url: str | None, payload: bytes, size: int, digest: str, refers_to: int | None, date: str, own_id: str | None = None, target_url: str | None = None, target_id: str | None = None
+) -> bytes:
     """A record with its headers. A revisit carries HTTP headers only; size and digest are of the full payload."""
-    url = "".join(c for c in url or "" if c not in "\r\n")
+    url = _one_line(url)
     kind = "response" if refers_to is None else "revisit"
     block = f"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\nContent-Length: {size}\r\n\r\n".encode()
     if kind == "response":
         block += payload
     headers = [
-        ("WARC-Type", kind), ("WARC-Record-ID", _record_id(page_id, url)), ("WARC-Date", date), ("WARC-Target-URI", url),
-        ("Content-Type", "application/http;msgtype=response"), ("WARC-Payload-Digest", f"sha256:{digest}"), ("WARC-Block-Digest", f"sha256:{hashlib.sha256(block).hexdigest()}"),
-        ("X-Page-Id", "" if page_id is None else str(page_id)), ("X-Payload-Length", str(size)),
+        ("WARC-Type", kind), ("WARC-Record-ID", own_id or record_id(page_id, url, digest)), ("WARC-Date", date), ("WARC-Target-URI", url),
+        ("Content-Type", "application/http;msgtype=response"), ("WARC-Payload-Digest", f"sha256:{digest}"), ("X-Page-Id", "" if page_id is None else str(page_id)),
     ]
     if kind == "revisit":
-        headers += [("WARC-Profile", REVISIT_PROFILE), ("X-Refers-To-Page-Id", str(refers_to))]
-    headers.append(("Content-Length", str(len(block))))
-    head = VERSION + "\r\n" + "".join(f"{k}: {v}\r\n" for k, v in headers) + "\r\n"
-    return head.encode() + block + b"\r\n\r\n"
+        headers += [("WARC-Profile", REVISIT_PROFILE), ("X-Refers-To-Page-Id", str(refers_to)), ("WARC-Refers-To-Target-URI", _one_line(target_url)), ("WARC-Refers-To-Date", date)]
+        if target_id:
+            headers.append(("WARC-Refers-To", target_id))
+    return _framed(headers, block)
+
+
+def _http_length(block_head: bytes) -> int | None:
+    for line in block_head.split(b"\r\n")[1:]:
+        name, _, value = line.partition(b":")
+        if name.strip().lower() == b"content-length":
+            if not value.strip().isdigit():
+                raise ArchiveError(f"an HTTP Content-Length is {value[:20]!r}")
+            return int(value)
+    return None
 
 
 def parse_record(data: bytes) -> dict:
@@ -90,9 +125,11 @@ def parse_record(data: bytes) -> dict:
     block = rest[:length]
     if headers.get("WARC-Block-Digest", "") != f"sha256:{hashlib.sha256(block).hexdigest()}":
         raise ArchiveError("the block digest differs")
-    payload = block.partition(b"\r\n\r\n")[2]
-    digest, size = headers.get("WARC-Payload-Digest", "").removeprefix("sha256:"), int(headers.get("X-Payload-Length") or len(payload))
-    kind = headers["WARC-Type"]
+    http, _, payload = block.partition(b"\r\n\r\n")
+    kind, digest = headers["WARC-Type"], headers.get("WARC-Payload-Digest", "").removeprefix("sha256:")
+    size = _http_length(http)
+    if size is None and kind != "revisit":
+        size = len(payload)
     if kind == "response" and (len(payload) != size or hashlib.sha256(payload).hexdigest() != digest):
         raise ArchiveError("the payload differs from its length or digest")
     if kind == "revisit" and (payload or headers.get("WARC-Profile") != REVISIT_PROFILE):
@@ -100,7 +137,7 @@ def parse_record(data: bytes) -> dict:
     number = lambda h: int(headers[h]) if headers.get(h) else None
     return {
         "page_id": number("X-Page-Id"), "payload_bytes": size, "payload_digest": digest, "record_type": kind,
-        "refers_to": number("X-Refers-To-Page-Id"), "url": headers.get("WARC-Target-URI"), "record_id": headers["WARC-Record-ID"], "payload": payload,
+        "refers_to": number("X-Refers-To-Page-Id"), "url": headers.get("WARC-Target-URI"), "record_id": headers["WARC-Record-ID"], "target_id": headers.get("WARC-Refers-To"), "payload": payload,
     }
 
 
@@ -146,16 +183,17 @@ def read_archive(file) -> Iterator[dict]:
     if dictionary[:4] == struct.pack("<I", FRAME_MAGIC):  # a dictionary may itself be compressed
         dictionary = zstandard.ZstdDecompressor().decompress(dictionary)
     unpack = zstandard.ZstdDecompressor(dict_data=zstandard.ZstdCompressionDict(dictionary)) if dictionary else zstandard.ZstdDecompressor()
-    rest, at = b"", 0
+    rest, at = memoryview(b""), 0
     while True:
         frame, record = unpack.decompressobj(), []
         while not frame.eof:
             if not rest:
-                rest = file.read(1 << 20)
+                rest = memoryview(file.read(1 << 20))
                 if not rest:
                     break
-            record.append(frame.decompress(rest))
-            rest = frame.unused_data
+            piece = rest[:STEP]
+            record.append(frame.decompress(piece))
+            rest = rest[len(piece) - len(frame.unused_data) :]
         if not frame.eof:
             if record:
                 raise ArchiveError(f"the archive ends inside record {at}")
@@ -172,11 +210,12 @@ def write_archives(pages: DataFrame, where: str, least: int = LEAST, date: str =
     body = F.coalesce(F.col("html"), F.lit("")).cast("binary")
     rows = pages.select(F.col("page_id").cast("bigint").alias("page_id"), F.col("url").cast("string").alias("url"), body.alias("payload"))
     rows = rows.withColumn("size", F.octet_length("payload").cast("bigint")).withColumn("digest", F.sha2("payload", 256))
-    first = rows.where((F.col("size") >= least) & F.col("page_id").isNotNull()).groupBy("digest").agg(F.min("page_id").alias("first_id"), F.count("*").alias("n"))
-    repeated = first.where("n > 1").select(F.col("digest").alias("_digest"), "first_id")
+    copies = rows.where((F.col("size") >= least) & F.col("page_id").isNotNull()).groupBy("digest", "page_id").agg(F.count("*").alias("n"), F.min("url").alias("url"))
+    first = copies.groupBy("digest").agg(F.min(F.struct("page_id", "n", "url")).alias("first"), F.sum("n").alias("n"))
+    repeated = first.where("n > 1").select(F.col("digest").alias("_digest"), F.col("first.page_id").alias("first_id"), (F.col("first.n") == 1).alias("sole"), F.col("first.url").alias("target_url"))
     both = rows.join(repeated, (F.col("digest") == F.col("_digest")) & (F.col("size") >= least), "left")
     refers = F.when(F.col("page_id").isNull() | (F.col("page_id") != F.col("first_id")), F.col("first_id"))
-    out = both.select("page_id", "url", F.when(refers.isNull(), F.col("payload")).alias("payload"), "size", "digest", refers.alias("refers_to"))
+    out = both.select("page_id", "url", F.when(refers.isNull(), F.col("payload")).alias("payload"), "size", "digest", refers.alias("refers_to"), "first_id", "sole", "target_url")
 
     def write(batches: Iterator) -> Iterator:
         import pyarrow as pa
@@ -193,12 +232,15 @@ def write_archives(pages: DataFrame, where: str, least: int = LEAST, date: str =
                 path = f"{where}/pages-{uuid.uuid4().hex}.warc.zst"
                 file = open_uri(path, "wb")
                 writer = ArchiveWriter(file, dictionary)
-            writer.add(make_record(r["page_id"], r["url"], r["payload"] or b"", r["size"], r["digest"], r["refers_to"], date))
+                writer.add(make_info(path.rpartition("/")[2], date))
+            target = record_id(r["first_id"], r["digest"]) if r["sole"] else None
+            own = target if target and r["refers_to"] is None else record_id(path, writer.records)
+            writer.add(make_record(r["page_id"], r["url"], r["payload"] or b"", r["size"], r["digest"], r["refers_to"], date, own, r["target_url"], target))
 
         def close() -> None:
             nonlocal writer, file
             file.close()
-            done.append((path, writer.records))
+            done.append((path, writer.records - 1))  # but for the warcinfo
             writer = file = None
 
         dictionary, sampled, trained = b"", 0, False
@@ -243,6 +285,8 @@ def read_archives(spark: SparkSession, manifest: list, with_payload: bool = Fals
                 rows, seen, held = [], 0, 0
                 with open_uri(path, "rb") as f:
                     for r in read_archive(f):
+                        if r["record_type"] == "warcinfo":
+                            continue
                         rows.append(r)
                         seen += 1
                         held += len(r["payload"])

@@ -37,6 +37,15 @@ def test_archive_round_trip(spark, monkeypatch):
         again = first is not None and i != first
         want.append((i, len(body), hashlib.sha256(body).hexdigest(), "revisit" if again else "response", first if again else None, b"" if again else body))
     assert sorted([(r["page_id"], r["payload_bytes"], r["payload_digest"], r["record_type"], r["refers_to"], bytes(r["payload"])) for r in got], key=str) == sorted(want, key=str)
+    own = {r["record_id"]: r for r in got}
+    assert len(own) == len(got)
+    for r in got:  # page 3 is there twice, so that no single record is revisited
+        named = own.get(r["target_id"])
+        assert (named is None) == (r["refers_to"] in (None, 3)) and (named is None or (named["page_id"], named["payload_digest"], named["record_type"]) == (r["refers_to"], r["payload_digest"], "response"))
+    assert sum(r["target_id"] is not None for r in got) > 20
+    with warc.open_uri(manifest[0]["path"], "rb") as f:
+        kinds = [r["record_type"] for r in warc.read_archive(f)]
+    assert kinds[0] == "warcinfo" and "warcinfo" not in kinds[1:] and len(kinds) == manifest[0]["records"] + 1
     assert warc.archive_round_trip(spark.createDataFrame([], PAGES)).count() == 0
 
 
@@ -63,6 +72,24 @@ def test_broken_archives_are_found():
             read(bad)
 
 
+def test_records_across_decoder_steps(monkeypatch):
+    records = [warc.make_record(k, "u", b"x%d" % k * (k % 50), len(b"x%d" % k * (k % 50)), hashlib.sha256(b"x%d" % k * (k % 50)).hexdigest(), None, "2024-01-01T00:00:00Z") for k in range(300)]
+    whole = archive(records)
+    for step in (1, 7, 100, 1 << 20):
+        monkeypatch.setattr(warc, "STEP", step)
+        assert [r["page_id"] for r in warc.read_archive(io.BytesIO(whole))] == list(range(300))
+
+
+def test_revisit_of_a_foreign_archive():
+    record = warc.make_record(1, "http://a", b"", 150, "0" * 64, 7, "2024-01-01T00:00:00Z", target_url="http://b")
+    r = warc.parse_record(record)
+    assert (r["record_type"], r["payload_bytes"], r["refers_to"], r["target_id"], r["payload"]) == ("revisit", 150, 7, None, b"")
+    assert b"WARC-Refers-To-Target-URI: http://b\r\n" in record
+    bare = b"HTTP/1.1 200 OK\r\n\r\n"
+    headers = [("WARC-Type", "revisit"), ("WARC-Record-ID", "<urn:x>"), ("WARC-Date", "2024-01-01T00:00:00Z"), ("WARC-Profile", warc.REVISIT_PROFILE)]
+    assert warc.parse_record(warc._framed(headers, bare))["payload_bytes"] is None
+
+
 def test_shard_file(tmp_path):
     rng, out = random.Random(5), io.BytesIO()
     w = token_store.ShardWriter(out, 2, block_bytes=600)
