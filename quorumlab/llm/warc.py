@@ -2,7 +2,8 @@
 
 Writing: the digest of every payload is computed in the scan; among equal payloads of at least
 ``least`` bytes the record with the smallest page id becomes ``response``, the others ``revisit`` it without
-carrying the payload; shorter payloads are always ``response``. Only digests and ids are grouped. Each task then
+carrying the payload; shorter payloads are always ``response``. Only digests and ids are grouped. What is known of
+repeated digests is broadcast up to ``BROADCAST_BYTES``, so that payloads aren't shuffled; beyond, they are joined by shuffle. Each task then
 writes archives of about ``ARCHIVE_BYTES``: it trains a dictionary on its first payloads, writes it in a skippable
 frame and compresses each record into a frame of its own, a ``warcinfo`` record first. The manifest (a row for each
 archive) commits them. A record's id comes from its archive and place, so repeated rows differ; a response that others
@@ -30,7 +31,7 @@ from collections.abc import Iterator
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import fresh_path
+from .common import drop_written, fresh_path, written
 from .token_store import open_uri
 
 #: Fixed values of the formats.
@@ -44,6 +45,8 @@ ARCHIVE_BYTES = 256 << 20
 DICTIONARY_BYTES = 64 << 10
 SAMPLE_BYTES = 4 << 20
 LEAST = 100
+#: Bytes of the table of repeated digests up to which it is broadcast.
+BROADCAST_BYTES = 64 << 20
 #: Bytes of an archive handed to the decoder at once; what lies behind a frame's end is copied.
 STEP = 16 << 10
 MANIFEST = "path string, records bigint"
@@ -213,7 +216,9 @@ def write_archives(pages: DataFrame, where: str, least: int = LEAST, date: str =
     copies = rows.where((F.col("size") >= least) & F.col("page_id").isNotNull()).groupBy("digest", "page_id").agg(F.count("*").alias("n"), F.min("url").alias("url"))
     first = copies.groupBy("digest").agg(F.min(F.struct("page_id", "n", "url")).alias("first"), F.sum("n").alias("n"))
     repeated = first.where("n > 1").select(F.col("digest").alias("_digest"), F.col("first.page_id").alias("first_id"), (F.col("first.n") == 1).alias("sole"), F.col("first.url").alias("target_url"))
-    both = rows.join(repeated, (F.col("digest") == F.col("_digest")) & (F.col("size") >= least), "left")
+    repeated = written(repeated, "repeated-digests")
+    size = repeated.agg(F.sum(120 + F.coalesce(F.octet_length("target_url"), F.lit(0)))).first()[0] or 0
+    both = rows.join(F.broadcast(repeated) if size <= BROADCAST_BYTES else repeated.hint("merge"), (F.col("digest") == F.col("_digest")) & (F.col("size") >= least), "left")
     refers = F.when(F.col("page_id").isNull() | (F.col("page_id") != F.col("first_id")), F.col("first_id"))
     out = both.select("page_id", "url", F.when(refers.isNull(), F.col("payload")).alias("payload"), "size", "digest", refers.alias("refers_to"), "first_id", "sole", "target_url")
 
@@ -266,7 +271,9 @@ def write_archives(pages: DataFrame, where: str, least: int = LEAST, date: str =
         if done:
             yield pa.RecordBatch.from_arrays([pa.array([p for p, _ in done]), pa.array([n for _, n in done], pa.int64())], names=["path", "records"])
 
-    return sorted(out.mapInArrow(write, MANIFEST).collect(), key=lambda r: r["path"])
+    manifest = sorted(out.mapInArrow(write, MANIFEST).collect(), key=lambda r: r["path"])
+    drop_written(repeated)
+    return manifest
 
 
 def read_archives(spark: SparkSession, manifest: list, with_payload: bool = False) -> DataFrame:

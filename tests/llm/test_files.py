@@ -17,7 +17,9 @@ from tests.llm.helpers import docs
 PAGES = "page_id bigint, url string, html string, payload string, digest string"
 
 
-def test_archive_round_trip(spark, monkeypatch):
+@pytest.mark.parametrize("broadcast", [0, warc.BROADCAST_BYTES])
+def test_archive_round_trip(spark, monkeypatch, broadcast):
+    monkeypatch.setattr(warc, "BROADCAST_BYTES", broadcast)
     long, rng = "<p>" + "é" * 60 + "</p>", random.Random(2)
     rows = [(5, "http://a", long), (3, "http://b", long), (9, None, long), (1, "u\r\nX: y", "short"), (2, "v", "short"), (4, "w", None), (6, "x", ""), (7, "y", "z" * 3_000_000), (3, "http://b", long), (None, "n", long)]
     rows += [(100 + k, f"http://p/{k}", "".join(rng.choice("<div>ab ") for _ in range(3000)) if k % 7 else long + "2") for k in range(200)]
