@@ -6,16 +6,18 @@ the node for what is left, and how many pieces were passed is known beforehand.
 one pass, each byte moving forward once, and no piece is ever built.
 
 A word that cannot be cut into pieces counts as one unknown token, as in greedy longest-match tokenizers.
-Words are runs of non-white-space bytes. Within a task each distinct word is walked once while it
-is remembered (a bounded memo).
+Words are runs of non-white-space bytes, or, with ``splitter="bert"``, what the tokenizers library's normaliser and
+splitter of that name make of the text (control characters dropped, accents and case folded if asked, punctuation and
+ideographs apart). Within a task each distinct word is walked once while it is remembered (a bounded memo).
 
-Defined cases: null and empty texts have no words and no tokens; repeated rows have a result each.
+Defined cases: null and empty texts have no words and no tokens; repeated rows have a result each; a word of more than
+``longest_word`` characters, if that is given, is unknown; an empty line of a vocabulary file is no piece.
 """
 
 from __future__ import annotations
 
 import json
-from collections.abc import Iterable, Iterator
+from collections.abc import Callable, Iterable, Iterator
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -108,21 +110,49 @@ def pieces_of_byte_vocabulary(path: str) -> tuple[list[bytes], list[bytes]]:
     return [p for p in starting if p], continuing
 
 
-def count_tokens(docs: DataFrame, starting: list[bytes], continuing: list[bytes], key: str = "doc_id", text: str = "text", memo: int = MEMO) -> DataFrame:
+def pieces_of_text_vocabulary(path: str, mark: str = "##") -> tuple[list[bytes], list[bytes]]:
+    """(pieces that start a word, pieces that continue one) from a file with a piece a line, where ``mark`` leads those that continue."""
+    with open(path, encoding="utf-8", newline="\n") as f:
+        lines = [line.rstrip("\r\n") for line in f]
+    starting = [p.encode() for p in lines if p and not p.startswith(mark)]
+    return starting, [p[len(mark) :].encode() for p in lines if p.startswith(mark) and len(p) > len(mark)]
+
+
+def word_splitter(name: str, lowercase: bool = True) -> Callable[[bytes], list[bytes]]:
+    """The words of a UTF-8 text; ``space`` or ``bert``."""
+    if name == "space":
+        return bytes.split
+    if name != "bert":
+        raise ValueError(f"no splitter is named {name!r}")
+    from tokenizers import normalizers, pre_tokenizers
+
+    normal, cut = normalizers.BertNormalizer(lowercase=lowercase), pre_tokenizers.BertPreTokenizer()
+
+    def split(body: bytes) -> list[bytes]:
+        text = normal.normalize_str(body.decode("utf-8", "replace"))
+        return [w.encode() for w, _ in cut.pre_tokenize_str(text)] if text else []
+
+    return split
+
+
+def count_tokens(
+    docs: DataFrame, starting: list[bytes], continuing: list[bytes], key: str = "doc_id", text: str = "text", memo: int = MEMO, splitter: str = "space", lowercase: bool = True, longest_word: int | None = None
+) -> DataFrame:
     """doc_id, n_words, n_tokens (an unknown word is one), n_unknown. The vocabulary travels as a broadcast; its size is the vocabulary file's."""
+    word_splitter(splitter)  # an unknown name fails here
     pieces = docs.sparkSession.sparkContext.broadcast((starting, continuing))
 
     def run(batches: Iterator) -> Iterator:
         import pyarrow as pa
 
-        counter = PieceCounter(*pieces.value)
+        counter, split = PieceCounter(*pieces.value), word_splitter(splitter, lowercase)
         known: dict[bytes, int] = {}
         for batch in batches:
             n_words, n_tokens, n_unknown = [], [], []
             for value in batch.column(1):
-                words = (value.as_py() or b"").split()
+                words = split(value.as_py() or b"")
                 for w in set(words).difference(known):
-                    known[w] = counter.count(w)
+                    known[w] = -1 if longest_word is not None and len(w.decode("utf-8", "replace")) > longest_word else counter.count(w)
                 counts = list(map(known.__getitem__, words))
                 missed = counts.count(-1)
                 n_words.append(len(words))

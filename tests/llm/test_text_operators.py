@@ -286,6 +286,30 @@ def test_counts_equal_a_word_piece_tokenizer(spark, small):
         assert got[r["doc_id"]] == (len(words), len(t.encode(" ".join(map(plain, words))).ids))
 
 
+def test_counts_with_a_marked_vocabulary_and_a_normaliser(spark, small, tmp_path):
+    from tokenizers import Tokenizer, models, normalizers, pre_tokenizers
+
+    d = table(spark, small, "documents")
+    texts = [(r["doc_id"], r["text"]) for r in d.collect()]
+    texts += [(9001, "Ünïcode Straße ÉCOLE 日本語, a\x00b\u200bc"), (9002, "x" * 101 + " " + "x" * 100 + "."), (9003, "!?--it's"), (9004, None), (9005, "\t\n ")]
+    letters = "abcdefghijklmnopqrstuvwxyz0123456789"
+    vocabulary = ["[UNK]", *letters[:-3], *("##" + c for c in letters[:-3]), "##日", ".", ",", "!", "'", "ecole", "日", "本", "the", "##ing", "##tion", "##er", "un", "##ic", "##ode", "", "##"]
+    path = tmp_path / "vocabulary.txt"
+    path.write_text("\n".join(vocabulary) + "\n", encoding="utf-8")
+    first, later = wordpiece.pieces_of_text_vocabulary(str(path))
+    assert b"" not in first + later and b"the" in first and b"ing" in later
+    for lowercase in (True, False):
+        t = Tokenizer(models.WordPiece({p: i for i, p in enumerate(v for v in vocabulary if v not in ("", "##"))}, unk_token="[UNK]", max_input_chars_per_word=100))
+        t.normalizer, t.pre_tokenizer = normalizers.BertNormalizer(lowercase=lowercase), pre_tokenizers.BertPreTokenizer()
+        rows = wordpiece.count_tokens(docs(spark, texts), first, later, splitter="bert", lowercase=lowercase, longest_word=100).collect()
+        got = {r["doc_id"]: (r["n_tokens"], r["n_unknown"]) for r in rows}
+        for i, text in texts:
+            ids = t.encode(text or "").ids
+            assert got[i] == (len(ids), ids.count(0)), (i, lowercase)
+    with pytest.raises(ValueError):
+        wordpiece.count_tokens(d, first, later, splitter="other")
+
+
 def test_word_piece_edges(spark):
     d = docs(spark, [(1, None), (2, ""), (3, "ab " * 40_000), (4, "ab zz a"), (4, "ab zz a"), (None, "b")])
     rows = sorted(map(tuple, wordpiece.count_tokens(d, [b"ab", b"a"], [b"b"], memo=2).collect()), key=str)
