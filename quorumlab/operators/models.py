@@ -115,6 +115,42 @@ class Model:
             return loss, np.concatenate([(x.T @ da).ravel(), (kept.T @ dz).ravel()])
         return loss, self._cnn_back(dz, kept)
 
+    def _cnn_forward(self, w, x):
+        """The network's scores alone, with each convolution as one dense matrix: a few large products, and no patches are kept."""
+        import numpy as np
+
+        k1, b1, k2, b2, k3, b3 = self._cnn_parts(w)
+        first, second = np.zeros((8, 8, 8, 8, 8)), np.zeros((4, 4, 8, 4, 4, 16))
+        for q in range(9):
+            i, j = q // 3 - 1, q % 3 - 1
+            for r, c in ((r, c) for r in range(8) for c in range(8) if 0 <= r + i < 8 and 0 <= c + j < 8):
+                first[r + i, c + j, r, c] = k1[q]
+            for r, c in ((r, c) for r in range(4) for c in range(4) if 0 <= r + i < 4 and 0 <= c + j < 4):
+                second[r + i, c + j, :, r, c] = k2[q * 8 : q * 8 + 8]
+        # Columns by place inside a pooling cell, then by cell and map.
+        first = first.reshape(64, 4, 2, 4, 2, 8).transpose(0, 2, 4, 1, 3, 5).reshape(64, 4, 128)
+        pooled = x[:, :64] @ first[:, 0]
+        for k in range(1, 4):
+            np.maximum(pooled, x[:, :64] @ first[:, k], out=pooled)
+        pooled += np.tile(b1, 16)
+        a2 = np.maximum(pooled, 0, out=pooled) @ second.reshape(128, 256)
+        a2 += np.tile(b2, 16)
+        return np.maximum(a2, 0, out=a2) @ k3 + b3
+
+    def _outputs(self, w, x):
+        return self._cnn_forward(w, x) if self.kind == "small_cnn" else self.scores(w, x)[0]
+
+    def loss(self, w, x, y) -> float:
+        """The mean loss alone, without a backward pass."""
+        import numpy as np
+
+        z = self._outputs(w, x)
+        if self.kind == "least_squares":
+            return float(((z - y) ** 2).mean() / 2)
+        if self.kind == "logistic":
+            return float(np.logaddexp(0, np.where(y > 0, -z, z)).mean())
+        return _softmax_loss(z, y.astype(np.int64))[0]
+
     def _cnn_back(self, dz, kept):
         import numpy as np
 
@@ -154,7 +190,7 @@ class Model:
         return square(x) * square(da) + square(kept) * square(dz)
 
     def predict(self, w, x):
-        z, _ = self.scores(w, x)
+        z = self._outputs(w, x)
         if self.kind == "least_squares":
             return z
         return (z > 0).astype(int) if self.kind == "logistic" else z.argmax(axis=1)

@@ -3,7 +3,7 @@
 Both paths use the same hashed durations, draws and samples, so they give the same log. The distributed
 path fetches only the rows that finished steps draw; a round is one job that sends the model out as a broadcast and
 brings back one local model (or gradient) for each uploader. The sweep path suits small models: data up to a checked
-size is broadcast once, and every (setting, seed) is a task of its own; larger data goes through the distributed path.
+size is broadcast once, and every (setting, seed) is a task of its own; over larger data all runs share each round's passes (``lockstep.py``).
 """
 
 from __future__ import annotations
@@ -23,8 +23,10 @@ LOG = (
     "run_id string, scheme string, split string, seed int, quorum int, quota int, workers int, round_no int, period int, round_time double, cum_time double, messages bigint, cum_messages bigint, "
     "uploads int, mean_steps double, max_steps int, step_size double, loss double, accuracy double, grad_sq double, smooth double"
 )
-#: Bytes of samples up to which a sweep broadcasts them.
-SWEEP_BYTES = 512 << 20
+#: The measures of a log that an evaluation makes.
+MEASURES = ("loss", "accuracy", "grad_sq", "smooth")
+#: Bytes of samples up to which a sweep broadcasts them. Each Python worker holds a copy, and each run passes over it alone.
+SWEEP_BYTES = 16 << 20
 #: Rounds planned and fetched at a time.
 BLOCK = 10
 
@@ -289,39 +291,68 @@ def next_model(spec: RunSpec, w, results: list, counts: list, alpha: float):
 ASYNCHRONOUS = ("asynchronous", "lock_free")
 
 
+class Arrivals:
+    """The order of an asynchronous run's updates, which durations alone decide, and its models, kept only as far back as some worker's read."""
+
+    def __init__(self, spec: RunSpec, model: models.Model):
+        import heapq
+
+        import numpy as np
+
+        self.spec, self.model, self.w = spec, model, model.init(spec.seed)
+        self.parts = np.array_split(np.arange(len(self.w)), int(spec.options.get("blocks", 8)))
+        self.heap = [(self.lasts(0, k), k, 0) for k in range(spec.workers)]
+        heapq.heapify(self.heap)
+        self.read, self.history, self.version = [0] * spec.workers, {0: self.w}, 0
+
+    def lasts(self, n: int, k: int) -> float:
+        return -math.log((rng.hash48_py(self.spec.seed, "dur", n, k, 0) + 0.5) / rng.SPACE) * self.spec.mean
+
+    def due(self) -> list[tuple[float, int, int]]:
+        """The next M updates: (time, worker, the worker's how-manieth)."""
+        import heapq
+
+        out = []
+        for _ in range(self.spec.workers):
+            t, k, n = heapq.heappop(self.heap)
+            out.append((t, k, n))
+            heapq.heappush(self.heap, (t + self.lasts(n + 1, k), k, n + 1))
+        return out
+
+    def apply(self, events: list, batch, alpha: float) -> None:
+        """Apply updates in order; ``batch`` gives (x, y) of a worker's n-th update."""
+        for _, k, n in events:
+            at = self.history[self.read[k]]
+            if self.spec.scheme == "lock_free":
+                at = at.copy()
+                for b, part in enumerate(self.parts):
+                    at[part] = self.history[self.read[k] + rng.hash48_py(self.spec.seed, "block", k, n, b) % (self.version - self.read[k] + 1)][part]
+            self.w = self.w - alpha * self.model.loss_grad(at, *batch(k, n))[1]
+            self.version += 1
+            self.history[self.version], self.read[k] = self.w, self.version
+            for old in range(min(self.history), min(self.read)):
+                self.history.pop(old, None)
+
+
 def async_py(spec: RunSpec, shards: list, test: tuple, dims: int, classes: int) -> Iterator[dict]:
     """Asynchronous descent in one process, as the order of events is the meaning. ``asynchronous`` reads a consistent model;
-    ``lock_free`` reads each block of it at a version of its own, between the worker's read and the update. Models are kept only as
-    far back as some worker's read."""
-    import heapq
-
+    ``lock_free`` reads each block of it at a version of its own, between the worker's read and the update."""
     import numpy as np
 
     model, m = make_model(spec, dims, classes), spec.workers
-    powers, w = tasks.draw_powers(spec.batch), model.init(spec.seed)
+    powers = tasks.draw_powers(spec.batch)
     every_x, every_y = np.concatenate([s[0] for s in shards]), np.concatenate([s[1] for s in shards])
-    parts = np.array_split(np.arange(len(w)), int(spec.options.get("blocks", 8)))
-    lasts = lambda n, k: -math.log((rng.hash48_py(spec.seed, "dur", n, k, 0) + 0.5) / rng.SPACE) * spec.mean
-    heap = [(lasts(0, k), k, 0) for k in range(m)]
-    heapq.heapify(heap)
-    read, history, version, before, curve = [0] * m, {0: w}, 0, 0.0, Curvature()
+    run, before, curve = Arrivals(spec, model), 0.0, Curvature()
+
+    def batch(k, n):
+        x, y = shards[k]
+        p = tasks.draws_py(spec.seed, n, k, 0, spec.batch, len(y), powers)
+        return x[p], y[p]
+
     for j in range(spec.rounds):
-        alpha = step_size_at(spec, j)
-        for _ in range(m):
-            t, k, n = heapq.heappop(heap)
-            at = history[read[k]]
-            if spec.scheme == "lock_free":
-                at = at.copy()
-                for b, part in enumerate(parts):
-                    at[part] = history[read[k] + rng.hash48_py(spec.seed, "block", k, n, b) % (version - read[k] + 1)][part]
-            x, y = shards[k]
-            p = tasks.draws_py(spec.seed, n, k, 0, spec.batch, len(y), powers)
-            w = w - alpha * model.loss_grad(at, x[p], y[p])[1]
-            version += 1
-            history[version], read[k] = w, version
-            for old in range(min(history), min(read)):
-                history.pop(old, None)
-            heapq.heappush(heap, (t + lasts(n + 1, k), k, n + 1))
+        events = run.due()
+        run.apply(events, batch, step_size_at(spec, j))
+        t, w = events[-1][0], run.w
         measures = {}
         if (j + 1) % spec.eval_every == 0:
             loss, grad = model.loss_grad(w, every_x, every_y)
@@ -352,22 +383,21 @@ def collect_shards(shards: DataFrame, workers: int) -> list:
     return out
 
 
-def sweep(spark: SparkSession, specs: list[RunSpec], samples: DataFrame, classes: int) -> DataFrame:
+def sweep(spark: SparkSession, specs: list[RunSpec], samples: DataFrame, classes: int, measures: tuple[str, ...] = MEASURES) -> DataFrame:
     """The logs of all runs. Samples: (row_id, x, y); a fifth of them is held out for accuracy.
 
     Up to ``SWEEP_BYTES`` of samples (all splits' copies and the held-out fold) are broadcast and each run is a task; beyond,
-    every run goes through :func:`train`, which gives the same log and never brings samples to the driver.
+    :func:`lockstep.sweep` takes all runs through their rounds together, with the same log, and never brings samples to the driver.
+    ``measures`` are those that the caller reads, besides accuracy: others may be null.
     """
     for spec in specs:
         check_scheme(spec, SCHEMES + ASYNCHRONOUS)
     pieces = {(s.split, s.workers) for s in specs}
-    dims, rows = samples.agg(F.max(F.size("x")), F.count("*")).first()
+    dims, rows = samples.select(F.size("x")).first()[0], samples.count()
     if rows * (dims + 2) * 8 * (len(pieces) + 1) > SWEEP_BYTES:
-        logs = [train(spark, spec, samples, classes)[0] for spec in specs]
-        out = logs[0]
-        for log in logs[1:]:
-            out = out.unionByName(log)
-        return out
+        from quorumlab.operators import lockstep
+
+        return spark.createDataFrame([tuple(r.values()) for r in lockstep.sweep(spark, specs, samples, dims, classes, measures)], LOG)
     train_rows = tasks.train_test(samples, False).persist()
     test = as_arrays(tasks.train_test(samples, True))
     data = {(split, workers): collect_shards(tasks.SPLITS[split](train_rows, workers), workers) for split, workers in pieces}
