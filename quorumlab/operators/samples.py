@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
@@ -14,11 +15,30 @@ LETTERS = "abcdefghijklmnopqrstuvwxyzäöüßéèêçáíóúñ"
 LANGUAGES = ["de", "en", "es", "fr"]
 
 
+def letter_shares(text: pa.Array) -> pa.Array:
+    """Arrow strings to their feature rows, from counts of UTF-8 bytes; letters beyond ASCII all have the same first byte."""
+    import numpy as np
+
+    text = text.cast(pa.large_binary())
+    _, offsets, data = text.buffers()
+    ends = np.frombuffer(offsets, np.int64)[text.offset : text.offset + len(text) + 1]
+    data = np.frombuffer(data or b"", np.uint8)
+    codes = [c.encode() for c in LETTERS]
+    lead = codes[-1][0]
+    single, double = [c[0] for c in codes if len(c) == 1], [c[1] for c in codes if len(c) == 2 and c[0] == lead]
+    out = np.ones((len(text), len(LETTERS) + 1))
+    for row, begin, end in zip(out, ends[:-1], ends[1:], strict=True):
+        own = data[begin:end]
+        counts = np.bincount(own, minlength=256)
+        after = np.bincount(own[1:][own[:-1] == lead], minlength=256)
+        n = len(own) - counts[0x80:0xC0].sum()  # bytes that go on with a character don't count
+        row[:-1] = 10.0 * np.concatenate([counts[single], after[double]]) / max(n, 1)
+    return pa.FixedSizeListArray.from_arrays(pa.array(out.ravel()), out.shape[1]).cast(pa.list_(pa.float64()))
+
+
 def letters(text: Column) -> Column:
     """Ten times the relative frequency of each letter among the lowered characters of the whole text, and a bias."""
-    whole = F.lower(F.coalesce(text, F.lit("")))
-    n = F.greatest(F.length(whole), F.lit(1))
-    return F.array(*[10.0 * (F.length(whole) - F.length(F.replace(whole, F.lit(c), F.lit("")))) / n for c in LETTERS], F.lit(1.0))
+    return F.arrow_udf(letter_shares, "array<double>")(F.lower(F.coalesce(text, F.lit(""))))
 
 
 def language_task(spark: SparkSession, sf_dir: str) -> DataFrame:
