@@ -1,8 +1,9 @@
 """Sweeps over samples too many to give every task a copy: all runs go through their rounds together.
 
-The pieces of each (split, workers) are packed once into blocks of numpy rows, a partition for each piece. A round is then two
-jobs for all runs: one passes over the pieces, picks the rows that the round draws and runs the local chains; one sums the measures.
-A task holds a block and the drawn rows of its piece, never the piece. The driver sees local models and sums only.
+The pieces of each (split, workers) are packed once into blocks of numpy rows, a partition for each piece. A round is then one job for
+all runs, which passes over the pieces, sums the measures of the round before, picks the rows that the round draws and runs the local
+chains. A run whose next plan depends on those measures has its chains in a job of their own. A task holds a block and the drawn rows of
+its piece, never the piece. The driver sees local models and sums only.
 """
 
 from __future__ import annotations
@@ -56,37 +57,56 @@ class Run:
         self.w, self.time, self.messages, self.log, self.done = self.model.init(spec.seed), 0.0, 0, [], False
         self.period, self.curve = training.Period(spec), training.Curvature()
         self.arrivals = training.Arrivals(spec, self.model) if spec.scheme in training.ASYNCHRONOUS else None
+        self.round, self.trained, self.plans = 0, None, {}
 
-    def draws(self, round_no: int) -> dict[int, list[tuple[int, int, int]]]:
-        """What each worker draws in the round: (round, worker, step) of each mini-batch, the keys of its hash."""
+    @property
+    def active(self) -> bool:
+        return not self.done and (self.trained is not None or self.round < self.spec.rounds)
+
+    @property
+    def scored(self) -> bool:
+        """Is the round that was trained last to be evaluated?"""
+        return self.trained is not None and (self.trained + 1) % self.spec.eval_every == 0
+
+    @property
+    def goes_on(self) -> bool:
+        """Can the next round be planned before the last one's measures are known?"""
+        return self.round < self.spec.rounds and not (self.scored and self.spec.scheme == "adaptive_period")
+
+    def draws(self) -> dict[int, list[tuple[int, int, int]]]:
+        """What each worker draws in the next round: (round, worker, step) of each mini-batch, the keys of its hash."""
         out: dict[int, list] = {}
         if self.arrivals:
-            self.events = self.arrivals.due()
-            for _, k, n in self.events:
+            self.plans[self.round] = self.arrivals.due()
+            for _, k, n in self.plans[self.round]:
                 out.setdefault(k, []).append((n, k, 0))
             return out
-        self.now = self.period.of(round_no)
-        self.plan = training.round_py(self.spec, round_no, self.now)
-        return {m: [(round_no, m, s) for s in range(n)] for m, n in enumerate(self.plan["draw"].tolist()) if n}
+        now = self.period.of(self.round)
+        plan = training.round_py(self.spec, self.round, now)
+        self.plans[self.round] = now, plan
+        return {m: [(self.round, m, s) for s in range(n)] for m, n in enumerate(plan["draw"].tolist()) if n}
 
-    def step(self, round_no: int, found: list[tuple]) -> None:
+    def step(self, found: list[tuple]) -> None:
         """The next model, from (worker, mini-batches, result) of the round."""
-        alpha, found = training.step_size_at(self.spec, round_no), sorted(found, key=lambda f: f[0])
+        alpha, found = training.step_size_at(self.spec, self.round), sorted(found, key=lambda f: f[0])
         if self.arrivals:
             batches = {key[:2]: batch for _, _, result in found for key, batch in result}
-            self.arrivals.apply(self.events, lambda k, n: batches[n, k], alpha)
+            self.arrivals.apply(self.plans[self.round], lambda k, n: batches[n, k], alpha)
             self.w = self.arrivals.w
         else:
             self.w = training.next_model(self.spec, self.w, [f[2] for f in found], [f[1] for f in found], alpha)
+        self.trained, self.round = self.round, self.round + 1
 
-    def record(self, round_no: int, measures: dict) -> None:
-        s = self.spec
+    def record(self, measures: dict) -> None:
+        """The log row of the round that was trained last."""
+        s, round_no, plan = self.spec, self.trained, self.plans.pop(self.trained)
         if self.arrivals:
             now, up, down, steps, before = 1, s.workers, s.workers, [1] * s.workers, self.time
-            self.time = self.events[-1][0]
+            self.time = plan[-1][0]
             took = self.time - before
         else:
-            now, up, down, steps, took = self.now, int(self.plan["up"].sum()), self.plan["down"], self.plan["steps"].tolist(), self.plan["time"]
+            now, plan = plan
+            up, down, steps, took = int(plan["up"].sum()), plan["down"], plan["steps"].tolist(), plan["time"]
             self.time += took
         self.messages += up + down
         if "grad" in measures:
@@ -96,7 +116,7 @@ class Run:
             self.period.learn(measures["loss"], self.time, round_no)
         row = training.log_row(s, round_no, now, took, self.time, up + down, self.messages, up, steps, measures)
         self.log.append(row)
-        self.done = should_stop(s, row)
+        self.done, self.trained = should_stop(s, row), None
 
 
 def chains(work: dict, blocks: Iterable) -> Iterator:
@@ -104,7 +124,7 @@ def chains(work: dict, blocks: Iterable) -> Iterator:
     import numpy as np
 
     def drawn(group: int, worker: int):
-        n, out = work["sizes"][group].get(worker, 0), []
+        n, out = work["sizes"].get(group, {}).get(worker, 0), []
         for nth, spec, model, w, alpha, draws in work["runs"].get(group, []):
             if keys := draws.get(worker, []):
                 powers = tasks.draw_powers(spec.batch)
@@ -121,37 +141,87 @@ def chains(work: dict, blocks: Iterable) -> Iterator:
             xs, ys = np.empty((len(at), x.shape[1])), np.empty(len(at), y.dtype)
         lo, hi = np.searchsorted(at, [first, first + len(y)])
         xs[order[lo:hi]], ys[order[lo:hi]] = x[at[lo:hi] - first], y[at[lo:hi] - first]
-    begin = 0
+    begin, together = 0, {}
     for nth, spec, model, w, alpha, keys, pos in runs or []:
         x, y = xs[begin : begin + len(pos)], ys[begin : begin + len(pos)]
         begin += len(pos)
         batches = [(x[k : k + spec.batch], y[k : k + spec.batch]) for k in range(0, len(pos), spec.batch)]
         if spec.scheme in training.ASYNCHRONOUS:
             yield nth, worker, len(keys), list(zip(keys, batches, strict=True))
+        elif spec.scheme in training.GRADIENTS:
+            yield nth, worker, len(keys), models.gradients_at(model, w, batches)
+        elif model.kind == "softmax":
+            together.setdefault((spec.batch, model.classes), []).append((nth, len(keys), w, x, y, alpha))
         else:
-            yield nth, worker, len(keys), models.gradients_at(model, w, batches) if spec.scheme in training.GRADIENTS else models.local_chain(model, w, batches, alpha)
+            yield nth, worker, len(keys), models.local_chain(model, w, batches, alpha)
+    for (batch, classes), own in together.items():
+        nths, steps, ws, x, y, alphas = zip(*own, strict=True)
+        begins = np.cumsum((0, *steps[:-1]))
+        x, y = np.concatenate(x), np.concatenate(y)
+        results = models.softmax_chains(ws, x.reshape(-1, batch, x.shape[1]), y.reshape(-1, batch), begins, steps, alphas, x.shape[1], classes)
+        yield from ((nth, worker, n, w) for nth, n, w in zip(nths, steps, results, strict=True))
+
+
+def widen(entries: list) -> tuple:
+    """(runs, models side by side) of the softmax models to score without gradients, and the other entries."""
+    import numpy as np
+
+    flat = [e for e in entries if e[1].kind == "softmax" and not e[3] and np.isfinite(e[2]).all()]
+    if not flat:
+        return [], None, 0, entries
+    dims, classes = flat[0][1].dims, flat[0][1].classes
+    wide = np.stack([w.reshape(dims, classes) for _, _, w, _ in flat], axis=2).reshape(dims, -1)
+    return [e[0] for e in flat], wide, classes, [e for e in entries if not any(e is f for f in flat)]
 
 
-def sums(work: dict, blocks: Iterable) -> Iterator:
-    """(run, held out, rows, sum) over a partition: correct rows of the held-out fold, else the loss and, where asked for, the gradient."""
+def add_scores(total: dict, entries: tuple, test: bool, x, y) -> None:
+    """Add a block to (run, held out) -> (rows, sum): correct rows of the held-out fold, else the loss and, where asked for, the gradient."""
     import numpy as np
 
+    def add(nth: int, rows: int, v) -> None:
+        n, s = total.get((nth, test), (0, 0.0))
+        total[nth, test] = n + rows, s + v
+
+    flat, wide, classes, rest = entries
+    if flat:
+        own = np.zeros(len(flat))
+        for label in np.unique(y):
+            same = x[y == label].astype(float)
+            for at in range(0, len(same), CHUNK):
+                own += models.softmax_scores(wide, same[at : at + CHUNK], int(label), classes, not test)
+        for nth, v in zip(flat, own, strict=True):
+            add(nth, len(y), np.array([v]))
+    for at in range(0, len(y) if rest else 0, CHUNK):
+        a, b = x[at : at + CHUNK].astype(float), y[at : at + CHUNK]
+        for nth, model, w, gradient in rest:
+            if test:
+                v = np.array([(model.predict(w, a) == b).sum()], float)
+            elif gradient:
+                loss, g = model.loss_grad(w, a, b)
+                v = np.concatenate([[loss], g]) * len(b)
+            else:
+                v = np.array([model.loss(w, a, b)]) * len(b)
+            add(nth, len(b), v)
+
+
+def one_pass(work: dict, blocks: Iterable) -> Iterator:
+    """Over a partition: the local results (True, ...) of :func:`chains`, and the sums (False, run, held out, rows, sum) of measures."""
     total: dict = {}
-    for group, _, _, x, y in blocks:
-        for at in range(0, len(y), CHUNK):
-            a, b = x[at : at + CHUNK].astype(float), y[at : at + CHUNK]
-            for nth, model, w, gradient in work.get(group, []):
-                if group == TEST:
-                    v = np.array([(model.predict(w, a) == b).sum()], float)
-                elif gradient:
-                    loss, g = model.loss_grad(w, a, b)
-                    v = np.concatenate([[loss], g]) * len(b)
-                else:
-                    v = np.array([model.loss(w, a, b)]) * len(b)
-                n, s = total.get((nth, group == TEST), (0, 0.0))
-                total[nth, group == TEST] = n + len(b), s + v
+    wide: dict = {}
+
+    def scored():
+        for block in blocks:
+            group, _, _, x, y = block
+            if group in work["score"]:
+                if group not in wide:
+                    wide[group] = widen(work["score"][group])
+                add_scores(total, wide[group], group == TEST, x, y)
+            yield block
+
+    for found in chains(work, scored()):
+        yield True, *found
     for key, (n, s) in total.items():
-        yield *key, n, s
+        yield False, *key, n, s
 
 
 #: The group of the held-out fold.
@@ -176,36 +246,34 @@ def sweep(spark: SparkSession, specs: list[RunSpec], samples: DataFrame, dims: i
     # A run's loss is summed over the copy of its split with the most pieces.
     widest = {split: groups.index((split, max(w for s, w in groups if s == split))) for split, _ in groups}
 
-    def job(f, of: Iterable[int], work: dict) -> list:
+    def job(work: dict) -> list:
         shared = sc.broadcast(work)
         try:
-            return sc.union([kept[g] for g in sorted(of)]).mapPartitions(lambda blocks: f(shared.value, blocks)).collect()
+            return sc.union([kept[g] for g in sorted(work["runs"].keys() | work["score"].keys())]).mapPartitions(lambda blocks: one_pass(shared.value, blocks)).collect()
         finally:
             shared.destroy()
 
     try:
-        for j in range(max(s.rounds for s in specs)):
-            active = [r for r in runs if not r.done and j < r.spec.rounds]
-            if not active:
-                break
+        while active := [r for r in runs if r.active]:
             ask: dict[int, list] = {}
-            for r in active:
-                ask.setdefault(r.group, []).append((r.nth, r.spec, r.model, r.w, training.step_size_at(r.spec, j), r.draws(j)))
-            found: dict[int, list] = {}
-            for nth, *rest in job(chains, ask, {"sizes": sizes, "runs": ask}):
-                found.setdefault(nth, []).append(rest)
-            for r in active:
-                r.step(j, found.get(r.nth, []))
             score: dict[int, list] = {}
-            for r in (r for r in active if (j + 1) % r.spec.eval_every == 0):
+            asked = [r for r in active if r.goes_on]
+            for r in asked:
+                ask.setdefault(r.group, []).append((r.nth, r.spec, r.model, r.w, training.step_size_at(r.spec, r.round), r.draws()))
+            for r in (r for r in active if r.scored):
                 score.setdefault(TEST, []).append((r.nth, r.model, r.w, False))
                 gradient = not {"grad_sq", "smooth"}.isdisjoint(measures)
                 if gradient or "loss" in measures or r.spec.scheme == "adaptive_period":
                     score.setdefault(widest[r.spec.split], []).append((r.nth, r.model, r.w, gradient))
+            found: dict[int, list] = {}
             got: dict = {}
-            for nth, held, n, s in job(sums, score, score) if score else []:
-                n0, s0 = got.get((nth, held), (0, 0.0))
-                got[nth, held] = n0 + n, s0 + s
+            for chained, nth, *rest in job({"sizes": sizes, "runs": ask, "score": score}) if ask or score else []:
+                if chained:
+                    found.setdefault(nth, []).append(rest)
+                else:
+                    held, n, s = rest
+                    n0, s0 = got.get((nth, held), (0, 0.0))
+                    got[nth, held] = n0 + n, s0 + s
             for r in active:
                 m: dict = {}
                 if (r.nth, True) in got:
@@ -214,7 +282,10 @@ def sweep(spark: SparkSession, specs: list[RunSpec], samples: DataFrame, dims: i
                 if (r.nth, False) in got:
                     n, s = got[r.nth, False]
                     m |= {"loss": float(s[0]) / n} | ({"grad": s[1:] / n} if len(s) > 1 else {})
-                r.record(j, m)
+                if r.trained is not None:
+                    r.record(m)
+            for r in (r for r in asked if not r.done):  # a run that has just ended needs no further round
+                r.step(found.get(r.nth, []))
     finally:
         for rdd in kept.values():
             rdd.unpersist()

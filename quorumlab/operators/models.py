@@ -228,6 +228,49 @@ def local_chain(model: Model, w, batches, step_size: float):
     return w
 
 
+def softmax_chains(ws, xs, ys, begins, steps, step_sizes, dims: int, classes: int):
+    """Chains of several runs with the softmax model, a step of all of them at a time. ``xs`` and ``ys`` hold mini-batches of one size;
+    a run's own are ``steps`` ones from ``begins``."""
+    import numpy as np
+
+    order = np.argsort([-n for n in steps], kind="stable")
+    w = np.stack([ws[k].reshape(dims, classes).T for k in order])
+    begins, steps, rates = np.asarray(begins)[order], np.asarray(steps)[order], np.asarray(step_sizes, float)[order, None, None]
+    size = xs.shape[1]
+    for s in range(steps[0]):
+        n = int((steps > s).sum())
+        x, y = xs[begins[:n] + s], ys[begins[:n] + s].astype(np.int64)
+        z = w[:n] @ x.transpose(0, 2, 1)
+        z -= z.max(axis=1, keepdims=True)
+        np.exp(z, out=z)
+        z /= z.sum(axis=1, keepdims=True)
+        z[np.arange(n)[:, None], y, np.arange(size)] -= 1
+        z /= size
+        w[:n] -= rates[:n] * (z @ x)
+    out: list = [None] * len(ws)
+    for k, own in zip(order, w, strict=True):
+        out[k] = own.T.ravel()
+    return out
+
+
+def softmax_scores(wide, x, y: int, classes: int, loss: bool):
+    """Of many softmax models (``wide``: inputs x (classes x models)) on rows of one label: correct rows, or the summed loss."""
+    import numpy as np
+
+    z = (x @ wide).reshape(len(x), classes, -1)
+    if not loss:
+        if not 0 <= y < classes:
+            return np.zeros(z.shape[2])
+        own, right = z[:, y], np.ones((len(x), z.shape[2]), bool)
+        for k in range(classes):  # the first of equal scores is the prediction
+            if k != y:
+                right &= own > z[:, k] if k < y else own >= z[:, k]
+        return right.sum(axis=0).astype(float)
+    z -= z.max(axis=1, keepdims=True)
+    own = z[:, y].copy()
+    return np.minimum(np.log(np.exp(z, out=z).sum(axis=1)) - own, -np.log(1e-300)).sum(axis=0)
+
+
 def gradients_at(model: Model, w, batches):
     """Mean gradient of several batches, all at the same model."""
     import numpy as np

@@ -15,30 +15,44 @@ LETTERS = "abcdefghijklmnopqrstuvwxyzäöüßéèêçáíóúñ"
 LANGUAGES = ["de", "en", "es", "fr"]
 
 
+#: Characters of several bytes outside the letters' block that lower to a letter; the last one to a letter and a mark of its own.
+LOWERED = {"\u1e9e": "ß", "\u212a": "k", "\u0130": "i"}
+
+
 def letter_shares(text: pa.Array) -> pa.Array:
-    """Arrow strings to their feature rows, from counts of UTF-8 bytes; letters beyond ASCII all have the same first byte."""
+    """Arrow strings to their feature rows, from counts of UTF-8 bytes. Capitals count as what they lower to; letters beyond ASCII
+    all have the same first byte, and their capitals' second byte is less by 0x20, as ASCII's only one is."""
     import numpy as np
 
     text = text.cast(pa.large_binary())
     _, offsets, data = text.buffers()
     ends = np.frombuffer(offsets, np.int64)[text.offset : text.offset + len(text) + 1]
-    data = np.frombuffer(data or b"", np.uint8)
+    data, ends = np.frombuffer(data or b"", np.uint8)[ends[0] : ends[-1]], ends - ends[0]
     codes = [c.encode() for c in LETTERS]
     lead = codes[-1][0]
     single, double = [c[0] for c in codes if len(c) == 1], [c[1] for c in codes if len(c) == 2 and c[0] == lead]
+    counts = np.array([np.bincount(data[begin:end], minlength=256) for begin, end in zip(ends[:-1], ends[1:], strict=True)]).reshape(-1, 256)
+    rows = lambda at: np.searchsorted(ends, at, side="right") - 1
+    at = np.flatnonzero(data[:-1] == lead)
+    after = np.bincount(rows(at) * 256 + data[at + 1], minlength=256 * len(text)).reshape(-1, 256)
+    found = np.concatenate([counts[:, single] + counts[:, [c - 0x20 for c in single]], after[:, double] + after[:, [c - 0x20 for c in double]]], axis=1)
+    n = counts.sum(axis=1) - counts[:, 0x80:0xC0].sum(axis=1)  # bytes that go on with a character don't count
+    for c, letter in LOWERED.items():
+        code = c.encode()
+        at = np.flatnonzero(data[: len(data) - len(code) + 1] == code[0]) if len(data) >= len(code) else np.zeros(0, np.int64)
+        for k in range(1, len(code)):
+            at = at[data[at + k] == code[k]]
+        own = np.bincount(rows(at), minlength=len(text))
+        found[:, LETTERS.index(letter)] += own
+        n = n + own * (len(c.lower()) - 1)
     out = np.ones((len(text), len(LETTERS) + 1))
-    for row, begin, end in zip(out, ends[:-1], ends[1:], strict=True):
-        own = data[begin:end]
-        counts = np.bincount(own, minlength=256)
-        after = np.bincount(own[1:][own[:-1] == lead], minlength=256)
-        n = len(own) - counts[0x80:0xC0].sum()  # bytes that go on with a character don't count
-        row[:-1] = 10.0 * np.concatenate([counts[single], after[double]]) / max(n, 1)
+    out[:, :-1] = 10.0 * found / np.maximum(n, 1)[:, None]
     return pa.FixedSizeListArray.from_arrays(pa.array(out.ravel()), out.shape[1]).cast(pa.list_(pa.float64()))
 
 
 def letters(text: Column) -> Column:
     """Ten times the relative frequency of each letter among the lowered characters of the whole text, and a bias."""
-    return F.arrow_udf(letter_shares, "array<double>")(F.lower(F.coalesce(text, F.lit(""))))
+    return F.arrow_udf(letter_shares, "array<double>")(F.coalesce(text, F.lit("")))
 
 
 def language_task(spark: SparkSession, sf_dir: str) -> DataFrame:

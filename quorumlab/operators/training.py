@@ -393,7 +393,8 @@ def sweep(spark: SparkSession, specs: list[RunSpec], samples: DataFrame, classes
     for spec in specs:
         check_scheme(spec, SCHEMES + ASYNCHRONOUS)
     pieces = {(s.split, s.workers) for s in specs}
-    dims, rows = samples.select(F.size("x")).first()[0], samples.count()
+    samples = samples.select("row_id", "x", "y").persist()
+    rows, dims = samples.count(), samples.select(F.size("x")).first()[0]
     if rows * (dims + 2) * 8 * (len(pieces) + 1) > SWEEP_BYTES:
         from quorumlab.operators import lockstep
 
@@ -402,6 +403,7 @@ def sweep(spark: SparkSession, specs: list[RunSpec], samples: DataFrame, classes
     test = as_arrays(tasks.train_test(samples, True))
     data = {(split, workers): collect_shards(tasks.SPLITS[split](train_rows, workers), workers) for split, workers in pieces}
     train_rows.unpersist()
+    samples.unpersist()
     shared = spark.sparkContext.broadcast((data, test))
     jobs = spark.createDataFrame([(k, s.to_json()) for k, s in enumerate(specs)], "nth int, spec string").repartition(len(specs), "nth")
 

@@ -51,3 +51,32 @@ def test_loss_alone(model):
     y = rng.standard_normal(6) if model.kind == "least_squares" else rng.integers(0, 2 if model.kind == "logistic" else 3, 6)
     w = model.init(1) + 0.05 * rng.standard_normal(model.size)
     assert model.loss(w, x, y) == pytest.approx(model.loss_grad(w, x, y)[0], rel=1e-12)
+
+
+def test_a_round_is_one_pass(spark, monkeypatch):
+    """All of a round's chains and the scores of the round before share a job: one more than rounds, where it was two a round."""
+    monkeypatch.setattr(training, "SWEEP_BYTES", 0)
+    passes = []
+    monkeypatch.setattr(spark.sparkContext, "union", lambda rdds, union=spark.sparkContext.union: passes.append(len(rdds)) or union(rdds))
+    training.sweep(spark, [BASE.but(rounds=5), BASE.but(rounds=3, seed=1)], task(spark, 40), 4, ("loss",))
+    assert len(passes) == 5 + 1
+
+
+def test_models_side_by_side():
+    """Chains of different lengths, and scores with equal ones and an unknown label, as for each model alone."""
+    rng = np.random.default_rng(0)
+    model, steps, rates = models.softmax(5, 3), [2, 0, 4, 1], [0.1, 0.2, 0.3, 0.4]
+    ws = [rng.standard_normal(model.size) for _ in range(3)] + [np.zeros(model.size)]
+    xs, ys, begins = rng.standard_normal((7, 6, 5)), rng.integers(-1, 3, (7, 6)), [0, 2, 2, 6]
+    got = models.softmax_chains(ws, xs, ys, begins, steps, rates, 5, 3)
+    for w, b, n, rate, g in zip(ws, begins, steps, rates, got, strict=True):
+        np.testing.assert_allclose(g, models.local_chain(model, w, [(xs[k], ys[k]) for k in range(b, b + n)], rate), rtol=1e-12)
+    x, y = xs.reshape(-1, 5), ys.ravel()
+    runs, wide, classes, rest = lockstep.widen([(k, model, w, False) for k, w in enumerate(ws)] + [(9, model, ws[0], True)])
+    assert runs == [0, 1, 2, 3] and [e[0] for e in rest] == [9]
+    for held in (True, False):
+        total = {}
+        lockstep.add_scores(total, (runs, wide, classes, rest), held, x, y)
+        for k, w in enumerate(ws):
+            n, v = total[k, held]
+            assert n == len(y) and v[0] == pytest.approx((model.predict(w, x) == y).sum() if held else model.loss(w, x, y) * len(y), rel=1e-12)

@@ -65,3 +65,12 @@ def test_stagewise_covers_every_round(spark, tmp_path):
     rows = queries.queries()["stagewise_summary"](spark, str(tmp_path)).collect()
     period = lambda j: next((2 << s for s, last in enumerate((3, 11, 27, 59)) if j <= last), 32)
     assert {r["round_no"]: (r["round_time"], r["steps"]) for r in rows} == {j: (float(period(j)), 20 * period(j)) for j in range(130)}
+
+
+def test_letters_of_every_character(spark):
+    """Letters are counted as in lowered texts, without lowering them first: every character of two planes, capitals of other blocks too."""
+    df = spark.createDataFrame([(f"É{chr(i)}b",) for i in range(0x20000) if not 0xD800 <= i < 0xE000], "t string")
+    both = df.select("t", samples.letters(F.col("t")).alias("x"), samples.letters(F.lower("t")).alias("want"), F.lower("t").alias("low"))
+    assert both.where("x != want").count() == 0
+    odd = both.where(F.length("low") > 3).collect()
+    assert [(r["t"][1], r["x"][samples.LETTERS.index("i")]) for r in odd] == [("İ", 2.5)]
