@@ -43,6 +43,8 @@ BLOOM_BITS_PER_KEY, BLOOM_HASHES = 10, 7
 END_ID = 2
 #: Text bytes for a shard, about.
 SHARD_BYTES = 256 << 20
+#: Text bytes that are encoded at a time, about.
+GROUP_BYTES = 1 << 20
 #: Text pieces in a generation of a task's memo; two generations are held.
 MEMO = 400_000
 
@@ -74,10 +76,9 @@ class MemoEncoder:
         self.feed = feed[0] if len(feed) == 1 and self.tokenizer.normalizer is None and self._splits() else None
         # Commas and full stops after a letter or digit become pieces of their own, under keys that no text on this path holds.
         self.marks = {"\x01": np.array(self._ids([","])[0], self.kind).tobytes(), "\x02": np.array(self._ids(["."])[0], self.kind).tobytes()}
-        self.odd = re.compile(r"[\W_][.,][ \n]")
+        self.odd = re.compile(r"[.,](?<=[\W_].)[ \n]")
         self.known, self.older = dict(self.marks), {}
-        added = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
-        self.added = re.compile("|".join(map(re.escape, added))) if added else None
+        self.added = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
 
     def _ids(self, texts: list[str]) -> list[list[int]]:
         return [e.ids for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
@@ -98,7 +99,8 @@ class MemoEncoder:
         return [array(self.code, [t.id for t in tokenize(w)]).tobytes() for w in written]
 
     def _learn(self, pieces: list[str]) -> None:
-        """Encode unseen pieces: words by the model, words with marks as word and marks, all else by the whole tokenizer."""
+        """Encode unseen pieces: words by the model, words with marks as word and marks, all else by the whole tokenizer. Pieces that show
+        other white space in a text than single spaces and line feeds have None."""
         spaced, fed, rest = [], [], []
         for p in pieces:
             if p.isalpha():
@@ -110,45 +112,73 @@ class MemoEncoder:
         self.known.update(zip(spaced, self._direct([" " + p for p in spaced]), strict=True))
         feed = array(self.code, [self.feed]).tobytes()
         self.known.update(zip(fed, (feed + b for b in self._direct([p[1:] for p in fed])), strict=True))
-        other = []
+        other, marked = [], []
         for p in rest:  # the splitter parts letters from marks
             word = p.rstrip(",.;:!?#$%&*")
             if word != p and word.isalpha():
-                if word not in self.known:
-                    self.known[word] = self._direct([" " + word])[0]
-                tail = p[len(word) :]
-                if tail not in self.tails:
-                    self.tails[tail] = array(self.code, self._ids([tail])[0]).tobytes()
-                self.known[p] = self.known[word] + self.tails[tail]
-            else:
+                marked.append((p, word))
+            elif p.split() == [p.removeprefix("\n")]:
                 other.append(p)
+            else:
+                self.known[p] = None
+        words = [w for w in {w for _, w in marked} if w not in self.known]
+        self.known.update(zip(words, self._direct([" " + w for w in words]), strict=True))
+        for p, word in marked:
+            tail = p[len(word) :]
+            if tail not in self.tails:
+                self.tails[tail] = array(self.code, self._ids([tail])[0]).tobytes()
+            self.known[p] = self.known[word] + self.tails[tail]
         whole = self._ids([p if p[:1] == "\n" else " " + p for p in other])
         self.known.update((p, array(self.code, ids).tobytes()) for p, ids in zip(other, whole, strict=True))
 
+    def _look_up(self, pieces: list[str]) -> list[bytes | None]:
+        """What is known of distinct pieces; unseen ones are learnt."""
+        if len(self.known) > self.limit:
+            self.known, self.older = dict(self.marks), self.known
+        known, older = self.known, self.older
+        unseen = [p for p in pieces if p not in known]
+        if older:
+            known.update({p: older[p] for p in unseen if p in older})
+            unseen = [p for p in unseen if p not in known]
+        if unseen:
+            self._learn(unseen)
+        return list(map(known.__getitem__, pieces))
+
     def encode(self, texts: list[str]) -> list[bytes]:
-        """The ids of each text, packed."""
+        """The ids of each text, packed. Arrow cuts the texts and finds the distinct pieces."""
         import numpy as np
+        import pyarrow as pa
+        import pyarrow.compute as pc
 
         out: list = [None] * len(texts)
-        whole, cut = [], []
+        whole, cut, heads, rests = [], [], [], []
         for k, text in enumerate(texts):
-            if self.feed is None or not text or " ".join(text.split()) != text.replace("\n", " ") or "\x01" in text or "\x02" in text or self.added and self.added.search(text):
+            if self.feed is None or not text or "\x01" in text or "\x02" in text or any(a in text for a in self.added):
                 whole.append(k)
                 continue
             if not self.odd.search(text):
                 text = text.replace(", ", " \x01 ").replace(". ", " \x02 ").replace(",\n", " \x01\n").replace(".\n", " \x02\n")
-            cut.append((k, text.replace("\n", " \n").split(" ")))
-        if len(self.known) > self.limit:
-            self.known, self.older = dict(self.marks), self.known
-        unseen = set().union(*(p[1:] for _, p in cut)).difference(self.known)
-        if again := unseen.intersection(self.older):
-            self.known.update((p, self.older[p]) for p in again)
-            unseen -= again
-        if unseen:
-            self._learn(list(unseen))
-        heads = self._ids([p[0] for _, p in cut])
-        for (k, p), head in zip(cut, heads, strict=True):
-            out[k] = np.array(head, self.kind).tobytes() + b"".join(map(self.known.__getitem__, p[1:]))
+            head, space, rest = text.replace("\n", " \n").partition(" ")
+            if head.split() != [head]:
+                whole.append(k)
+                continue
+            cut.append(k)
+            heads.append(head)
+            rests.append(rest if space else None)
+        parts = pc.split_pattern(pa.array(rests, pa.large_string()), " ")
+        coded, ends = parts.flatten().dictionary_encode(), np.concatenate([[0], np.cumsum(pc.fill_null(pc.list_value_length(parts), 0).to_numpy(zero_copy_only=False))]).astype(np.int64)
+        known, indices = self._look_up(coded.dictionary.to_numpy(zero_copy_only=False).tolist()), coded.indices.to_numpy(zero_copy_only=False)
+        spaced = np.zeros(len(cut), bool)
+        if bad := [i for i, b in enumerate(known) if b is None]:
+            spaced[np.searchsorted(ends, np.flatnonzero(np.isin(indices, bad)), side="right") - 1] = True
+        packed = pa.array([b or b"" for b in known], pa.large_binary()).take(coded.indices)
+        places = np.frombuffer(packed.buffers()[1], np.int64)[packed.offset :][ends] if len(packed) else ends * 0
+        data = memoryview(packed.buffers()[2] or b"")
+        for k, ids, odd, begin, end in zip(cut, self._ids(heads), spaced.tolist(), places[:-1].tolist(), places[1:].tolist(), strict=True):
+            if odd:
+                whole.append(k)
+            else:
+                out[k] = array(self.code, ids).tobytes() + data[begin:end]
         for k, ids in zip(whole, self._ids([texts[k] for k in whole]), strict=True):
             out[k] = np.array(ids, self.kind).tobytes()
         return out
@@ -344,9 +374,12 @@ def write_shards(docs: DataFrame, tokenizer_path: str, where: str, shards: int |
     dealt = rows.repartitionByRange(shards, "doc_id").sortWithinPartitions("doc_id", F.xxhash64("text"))
 
     def write(batches: Iterator) -> Iterator:
+        import itertools
         import uuid
 
+        import numpy as np
         import pyarrow as pa
+        import pyarrow.compute as pc
         from pyspark import TaskContext
 
         number = TaskContext.get().partitionId()
@@ -362,9 +395,11 @@ def write_shards(docs: DataFrame, tokenizer_path: str, where: str, shards: int |
                 out = open_uri(path, "wb")
                 writer = ShardWriter(out, encoder.kind.itemsize)
             ids, texts = batch.column(0).to_pylist(), batch.column(1)
-            for at in range(0, len(ids), 256):
-                packed = encoder.encode(texts.slice(at, 256).to_pylist())
-                for doc_id, body in zip(ids[at : at + 256], packed, strict=True):
+            group = pc.binary_length(texts).to_numpy(zero_copy_only=False).cumsum(dtype="i8") // GROUP_BYTES
+            starts = [0, *(np.flatnonzero(np.diff(group)) + 1).tolist(), len(ids)]
+            for at, stop in itertools.pairwise(starts):
+                packed = encoder.encode(texts.slice(at, stop - at).to_pylist())
+                for doc_id, body in zip(ids[at:stop], packed, strict=True):
                     repeat = repeat + 1 if any_yet and doc_id == last else 0
                     writer.add(make_key(doc_id, repeat), body + end)
                     first = doc_id if not any_yet else first

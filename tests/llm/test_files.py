@@ -123,6 +123,18 @@ def test_memo_encoder_equals_the_tokenizer():
         assert [np.frombuffer(b, e.kind).tolist() for b in e.encode(part)] == e._ids(part)
 
 
+def test_memo_encoder_looks_up_distinct_pieces_only(monkeypatch):
+    """A group's texts are cut by Arrow; only its distinct pieces are looked up, and pieces with other white space send their texts alone to the tokenizer."""
+    e, seen, whole = token_store.MemoEncoder(tokenizer_file()), [], []
+    texts = ["one two, two two\nthree", "x one two", "two\ttwo one", " two", "two ", "one", "one  two"]
+    want = e._ids(texts)
+    monkeypatch.setattr(e, "_look_up", lambda pieces, look=e._look_up: seen.append(pieces) or look(pieces))
+    monkeypatch.setattr(e, "_ids", lambda texts, ids=e._ids: whole.extend(texts) or ids(texts))
+    assert [np.frombuffer(b, e.kind).tolist() for b in e.encode(texts)] == want
+    assert len(seen) == 1 and len(set(seen[0])) == len(seen[0])
+    assert {t for t in whole if " " in t[1:] or "\t" in t} == {"two\ttwo one", "two ", "one  two"}
+
+
 def test_token_shards(spark, small):
     from tokenizers import Tokenizer
 
