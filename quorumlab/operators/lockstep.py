@@ -1,7 +1,7 @@
 """Sweeps over samples too many to give every task a copy: all runs go through their rounds together.
 
-The pieces of each (split, workers) are packed once into blocks of numpy rows, a partition for each piece. A round is then one job for
-all runs, which passes over the pieces, sums the measures of the round before, picks the rows that the round draws and runs the local
+The pieces of each (split, workers) are packed once into blocks of numpy rows, a partition for each piece or for several, as there are
+cores: a round is short, and each of its tasks costs some hundredths of a second. A round is then one job for all runs, which passes over the pieces, sums the measures of the round before, picks the rows that the round draws and runs the local
 chains. A run whose next plan depends on those measures has its chains in a job of their own. A task holds a block and the drawn rows of
 its piece, never the piece. The driver sees local models and sums only.
 """
@@ -9,6 +9,7 @@ its piece, never the piece. The driver sees local models and sums only.
 from __future__ import annotations
 
 from collections.abc import Iterable, Iterator
+from itertools import groupby
 
 from pyspark import RDD, StorageLevel
 from pyspark.sql import DataFrame, SparkSession
@@ -23,13 +24,14 @@ BLOCKS = "worker int, first bigint, n int, x_type string, y_type string, x binar
 
 
 def pack(batches: Iterator) -> Iterator:
-    """Arrow batches of one piece in order of pos, as blocks of bytes. Entries that are single-precision numbers are stored as such."""
+    """Arrow batches in order of (worker, pos), as blocks of bytes, each of one piece. Entries that are single-precision numbers are stored as such."""
     import numpy as np
     import pyarrow as pa
 
     for b in batches:
-        for at in range(0, b.num_rows, BLOCK_ROWS):
-            part = b.slice(at, BLOCK_ROWS)
+        ends = [*(np.flatnonzero(np.diff(b.column("worker").to_numpy())) + 1).tolist(), b.num_rows]
+        for at, end in ((k, min(k + BLOCK_ROWS, end)) for begin, end in zip([0, *ends], ends, strict=False) for k in range(begin, end, BLOCK_ROWS)):
+            part = b.slice(at, end - at)
             x, y = part.column("x").flatten().to_numpy(zero_copy_only=False), part.column("y").to_numpy(zero_copy_only=False)
             short = x.astype("f4")
             x = short if (short == x).all() else x
@@ -120,10 +122,15 @@ class Run:
 
 
 def chains(work: dict, blocks: Iterable) -> Iterator:
-    """The local results (run, worker, mini-batches, result) of a piece. ``work``: sizes of the pieces, and the runs of each group."""
+    """The local results (run, worker, mini-batches, result) of pieces, one after another. ``work``: sizes of the pieces, and the runs of each group."""
+    for (group, worker), own in groupby(blocks, lambda b: b[:2]):
+        yield from piece_chains(work, group, worker, own)
+
+
+def piece_chains(work: dict, group: int, worker: int, blocks: Iterable) -> Iterator:
     import numpy as np
 
-    def drawn(group: int, worker: int):
+    def drawn():
         n, out = work["sizes"].get(group, {}).get(worker, 0), []
         for nth, spec, model, w, alpha, draws in work["runs"].get(group, []):
             if keys := draws.get(worker, []):
@@ -131,10 +138,9 @@ def chains(work: dict, blocks: Iterable) -> Iterator:
                 out.append((nth, spec, model, w, alpha, keys, np.concatenate([tasks.draws_py(spec.seed, *key, spec.batch, n, powers) for key in keys])))
         return out
 
-    runs, order = None, None
-    for group, worker, first, x, y in blocks:
-        if runs is None:
-            runs = drawn(group, worker)
+    runs, order = drawn(), None
+    for _, _, first, x, y in blocks:
+        if order is None:
             at = np.concatenate([r[-1] for r in runs]) if runs else np.zeros(0, np.int64)
             order = np.argsort(at, kind="stable")
             at = at[order]
@@ -142,7 +148,7 @@ def chains(work: dict, blocks: Iterable) -> Iterator:
         lo, hi = np.searchsorted(at, [first, first + len(y)])
         xs[order[lo:hi]], ys[order[lo:hi]] = x[at[lo:hi] - first], y[at[lo:hi] - first]
     begin, together = 0, {}
-    for nth, spec, model, w, alpha, keys, pos in runs or []:
+    for nth, spec, model, w, alpha, keys, pos in runs:
         x, y = xs[begin : begin + len(pos)], ys[begin : begin + len(pos)]
         begin += len(pos)
         batches = [(x[k : k + spec.batch], y[k : k + spec.batch]) for k in range(0, len(pos), spec.batch)]
@@ -236,10 +242,11 @@ def sweep(spark: SparkSession, specs: list[RunSpec], samples: DataFrame, dims: i
     kept, sizes = {}, {}
     for g, (split, workers) in enumerate(groups):
         shards = tasks.SPLITS[split](tasks.train_test(base, False), workers)
-        kept[g] = blocks_of(shards.repartitionById(workers, "worker").sortWithinPartitions("pos"), g)
+        parts = min(workers, sc.defaultParallelism)
+        kept[g] = blocks_of(shards.repartitionById(parts, F.col("worker") % parts).sortWithinPartitions("worker", "pos"), g)
         sizes[g] = dict(kept[g].map(lambda b: (b[1], len(b[4]))).reduceByKey(lambda a, b: a + b).collect())  # one number for each worker
     test = tasks.train_test(base, True).select(F.lit(-1).alias("worker"), F.lit(0).cast("bigint").alias("pos"), "x", "y")
-    kept[TEST] = blocks_of(test.coalesce(2 * sc.defaultParallelism), TEST)
+    kept[TEST] = blocks_of(test.coalesce(sc.defaultParallelism), TEST)
     kept[TEST].count()
     base.unpersist()
     runs = [Run(k, s, groups.index((s.split, s.workers)), dims, classes) for k, s in enumerate(specs)]

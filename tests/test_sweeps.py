@@ -80,3 +80,15 @@ def test_models_side_by_side():
         for k, w in enumerate(ws):
             n, v = total[k, held]
             assert n == len(y) and v[0] == pytest.approx((model.predict(w, x) == y).sum() if held else model.loss(w, x, y) * len(y), rel=1e-12)
+
+
+def test_a_round_has_no_more_tasks_than_cores_for_each_split(spark, monkeypatch):
+    """Several pieces share a task where there are more of them than cores; blocks stay of one piece each."""
+    monkeypatch.setattr(training, "SWEEP_BYTES", 0)
+    specs, t, cores = [BASE.but(workers=3 * spark.sparkContext.defaultParallelism)], task(spark, 120), spark.sparkContext.defaultParallelism
+    tasks = []
+    monkeypatch.setattr(spark.sparkContext, "union", lambda rdds, union=spark.sparkContext.union: tasks.append([r.getNumPartitions() for r in rdds]) or union(rdds))
+    got = by_run(training.sweep(spark, specs, t, 4))
+    assert all(n <= cores for ns in tasks for n in ns)
+    monkeypatch.setattr(training, "SWEEP_BYTES", 1 << 20)
+    agree(got, by_run(training.sweep(spark, specs, t, 4)))
