@@ -10,6 +10,7 @@ from __future__ import annotations
 
 import math
 from collections.abc import Iterator
+from functools import cache
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -88,6 +89,7 @@ def make_model(spec: RunSpec, dims: int, classes: int) -> models.Model:
     return models.Model(spec.model, dims, classes, int(spec.options.get("hidden", 16)))
 
 
+@cache
 def expected_steps(workers: int, quorum: int, quota: int) -> float:
     """Expected stop time in mean durations, by quadrature; for choosing caps and for measures."""
     import numpy as np
@@ -115,12 +117,23 @@ def cap_of(spec: RunSpec, period: int | None = None) -> int:
 # --- the clock outside Spark, for sweeps ----------------------------------------------------------------------------
 
 
+#: Durations of unit mean by (seed, round, workers), for the runs of a sweep that share them: the last of them, as far as a run has asked.
+UNIT_DURATIONS: dict[tuple[int, int, int], object] = {}
+KEPT_ROUNDS = 256
+
+
 def durations_py(spec: RunSpec, round_no: int, cap: int):
     """The same hashed durations as ``hashed_durations``: workers x cap."""
     import numpy as np
 
-    h = np.array([[rng.hash48_py(spec.seed, "dur", round_no, m, u) for u in range(cap)] for m in range(spec.workers)], float)
-    return -np.log((h + 0.5) / rng.SPACE) * spec.mean
+    key = spec.seed, round_no, spec.workers
+    unit = UNIT_DURATIONS.get(key, np.empty((spec.workers, 0)))
+    if (have := unit.shape[1]) < cap:
+        h = np.array([[rng.hash48_py(spec.seed, "dur", round_no, m, u) for u in range(have, cap)] for m in range(spec.workers)], float)
+        unit = UNIT_DURATIONS[key] = np.concatenate([unit, -np.log((h + 0.5) / rng.SPACE)], axis=1)
+        if len(UNIT_DURATIONS) > KEPT_ROUNDS:
+            UNIT_DURATIONS.pop(next(iter(UNIT_DURATIONS)))
+    return unit[:, :cap] * spec.mean
 
 
 def round_py(spec: RunSpec, round_no: int, period: int) -> dict:

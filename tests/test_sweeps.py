@@ -3,6 +3,7 @@
 import numpy as np
 import pytest
 
+from quorumlab.functions import rng
 from quorumlab.operators import lockstep, models, training
 from quorumlab.plans.runspec import RunSpec
 from tests.test_training import SCHEMES, task
@@ -92,3 +93,22 @@ def test_a_round_has_no_more_tasks_than_cores_for_each_split(spark, monkeypatch)
     assert all(n <= cores for ns in tasks for n in ns)
     monkeypatch.setattr(training, "SWEEP_BYTES", 1 << 20)
     agree(got, by_run(training.sweep(spark, specs, t, 4)))
+
+
+def test_runs_share_the_durations_of_a_seed(spark, monkeypatch):
+    """A duration is hashed once for all runs of its seed, though they ask for timelines of different lengths; the values are those of each alone."""
+    monkeypatch.setattr(training, "SWEEP_BYTES", 0)
+    monkeypatch.setattr(training, "UNIT_DURATIONS", {}, raising=False)
+    asked = []
+    monkeypatch.setattr(rng, "hash48_py", lambda *key, hash48=rng.hash48_py: asked.append(key) or hash48(*key))
+    specs = [BASE.but(quorum=k, quota=u, seed=seed) for k, u in ((1, 3), (4, 3), (2, 40)) for seed in (0, 1)]
+    training.sweep(spark, specs, task(spark, 40), 4, ()).count()
+    durations = [key for key in asked if key[1] == "dur"]
+    assert len(durations) == len(set(durations)) > 0
+    monkeypatch.setattr(training, "UNIT_DURATIONS", {})
+    monkeypatch.setattr(training, "KEPT_ROUNDS", 1)
+    for cap in (7, 3, 50):
+        for seed in (0, 1):
+            h = np.array([[rng.hash48_py(seed, "dur", 2, m, u) for u in range(cap)] for m in range(BASE.workers)], float)
+            assert (training.durations_py(BASE.but(seed=seed, mean=0.3), 2, cap) == -np.log((h + 0.5) / rng.SPACE) * 0.3).all()
+    assert len(training.UNIT_DURATIONS) == 1
