@@ -128,43 +128,43 @@ def chains(work: dict, blocks: Iterable) -> Iterator:
 
 
 def piece_chains(work: dict, group: int, worker: int, blocks: Iterable) -> Iterator:
+    """The same of one piece. Runs of one seed draw the same mini-batches in a round, so each is drawn and picked once for all of them."""
     import numpy as np
 
-    def drawn():
-        n, out = work["sizes"].get(group, {}).get(worker, 0), []
-        for nth, spec, model, w, alpha, draws in work["runs"].get(group, []):
-            if keys := draws.get(worker, []):
-                powers = tasks.draw_powers(spec.batch)
-                out.append((nth, spec, model, w, alpha, keys, np.concatenate([tasks.draws_py(spec.seed, *key, spec.batch, n, powers) for key in keys])))
-        return out
-
-    runs, order = drawn(), None
+    runs = [(*run, keys) for *run, draws in work["runs"].get(group, []) if (keys := draws.get(worker, []))]
+    named = sorted({(spec.batch, spec.seed, *key) for _, spec, _, _, _, keys in runs for key in keys})
+    powers = {batch: tasks.draw_powers(batch) for batch, *_ in named}
+    n, order = work["sizes"].get(group, {}).get(worker, 0), None
     for _, _, first, x, y in blocks:
         if order is None:
-            at = np.concatenate([r[-1] for r in runs]) if runs else np.zeros(0, np.int64)
+            at = np.concatenate([tasks.draws_py(*key, batch, n, powers[batch]) for batch, *key in named]) if named else np.zeros(0, np.int64)
             order = np.argsort(at, kind="stable")
             at = at[order]
             xs, ys = np.empty((len(at), x.shape[1])), np.empty(len(at), y.dtype)
         lo, hi = np.searchsorted(at, [first, first + len(y)])
         xs[order[lo:hi]], ys[order[lo:hi]] = x[at[lo:hi] - first], y[at[lo:hi] - first]
-    begin, together = 0, {}
-    for nth, spec, model, w, alpha, keys, pos in runs:
-        x, y = xs[begin : begin + len(pos)], ys[begin : begin + len(pos)]
-        begin += len(pos)
-        batches = [(x[k : k + spec.batch], y[k : k + spec.batch]) for k in range(0, len(pos), spec.batch)]
+    begin, mine, place, together = 0, {}, {}, {}
+    for batch, same in groupby(named, lambda k: k[0]):
+        same = list(same)
+        end = begin + batch * len(same)
+        mine[batch] = xs[begin:end].reshape(len(same), batch, -1), ys[begin:end].reshape(len(same), batch)
+        place |= {k: nth for nth, k in enumerate(same)}
+        begin = end
+    for nth, spec, model, w, alpha, keys in runs:
+        (x, y), own = mine[spec.batch], [place[spec.batch, spec.seed, *key] for key in keys]
+        batches = [(x[k], y[k]) for k in own]
         if spec.scheme in training.ASYNCHRONOUS:
             yield nth, worker, len(keys), list(zip(keys, batches, strict=True))
         elif spec.scheme in training.GRADIENTS:
             yield nth, worker, len(keys), models.gradients_at(model, w, batches)
         elif model.kind == "softmax":
-            together.setdefault((spec.batch, model.classes), []).append((nth, len(keys), w, x, y, alpha))
+            together.setdefault((spec.batch, model.classes), []).append((nth, len(keys), w, own[0], alpha))
         else:
             yield nth, worker, len(keys), models.local_chain(model, w, batches, alpha)
     for (batch, classes), own in together.items():
-        nths, steps, ws, x, y, alphas = zip(*own, strict=True)
-        begins = np.cumsum((0, *steps[:-1]))
-        x, y = np.concatenate(x), np.concatenate(y)
-        results = models.softmax_chains(ws, x.reshape(-1, batch, x.shape[1]), y.reshape(-1, batch), begins, steps, alphas, x.shape[1], classes)
+        nths, steps, ws, begins, alphas = zip(*own, strict=True)  # a run's steps follow one another
+        x, y = mine[batch]
+        results = models.softmax_chains(ws, x, y, begins, steps, alphas, x.shape[2], classes)
         yield from ((nth, worker, n, w) for nth, n, w in zip(nths, steps, results, strict=True))
 
 

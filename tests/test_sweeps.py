@@ -112,3 +112,23 @@ def test_runs_share_the_durations_of_a_seed(spark, monkeypatch):
             h = np.array([[rng.hash48_py(seed, "dur", 2, m, u) for u in range(cap)] for m in range(BASE.workers)], float)
             assert (training.durations_py(BASE.but(seed=seed, mean=0.3), 2, cap) == -np.log((h + 0.5) / rng.SPACE) * 0.3).all()
     assert len(training.UNIT_DURATIONS) == 1
+
+
+def test_runs_share_the_mini_batches_of_a_seed(monkeypatch):
+    """Runs of one seed and batch size draw a step's rows once; the results are those of each run alone."""
+    asked = []
+    monkeypatch.setattr(lockstep.tasks, "draws_py", lambda *a, draws=lockstep.tasks.draws_py: asked.append(a[:5]) or draws(*a))
+    gen = np.random.default_rng(0)
+    blocks = [(0, 1, 0, gen.standard_normal((7, 5)), gen.integers(0, 3, 7)), (0, 1, 7, gen.standard_normal((4, 5)), gen.integers(0, 3, 4))]
+    softmax, mlp = models.softmax(5, 3), models.mlp(5, 4, 3)
+    steps = lambda n: {1: [(2, 1, s) for s in range(n)]}
+    kinds = [(BASE, softmax, 3), (BASE, softmax, 5), (BASE.but(seed=1), softmax, 2), (BASE.but(batch=6), softmax, 2), (BASE, mlp, 4), (BASE.but(scheme="large_batch"), softmax, 1), (BASE, softmax, 0)]
+    runs = [(nth, spec, model, gen.standard_normal(model.size), 0.1, steps(n)) for nth, (spec, model, n) in enumerate(kinds)]
+    found = lambda own: {nth: (n, w) for nth, _, n, w in lockstep.chains({"sizes": {0: {1: 11}}, "runs": {0: own}}, blocks)}
+    together = found(runs)
+    assert len(asked) == len(set(asked)) == 5 + 2 + 2
+    assert together.keys() == {0, 1, 2, 3, 4, 5}
+    for run in runs[:-1]:
+        n, w = found([run])[run[0]]
+        assert together[run[0]][0] == n
+        np.testing.assert_allclose(together[run[0]][1], w, rtol=1e-12)
