@@ -9,11 +9,13 @@ its piece, never the piece. The driver sees local models and sums only.
 from __future__ import annotations
 
 from collections.abc import Iterable, Iterator
+from concurrent.futures import ThreadPoolExecutor
 from itertools import groupby
 
 from pyspark import RDD, StorageLevel
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.util import inheritable_thread_target
 
 from quorumlab.operators import models, samples as tasks, training
 from quorumlab.plans.runspec import RunSpec, should_stop
@@ -230,8 +232,8 @@ def one_pass(work: dict, blocks: Iterable) -> Iterator:
         yield False, *key, n, s
 
 
-#: The group of the held-out fold.
-TEST = -1
+#: The group of the held-out fold, and how many groups are packed at a time.
+TEST, SIDE_BY_SIDE = -1, 4
 
 
 def sweep(spark: SparkSession, specs: list[RunSpec], samples: DataFrame, dims: int, classes: int, measures: tuple[str, ...]) -> list[dict]:
@@ -239,15 +241,30 @@ def sweep(spark: SparkSession, specs: list[RunSpec], samples: DataFrame, dims: i
     sc = spark.sparkContext
     base = samples.select("row_id", "x", "y").persist(StorageLevel.MEMORY_AND_DISK)
     groups = sorted({(s.split, s.workers) for s in specs})
-    kept, sizes = {}, {}
-    for g, (split, workers) in enumerate(groups):
+
+    def pieces(g: int) -> tuple[RDD, dict[int, int]]:
+        """The packed pieces of a group, and their rows."""
+        split, workers = groups[g]
         shards = tasks.SPLITS[split](tasks.train_test(base, False), workers)
         parts = min(workers, sc.defaultParallelism)
-        kept[g] = blocks_of(shards.repartitionById(parts, F.col("worker") % parts).sortWithinPartitions("worker", "pos"), g)
-        sizes[g] = dict(kept[g].map(lambda b: (b[1], len(b[4]))).reduceByKey(lambda a, b: a + b).collect())  # one number for each worker
-    test = tasks.train_test(base, True).select(F.lit(-1).alias("worker"), F.lit(0).cast("bigint").alias("pos"), "x", "y")
-    kept[TEST] = blocks_of(test.coalesce(sc.defaultParallelism), TEST)
-    kept[TEST].count()
+        packed = blocks_of(shards.repartitionById(parts, F.col("worker") % parts).sortWithinPartitions("worker", "pos"), g)
+        sizes: dict[int, int] = {}
+        for worker, n in packed.map(lambda b: (b[1], len(b[4]))).collect():  # one number for each block
+            sizes[worker] = sizes.get(worker, 0) + n
+        return packed, sizes
+
+    def held_out() -> RDD:
+        rows = tasks.train_test(base, True).select(F.lit(-1).alias("worker"), F.lit(0).cast("bigint").alias("pos"), "x", "y")
+        packed = blocks_of(rows.coalesce(sc.defaultParallelism), TEST)
+        packed.count()
+        return packed
+
+    # Groups are packed side by side: one with few pieces keeps few cores busy.
+    with ThreadPoolExecutor(max_workers=SIDE_BY_SIDE) as pool:
+        packing = {g: pool.submit(inheritable_thread_target(spark)(pieces), g) for g in range(len(groups))}
+        test = pool.submit(inheritable_thread_target(spark)(held_out))
+        kept = {g: p.result()[0] for g, p in packing.items()} | {TEST: test.result()}
+        sizes = {g: p.result()[1] for g, p in packing.items()}
     base.unpersist()
     runs = [Run(k, s, groups.index((s.split, s.workers)), dims, classes) for k, s in enumerate(specs)]
     # A run's loss is summed over the copy of its split with the most pieces.

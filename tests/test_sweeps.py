@@ -1,5 +1,7 @@
 """Sweeps over many samples: all runs share a round's passes, and give the log of the small path."""
 
+import time
+
 import numpy as np
 import pytest
 
@@ -132,3 +134,24 @@ def test_runs_share_the_mini_batches_of_a_seed(monkeypatch):
         n, w = found([run])[run[0]]
         assert together[run[0]][0] == n
         np.testing.assert_allclose(together[run[0]][1], w, rtol=1e-12)
+
+
+def test_groups_are_packed_side_by_side(spark, monkeypatch):
+    """A group with few pieces doesn't hold up the others: each waits here until the other one has begun."""
+    monkeypatch.setattr(training, "SWEEP_BYTES", 0)
+    begun, split = [], lockstep.tasks.SPLITS["even_random"]
+
+    def wait(samples, workers):
+        begun.append(workers)
+        until = time.time() + 20
+        while len(begun) < 2 and time.time() < until:
+            time.sleep(0.01)
+        assert len(begun) == 2
+        return split(samples, workers)
+
+    monkeypatch.setitem(lockstep.tasks.SPLITS, "even_random", wait)
+    specs, t = [BASE, BASE.but(workers=1, quorum=1)], task(spark, 40)
+    got = by_run(training.sweep(spark, specs, t, 4))
+    monkeypatch.setitem(lockstep.tasks.SPLITS, "even_random", split)
+    monkeypatch.setattr(training, "SWEEP_BYTES", 1 << 20)
+    agree(got, by_run(training.sweep(spark, specs, t, 4)))
